@@ -7,7 +7,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, common, decontaminate, media, prefix_tokens
+from . import chat, common, decontaminate, media, packing, prefix_tokens, sharding
 
 
 def op2_chat_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -25,6 +25,19 @@ def op2_chat_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select(F.col("tree_id").alias("conv_id"), read_back("formatted", "loss").alias("x")).select("conv_id", "x.*")
 
 
+def op3_shortest_pack_first(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cut = packing.pieces(common.table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+    return packing.pack(cut)
+
+
+#: Bytes of one shard; small, so that the given tables fill more than one.
+SHARD_BYTES = 1 << 20
+
+
+def op4_extendible_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.assign(common.table(spark, sf_dir, "documents"), SHARD_BYTES)
+
+
 def op6_prefix_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return prefix_tokens.token_counts(common.table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), 2048)
 
@@ -38,6 +51,18 @@ def op9_png_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.documents_as_media(common.table(spark, sf_dir, "documents"), keep_media=False)
 
 
-QUERIES = {f.__name__: f for f in (op2_chat_trees, op6_prefix_token_counts, op8_benchmark_hits, op9_png_media)}
-
-ORACLES: dict[str, str] = {}
+QUERIES = {f.__name__: f for f in (op2_chat_trees, op3_shortest_pack_first, op4_extendible_shards, op6_prefix_token_counts, op8_benchmark_hits, op9_png_media)}
+
+ORACLES: dict[str, str] = {
+    "op4_extendible_shards": f"""
+        WITH d AS (SELECT doc_id, CAST(strlen(coalesce(text, '')) AS BIGINT) AS n_bytes,
+                          CAST('0x' || substr(md5(coalesce(CAST(doc_id AS VARCHAR), '')), 1, 15) AS BIGINT) AS h FROM documents),
+        levels AS (SELECT d.*, CAST(g.range AS INTEGER) AS depth, h >> CAST(60 - g.range AS INTEGER) AS prefix FROM d, range(61) g),
+        nodes AS (SELECT depth, prefix, sum(n_bytes) AS bytes, count(*) AS docs, sum(n_bytes) > {SHARD_BYTES} AND min(h) < max(h) AS splits
+                  FROM levels GROUP BY ALL),
+        leaves AS (SELECT a.* FROM nodes a LEFT JOIN nodes b ON b.depth = a.depth - 1 AND b.prefix = a.prefix >> 1
+                   WHERE NOT a.splits AND (a.depth = 0 OR b.splits))
+        SELECT l.doc_id, l.n_bytes, l.depth, l.prefix, CAST(0 AS BIGINT) AS page, CAST(x.docs AS BIGINT) AS shard_docs,
+               CAST(x.bytes AS BIGINT) AS shard_bytes
+        FROM levels l JOIN leaves x ON l.depth = x.depth AND l.prefix = x.prefix""",
+}
