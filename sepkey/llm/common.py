@@ -18,6 +18,7 @@ import sepkey
 
 #: Bytes of text that one vectorised step holds at a time; a longer document is a step of its own.
 STEP_BYTES = 4 << 20
+STEP_ROWS = 4096
 
 
 def ship(spark: SparkSession) -> None:
@@ -112,12 +113,12 @@ def texts_of(column: pa.Array) -> Texts:
 
 
 def steps(batch: pa.RecordBatch, column: str = "text"):
-    """``(rows of the batch, their Texts)`` in steps of about STEP_BYTES."""
+    """``(rows of the batch, their Texts)`` in steps of about STEP_BYTES and at most STEP_ROWS."""
     whole = texts_of(batch.column(batch.schema.get_field_index(column)))
     lo, n = 0, len(whole)
     while lo < n:
         hi = max(lo + 1, int(np.searchsorted(whole.at, whole.at[lo] + STEP_BYTES, "right")) - 1)
-        hi = min(hi, n)
+        hi = min(hi, n, lo + STEP_ROWS)
         a, b = whole.at[lo], whole.at[hi]
         yield batch.slice(lo, hi - lo), Texts(whole.data[a:b], whole.at[lo : hi + 1] - a)
         lo = hi

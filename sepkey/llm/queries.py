@@ -7,7 +7,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, common, decontaminate, media, packing, prefix_tokens, sharding
+from . import chat, common, decontaminate, media, near_dup, packing, prefix_tokens, sharding
 
 
 def op2_chat_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -51,7 +51,11 @@ def op9_png_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.documents_as_media(common.table(spark, sf_dir, "documents"), keep_media=False)
 
 
-QUERIES = {f.__name__: f for f in (op2_chat_trees, op3_shortest_pack_first, op4_extendible_shards, op6_prefix_token_counts, op8_benchmark_hits, op9_png_media)}
+def op10_super_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup.near_duplicates(common.table(spark, sf_dir, "documents"), 85)
+
+
+QUERIES = {f.__name__: f for f in (op2_chat_trees, op3_shortest_pack_first, op4_extendible_shards, op6_prefix_token_counts, op8_benchmark_hits, op9_png_media, op10_super_minhash)}
 
 ORACLES: dict[str, str] = {
     "op4_extendible_shards": f"""
