@@ -7,7 +7,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, common, decontaminate, media, near_dup, packing, prefix_tokens, sharding
+from . import chat, common, decontaminate, fuzzy_lines, media, near_dup, packing, prefix_tokens, sharding
 
 
 def op2_chat_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -38,6 +38,14 @@ def op4_extendible_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.assign(common.table(spark, sf_dir, "documents"), SHARD_BYTES)
 
 
+def op5_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per document: its lines, those removed, and the length and MD5 of the text that stays."""
+    marked = fuzzy_lines.with_removed(common.table(spark, sf_dir, "documents").select("doc_id", "text"))
+    text = F.coalesce(fuzzy_lines.rest(F.col("text"), F.col("gone")), F.lit(""))
+    lines = F.coalesce(F.size(F.split("text", "\n")), F.lit(0)).cast("long")
+    return marked.select("doc_id", lines.alias("n_lines"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_removed"), text.alias("kept")).select("doc_id", "n_lines", "n_removed", F.length("kept").cast("long").alias("kept_chars"), F.md5("kept").alias("kept_md5"))
+
+
 def op6_prefix_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return prefix_tokens.token_counts(common.table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), 2048)
 
@@ -55,7 +63,7 @@ def op10_super_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(common.table(spark, sf_dir, "documents"), 85)
 
 
-QUERIES = {f.__name__: f for f in (op2_chat_trees, op3_shortest_pack_first, op4_extendible_shards, op6_prefix_token_counts, op8_benchmark_hits, op9_png_media, op10_super_minhash)}
+QUERIES = {f.__name__: f for f in (op2_chat_trees, op3_shortest_pack_first, op4_extendible_shards, op5_fuzzy_lines, op6_prefix_token_counts, op8_benchmark_hits, op9_png_media, op10_super_minhash)}
 
 ORACLES: dict[str, str] = {
     "op4_extendible_shards": f"""
