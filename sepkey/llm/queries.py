@@ -4,10 +4,10 @@ from __future__ import annotations
 
 import pandas as pd
 import public_tokenizers
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, common, decontaminate, fuzzy_lines, media, near_dup, packing, prefix_tokens, sharding
+from . import chat, common, decontaminate, fuzzy_lines, media, near_dup, packing, prefix_tokens, sharding, toxicity
 
 
 def op2_chat_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -50,6 +50,16 @@ def op6_prefix_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return prefix_tokens.token_counts(common.table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), 2048)
 
 
+def held_out(doc_id) -> Column:
+    return F.crc32(doc_id.cast("string").cast("binary")) % 5 == 0
+
+
+def op7_toxicity_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = common.table(spark, sf_dir, "documents"), common.table(spark, sf_dir, "labels")
+    model = toxicity.fit(docs, labels.where(~held_out(F.col("doc_id"))).select("doc_id", "toxic"))
+    return toxicity.score(docs, model).select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+
+
 def op8_benchmark_hits(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = decontaminate.find_contamination(common.table(spark, sf_dir, "documents"), common.table(spark, sf_dir, "benchmark"))
     return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
@@ -63,7 +73,7 @@ def op10_super_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(common.table(spark, sf_dir, "documents"), 85)
 
 
-QUERIES = {f.__name__: f for f in (op2_chat_trees, op3_shortest_pack_first, op4_extendible_shards, op5_fuzzy_lines, op6_prefix_token_counts, op8_benchmark_hits, op9_png_media, op10_super_minhash)}
+QUERIES = {f.__name__: f for f in (op2_chat_trees, op3_shortest_pack_first, op4_extendible_shards, op5_fuzzy_lines, op6_prefix_token_counts, op7_toxicity_trees, op8_benchmark_hits, op9_png_media, op10_super_minhash)}
 
 ORACLES: dict[str, str] = {
     "op4_extendible_shards": f"""
