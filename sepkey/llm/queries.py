@@ -7,7 +7,13 @@ import public_tokenizers
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, common, decontaminate, fuzzy_lines, media, near_dup, packing, prefix_tokens, sharding, toxicity
+from . import chat, common, cotraining, decontaminate, fuzzy_lines, media, near_dup, packing, prefix_tokens, sharding, toxicity
+
+
+def op1_cotrained_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Labels of a fifth of the documents (those of op7's held-out part) are not learned from, so that accuracy can be measured."""
+    labels = common.table(spark, sf_dir, "labels").where(~held_out(F.col("doc_id"))).select("doc_id", "quality")
+    return cotraining.classify(common.table(spark, sf_dir, "documents"), labels)
 
 
 def op2_chat_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -73,7 +79,7 @@ def op10_super_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(common.table(spark, sf_dir, "documents"), 85)
 
 
-QUERIES = {f.__name__: f for f in (op2_chat_trees, op3_shortest_pack_first, op4_extendible_shards, op5_fuzzy_lines, op6_prefix_token_counts, op7_toxicity_trees, op8_benchmark_hits, op9_png_media, op10_super_minhash)}
+QUERIES = {f.__name__: f for f in (op1_cotrained_quality, op2_chat_trees, op3_shortest_pack_first, op4_extendible_shards, op5_fuzzy_lines, op6_prefix_token_counts, op7_toxicity_trees, op8_benchmark_hits, op9_png_media, op10_super_minhash)}
 
 ORACLES: dict[str, str] = {
     "op4_extendible_shards": f"""
