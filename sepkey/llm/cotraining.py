@@ -29,13 +29,13 @@ from .trees import isotonic
 
 ROUNDS = 3
 SURE = 0.97
-BINS = 32
+BINS = 16
 #: Of FOLDS parts of the labelled rows one calibrates, the others are counted.
 FOLDS = 4
 _GRID = 64
 _SPAN = 40.0
 
-TEXT = ["distinct_share", "repeat_share", "top_share", "shout_words", "title_words", "word_length", "decorated", "short_words"]
+TEXT = ["distinct_share", "repeat_share", "longest_run", "top_share", "shout_words", "title_words", "word_length", "decorated", "lone_marks", "short_words"]
 META = ["source", "lang", "size", "lines", "line_length", "marks", "bars", "exclaims", "non_ascii"]
 
 _WORD = common.byte_class(lambda b: 48 <= b <= 57 or 65 <= b <= 90 or 97 <= b <= 122 or b >= 128)
@@ -51,7 +51,7 @@ def _share(x: np.ndarray) -> np.ndarray:
 
 
 def _size(x: np.ndarray) -> np.ndarray:
-    return np.clip(np.log2(np.asarray(x, float) + 1) * 1.5, 0, BINS - 1).astype(np.uint8)
+    return np.clip(np.log2(np.asarray(x, float) + 1), 0, BINS - 1).astype(np.uint8)
 
 
 def _name(values) -> np.ndarray:
@@ -75,6 +75,11 @@ def text_view(texts: common.Texts) -> np.ndarray:
         np.maximum.at(top, row[order][starts], runs)
     again = np.zeros(len(token), bool)
     again[1:] = (token[1:] == token[:-1]) & (row[1:] == row[:-1])
+    # length of each run of one word: from the places where a run breaks
+    run = np.zeros(n)
+    if len(token):
+        breaks = np.flatnonzero(~again)
+        np.maximum.at(run, row[breaks], np.diff(np.append(breaks, len(token))))
     upper = np.concatenate([[0], np.cumsum(_UPPER[texts.data])])
     size = words.end - words.start
     caps = upper[words.end] - upper[words.start]
@@ -83,8 +88,14 @@ def text_view(texts: common.Texts) -> np.ndarray:
     # words with two or more marks right behind them
     mark = np.concatenate([_MARK[texts.data], [False, False]])
     decorated = mark[words.end] & mark[words.end + 1] if len(size) else shout
+    # marks with no word at either side
+    word = np.concatenate([[False], _WORD[texts.data], [False]])
+    lone = np.concatenate([[0], np.cumsum(_MARK[texts.data] & ~word[:-2] & ~word[2:])])
+    apart = np.diff(lone[texts.at])
     sums = lambda flag: np.bincount(row[flag], minlength=n) * per
-    return np.stack([_share(np.bincount(row[order][starts], minlength=n) * per), _share(sums(again)), _share(top * per), _share(sums(shout)), _share(sums(title)), _size(np.bincount(row, size, n) * per * 4), _share(sums(decorated)), _share(sums(size <= 2))], axis=1)
+    distinct = np.bincount(row[order][starts], minlength=n)
+    # a few words more, half of them new, keep short texts from the extremes
+    return np.stack([_share((distinct + 4) / (count + 8)), _share(sums(again)), _size(run), _share(np.maximum(top - 1, 0) / (count + 8)), _share(sums(shout)), _share(sums(title)), _size(np.bincount(row, size, n) * per * 4), _share(sums(decorated)), _share(apart * per / 2), _share(sums(size <= 2))], axis=1)
 
 
 def meta_view(texts: common.Texts, source, lang) -> np.ndarray:

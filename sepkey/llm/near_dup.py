@@ -200,3 +200,16 @@ def near_duplicates(docs: DataFrame, percent: int = 85, k: int = K) -> DataFrame
     out = marks.select("doc_id", "n_shingles").join(ids, "doc_id", "left")
     own = F.coalesce("component_id", "doc_id")
     return out.select("doc_id", "n_shingles", own.alias("component_id"), F.coalesce(own == F.col("doc_id"), F.lit(True)).alias("kept"))
+
+
+def keep_one(docs: DataFrame, percent: int = 80, k: int = K) -> DataFrame:
+    """``docs`` with one row of each linked group, that of the smallest doc_id; of rows under one doc_id any one stays. Rows without doc_id, and
+    texts without words, stay. Texts move only where the ids to drop are too many to broadcast."""
+    found = common.durable(near_duplicates(docs, percent, k).groupBy("doc_id").agg(F.count("*").alias("rows"), F.min("kept").alias("kept")).where("doc_id is not null and (rows > 1 or not kept)"), "drops")
+    small = F.broadcast if found.count() <= BROADCAST_NODES else lambda df: df
+    key = F.col("doc_id").cast("long") == F.col("drop_id")
+    rest = docs.join(small(found.select(F.col("doc_id").alias("drop_id"))), key, "left_anti")
+    again = found.where("kept").select(F.col("doc_id").alias("drop_id"))
+    if again.isEmpty():
+        return rest
+    return rest.unionByName(docs.join(small(again), key, "left_semi").dropDuplicates(["doc_id"]))
