@@ -4,8 +4,9 @@
 loses no link between two nodes that share a bucket, yet does not test all pairs of a large bucket:
 
 1. In buckets of at most ``SMALL`` nodes all pairs are tested; in larger ones each node against the smallest node.
-2. Groups are formed. Where the nodes of a large bucket still lie in several groups, all pairs across groups are tested, which is
-   what is left for completeness: pairs inside a group cannot change it.
+2. Groups are formed. Where the nodes of a large bucket still lie in several groups, all pairs across groups are looked at, which is
+   what is left for completeness: pairs inside a group cannot change it. The caller may do this in blocks of bounded size that give out
+   only pairs close to a link.
 
 Bucket sizes come from a pre-aggregate, pairs from equi-joins that AQE may split, groups from star contractions; nothing is gathered in one
 task or on the driver.
@@ -77,8 +78,10 @@ def components(edges: DataFrame, native: bool = False) -> DataFrame:
     return pairs.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(pairs.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())
 
 
-def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callable[[Column, Column], Column], native: bool = False) -> tuple[DataFrame, DataFrame]:
+def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callable[[Column, Column], Column], native: bool = False, across: Callable[[DataFrame], DataFrame] | None = None) -> tuple[DataFrame, DataFrame]:
     """members: bucket, node, weight. ``may(weight, weight)`` is a cheap necessary condition; ``test`` keeps the linked of pairs (a, b), a < b.
+    ``across`` takes the rows (bucket, node, weight, size, root) of the buckets whose nodes lie in several groups, and gives the pairs of a bucket, in
+    different groups, that may be linked; without it, a join gives those that satisfy ``may``.
 
     Gives (node, root) of all linked nodes, and the links found."""
     sizes = members.groupBy("bucket").agg(F.count("*").alias("size"), F.min(F.struct("node", "weight")).alias("first")).where("size > 1")
@@ -92,13 +95,16 @@ def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callab
     links = common.durable(test(tested), "links")
     roots = common.durable(components(links, native), "roots")
 
-    spots = many.select("bucket", "node", "weight").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    spots = many.select("bucket", "node", "weight", "size").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     split = spots.groupBy("bucket").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("bucket")
     spots = common.durable(spots.join(split, "bucket", "left_semi"), "open")
     if not spots.isEmpty():
-        other = spots.select("bucket", F.col("node").alias("b"), F.col("weight").alias("w"), F.col("root").alias("r"))
-        rest = spots.join(other, "bucket").where((F.col("node") < F.col("b")) & (F.col("root") != F.col("r")) & may(F.col("weight"), F.col("w"))).select(F.col("node").alias("a"), "b").distinct()
-        rest = common.durable(rest.join(tested, ["a", "b"], "left_anti"), "pairs")
+        if across:
+            rest = across(spots)
+        else:
+            other = spots.select("bucket", F.col("node").alias("b"), F.col("weight").alias("w"), F.col("root").alias("r"))
+            rest = spots.join(other, "bucket").where((F.col("node") < F.col("b")) & (F.col("root") != F.col("r")) & may(F.col("weight"), F.col("w"))).select(F.col("node").alias("a"), "b")
+        rest = common.durable(rest.distinct().join(tested, ["a", "b"], "left_anti"), "pairs")
         if not rest.isEmpty():
             more = common.durable(test(rest), "links")
             links = links.unionByName(more)

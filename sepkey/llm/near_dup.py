@@ -32,6 +32,9 @@ _INSIDE = common.byte_class(lambda b: b != 32 and not 9 <= b <= 13)
 _FULL = np.uint64(0xFFFFFFFFFFFFFFFF)
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 _DENSE_FROM = 12
+#: Rows of a block, and columns of a matrix product, when a large bucket's rows are compared across groups.
+BLOCK = 256
+_COLUMNS = 8192
 
 
 def bands_for(threshold: float) -> tuple[int, int]:
@@ -173,6 +176,60 @@ def _sets(docs: DataFrame, nodes: DataFrame, k: int) -> DataFrame:
     return common.map_arrow(rows, run, "node long, n long, hashes array<long>").dropDuplicates(["node"])
 
 
+def _compare(percent: int):
+    """Pairs of one task's rows (node, root, side, hashes as 32-bit bytes; i, j: its blocks) that lie in different groups and may be linked.
+    Intersections come from one matrix product over the shingles that more than one row has. As 32-bit hashes may collide inside a set, two
+    shingles are allowed for; the pairs are confirmed on the full sets afterwards."""
+
+    def run(batch: pa.Table) -> pa.Table:
+        node, root, side = (batch.column(c).to_numpy() for c in ("node", "root", "side"))
+        order = np.argsort(node, kind="stable")
+        node, root, side = node[order], root[order], side[order]
+        blobs = batch.column("hashes").to_pylist()
+        sets = [np.unique(np.frombuffer(blobs[k], np.uint32)) for k in order.tolist()]
+        n = np.array([len(x) for x in sets])
+        row = np.repeat(np.arange(len(sets)), n)
+        _, column, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+        keep = times[column] > 1
+        row, column = row[keep], column[keep]
+        used, column = np.unique(column, return_inverse=True)
+        by = np.argsort(column, kind="stable")
+        row, column = row[by], column[by]
+        both = np.zeros((len(sets), len(sets)), np.float32)
+        for lo in range(0, len(used), _COLUMNS):
+            a, b = np.searchsorted(column, (lo, lo + _COLUMNS))
+            part = np.zeros((len(sets), min(_COLUMNS, len(used) - lo)), np.float32)
+            part[row[a:b], column[a:b] - lo] = 1
+            both += part @ part.T
+        may = 100 * (both + 2) >= percent * (n[:, None] + n[None, :] - both - 2)
+        may &= (root[:, None] != root[None, :]) & (node[:, None] < node[None, :])
+        if batch.column("i")[0].as_py() != batch.column("j")[0].as_py():
+            may &= side[:, None] != side[None, :]
+        a, b = np.nonzero(may)
+        return pa.table({"a": node[a], "b": node[b]})
+
+    return run
+
+
+def _across(docs: DataFrame, nodes: DataFrame, k: int, percent: int):
+    def run(spots: DataFrame) -> DataFrame:
+        wanted = common.durable(spots.select("node").distinct().join(nodes, "node").select("node", "set_a"), "ends")
+
+        def narrow(batches):
+            for batch in batches:
+                short = [np.asarray(x).astype(np.int64).view(np.uint64).astype(np.uint32).tobytes() for x in batch.column(1).to_numpy(zero_copy_only=False)]
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(short, pa.binary())], ["node", "hashes"])
+
+        sets = common.durable(common.map_arrow(_sets(docs, wanted, k).select("node", "hashes"), narrow, "node long, hashes binary"), "narrow")
+        blocks = F.ceil(F.col("size") / BLOCK).cast("int")
+        side = F.pmod(F.xxhash64("node"), blocks).cast("int")
+        tasks = spots.select("bucket", "node", "root", side.alias("side"), F.explode(F.sequence(F.lit(0), blocks - 1)).alias("o"))
+        tasks = tasks.select("bucket", "node", "root", "side", F.least("side", "o").alias("i"), F.greatest("side", "o").alias("j")).join(sets, "node")
+        return tasks.groupBy("bucket", "i", "j").applyInArrow(_compare(percent), "a long, b long")
+
+    return run
+
+
 def near_duplicates(docs: DataFrame, percent: int = 85, k: int = K) -> DataFrame:
     """One row for each row of ``docs``: doc_id, n_shingles, component_id, kept. Sets A and B are linked if
     100 |A and B| >= percent |A or B|."""
@@ -195,7 +252,7 @@ def near_duplicates(docs: DataFrame, percent: int = 85, k: int = K) -> DataFrame
         return both.where(100 * common_n >= percent * (F.col("n_a") + F.col("n_b") - common_n)).select("a", "b")
 
     may = lambda p, q: 100 * F.least(p, q) >= percent * F.greatest(p, q)
-    roots, _ = grouping.link(members, test, may)
+    roots, _ = grouping.link(members, test, may, across=_across(docs, nodes, k, percent))
     ids = picked.join(nodes, of_set).join(roots, "node", "left").select("doc_id", F.coalesce("root", "node").alias("component_id"))
     out = marks.select("doc_id", "n_shingles").join(ids, "doc_id", "left")
     own = F.coalesce("component_id", "doc_id")
