@@ -46,21 +46,19 @@ def _shift(x: Column, n: int) -> Column:
 
 def lines_of(docs: DataFrame) -> DataFrame:
     """doc_id, line_no, words (with empty ones at the ends), norm, node."""
-    each = docs.where("doc_id is not null and text is not null").select("doc_id", F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
+    each = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
     each = each.select("doc_id", "line_no", _words(F.col("line")).alias("words"))
     each = each.select("doc_id", "line_no", "words", F.trim(F.array_join("words", " ")).alias("norm"))
     return each.withColumn("node", F.xxhash64("norm"))
 
 
 def _sim(total: str, sums: list[str]) -> Column:
-    """Per lane: (count + 2^20 - 1 - total div 2) has its top bit if and only if 2 count > total."""
-    add = F.lit(1 << (_LANES - 1)) - 1 - F.floor(F.col(total) / 2)
+    """In each lane count + 2^20 - 1 - total div 2 has its top bit if and only if 2 count > total; all three lanes are added and read at once."""
+    add = (F.lit(1 << (_LANES - 1)) - 1 - F.floor(F.col(total) / 2)).cast("long") * F.lit(_ONES)
     out = F.lit(0).cast("long")
     for k, name in enumerate(sums):
-        for lane in range(3):
-            count = _shift(F.col(name), lane * _LANES).bitwiseAND(F.lit((1 << _LANES) - 1))
-            bit = _shift((count + add).cast("long"), _LANES - 1).bitwiseAND(F.lit(1))
-            out = out.bitwiseOR(F.shiftleft(bit.cast("long"), k + lane * _LANES))
+        tops = _shift(F.col(name) + add, _LANES - 1).bitwiseAND(F.lit(_ONES))
+        out = out.bitwiseOR(F.shiftleft(tops, k))
     return out
 
 
@@ -79,10 +77,21 @@ def _buckets(nodes: DataFrame) -> DataFrame:
     return nodes.where("sim is not null").select(F.explode(F.array(*keys)).alias("bucket"), "node", F.struct("size", "sim").alias("weight"))
 
 
+#: More than the lines that one document can have.
+_LINES = 1 << 31
+
+
+def _place() -> Column:
+    """(doc_id, line number) as one number: unlike a struct, its minimum is kept in place by hash aggregates."""
+    return (F.col("doc_id").cast("decimal(20,0)") * F.lit(_LINES) + F.col("line_no")).cast("decimal(38,0)")
+
+
 def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """(doc_id, gone): the numbers of the lines to remove, for documents that have any."""
     seen = common.durable(fingerprints(docs), "lines")
-    nodes = common.durable(seen.groupBy("node").agg(F.max("size").alias("size"), F.max("sim").alias("sim"), F.count("*").alias("n"), F.min(F.struct("doc_id", "line_no")).alias("first")), "nodes")
+    seen = seen.withColumn("place", _place())
+    nodes = seen.groupBy("node").agg(F.max("size").alias("size"), F.max("sim").alias("sim"), F.count("*").alias("n"), F.min("place").alias("first"))
+    nodes = common.durable(nodes, "nodes")
 
     def may(p: Column, q: Column) -> Column:
         near = F.bit_count(p["sim"].bitwiseXOR(q["sim"])) <= DISTANCE
@@ -90,7 +99,8 @@ def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
 
     def test(pairs: DataFrame) -> DataFrame:
         ends = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
-        ends = common.durable(ends.join(nodes, "node").select("node", F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no")), "ends")
+        line_no = F.pmod("first", F.lit(_LINES))
+        ends = common.durable(ends.join(nodes, "node").select("node", ((F.col("first") - line_no) / _LINES).cast("long").alias("doc_id"), line_no.cast("int").alias("line_no")), "ends")
         at = ends.groupBy("doc_id").agg(F.collect_set("line_no").alias("wanted"))
         some = docs.select("doc_id", "text").join(_small(common.durable(at, "at")), "doc_id")
         line = some.select("doc_id", F.posexplode(F.split("text", "\n")).alias("line_no", "line"), "wanted").where(F.array_contains("wanted", F.col("line_no")))
@@ -98,14 +108,17 @@ def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
         norm = common.durable(norm, "texts")
         both = pairs.join(norm.select(F.col("node").alias("a"), F.col("norm").alias("x")), "a").join(norm.select(F.col("node").alias("b"), F.col("norm").alias("y")), "b")
         longer = F.greatest(F.length("x"), F.length("y"))
-        edits = F.call_function("levenshtein", F.col("x"), F.col("y"), F.floor(longer * (100 - percent) / 100).cast("int"))
-        return both.where(edits >= 0).select("a", "b")
+        most = F.floor(longer * (100 - percent) / 100).cast("int")
+        edits = lambda limit: F.call_function("levenshtein", F.col("x"), F.col("y"), limit.cast("int"))
+        # exchanging the words that differ place by place is one way to edit: if it is cheap enough, nothing else need be tried
+        swaps = F.aggregate(F.zip_with(F.split("x", " "), F.split("y", " "), lambda v, w: F.when(v.eqNullSafe(w), 0).otherwise(1 + F.greatest(F.coalesce(F.length(v), F.lit(0)), F.coalesce(F.length(w), F.lit(0))))), F.lit(0), lambda n, c: n + c)
+        return both.where((swaps <= most) | (edits(most / 8) >= 0) | (edits(most) >= 0)).select("a", "b")
 
     roots, _ = grouping.link(_buckets(nodes), test, may, native=True)
     tied = nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     keep = tied.groupBy("root").agg(F.min("first").alias("keep"), F.sum("n").alias("n")).where("n > 1")
     lines = tied.join(keep.select("root", "keep"), "root").select("node", "keep")
-    gone = seen.join(lines, "node").where(F.struct("doc_id", "line_no") != F.col("keep"))
+    gone = seen.join(lines, "node").where(F.col("place") != F.col("keep"))
     return gone.groupBy("doc_id").agg(F.array_sort(F.collect_set("line_no")).alias("gone"))
 
 

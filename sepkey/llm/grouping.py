@@ -84,13 +84,14 @@ def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callab
     different groups, that may be linked; without it, a join gives those that satisfy ``may``.
 
     Gives (node, root) of all linked nodes, and the links found."""
-    sizes = members.groupBy("bucket").agg(F.count("*").alias("size"), F.min(F.struct("node", "weight")).alias("first")).where("size > 1")
-    live = common.durable(members.join(sizes, "bucket").select("bucket", "node", "weight", "size", F.col("first.node").alias("lead"), F.col("first.weight").alias("lead_weight")), "buckets")
+    sizes = members.groupBy("bucket").agg(F.count("*").alias("size"), F.min("node").alias("lead")).where("size > 1")
+    live = common.durable(members.join(sizes, "bucket").select("bucket", "node", "weight", "size", "lead"), "buckets")
     few = live.where(F.col("size") <= SMALL).select("bucket", "node", "weight")
     other = few.select("bucket", F.col("node").alias("b"), F.col("weight").alias("w"))
     pairs = few.join(other, "bucket").where((F.col("node") < F.col("b")) & may(F.col("weight"), F.col("w"))).select(F.col("node").alias("a"), "b")
     many = live.where(F.col("size") > SMALL)
-    stars = many.where((F.col("node") > F.col("lead")) & may(F.col("weight"), F.col("lead_weight"))).select(F.col("lead").alias("a"), F.col("node").alias("b"))
+    leads = many.where("node = lead").select("bucket", F.col("weight").alias("lead_weight"))
+    stars = many.join(leads, "bucket").where((F.col("node") > F.col("lead")) & may(F.col("weight"), F.col("lead_weight"))).select(F.col("lead").alias("a"), F.col("node").alias("b"))
     tested = common.durable(pairs.unionByName(stars).distinct(), "pairs")
     links = common.durable(test(tested), "links")
     roots = common.durable(components(links, native), "roots")
