@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 import sepkey
 
 #: Bytes of text that one vectorised step holds at a time; a longer document is a step of its own.
-STEP_BYTES = 4 << 20
+STEP_BYTES = 2 << 20
 STEP_ROWS = 4096
 
 

@@ -269,7 +269,8 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
                 fold = part.column(3).to_numpy()
                 x = np.zeros((len(texts), len(FEATURES)))
                 for f in np.unique(fold).tolist():
-                    x[fold == f] = features(texts, sent.value[f])[fold == f]
+                    own = common.texts_of(part.column(1).filter(pa.array(fold == f)))
+                    x[fold == f] = features(own, sent.value[f])
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), part.column(3), pa.array(list(x), pa.list_(pa.float64()))], ["doc_id", "toxic", "fold", "x"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
