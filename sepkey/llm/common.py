@@ -1,81 +1,22 @@
-"""What the training-data operators share: tables, durable intermediate results, and numpy views of Arrow text batches."""
+"""What the training-data operators share: numpy views of Arrow text batches, and hashes of runs of bytes."""
 
 from __future__ import annotations
 
-import atexit
 import sys
-import tempfile
-import uuid
-import zipfile
-from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
 
-import sepkey
+from sepkey.sources.stores import durable, map_arrow, shared_folder, ship, table
+
+__all__ = ["LOWER", "STEP_BYTES", "STEP_ROWS", "Texts", "Words", "byte_class", "durable", "map_arrow", "mix", "per_process", "run_hashes", "shared_folder", "ship", "steps", "table", "texts_of"]
 
 #: Bytes of text that one vectorised step holds at a time; a longer document is a step of its own.
 STEP_BYTES = 2 << 20
 STEP_ROWS = 4096
 
 
-def ship(spark: SparkSession) -> None:
-    """Sends the package to the executors, once for each Spark application: they need no copy on their own disks."""
-    sc = spark.sparkContext
-    if getattr(sc, "_sepkey_sent", False):
-        return
-    top = Path(sepkey.__file__).parent
-    where = Path(tempfile.mkdtemp(prefix="sepkey-")) / "sepkey_package.zip"
-    with zipfile.ZipFile(where, "w") as z:
-        for p in sorted(top.rglob("*.py")):
-            z.write(p, str(p.relative_to(top.parent)))
-    sc.addPyFile(str(where))
-    sc._sepkey_sent = True
-
-
-def map_arrow(df: DataFrame, run, schema) -> DataFrame:
-    ship(df.sparkSession)
-    return df.mapInArrow(run, schema)
-
-
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder named by ``spark.checkpoint.dir``. Where none is set, a local master gets a temporary folder and any other
-    the warehouse, which all executors see."""
-    sc = spark.sparkContext
-    found = sc._jsc.sc().getCheckpointDir()
-    if not found.isDefined():
-        if sc.master.startswith("local[") or sc.master == "local":
-            sc.setCheckpointDir(tempfile.mkdtemp(prefix="sepkey-"))
-        else:
-            sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir") + "/checkpoints")
-        found = sc._jsc.sc().getCheckpointDir()
-    return found.get()
-
-
-def durable(df: DataFrame, name: str = "step") -> DataFrame:
-    """``df`` written as Parquet in the shared folder and read back: cut lineage that outlives a lost executor. The files go
-    when the driver ends."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    atexit.register(_remove, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def _remove(spark: SparkSession, path: str) -> None:
-    try:
-        hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-        hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop, True)
-    except Exception:  # the session may be gone at exit; the folder is then the cluster's to clear
-        return
-
-
 def per_process(key: tuple, make):
     """A value made once in each Python worker, such as a loaded tokenizer."""
     kept = sys.__dict__.setdefault("_sepkey_kept", {})

@@ -1,7 +1,7 @@
 """Deduplication of fuzzy lines, with DataFrame functions only.
 
-A line is normalised to its lower-case words of letters and digits with one blank between; lines of one normalised form are one node
-(by a 64-bit hash). A node's SimHash has 63 bits: bit i says whether most words' hashes have bit i. Counting goes by 21 sums that
+A line is normalised to its lower-case words (digits, ASCII letters and all characters beyond ASCII) with one blank between; lines of one
+normalised form are one node (by a 64-bit hash). A node's SimHash has 63 bits: bit i says whether most words' hashes have bit i. Counting goes by 21 sums that
 each hold three counters of 21 bits, so one word costs 21 additions in generated code, not 63 rows.
 
 If two SimHashes differ in at most ``DISTANCE`` = 2 bits, then of four blocks at least two agree: each pair of blocks, about 31 bits, is a
@@ -37,7 +37,7 @@ def _small(df: DataFrame) -> DataFrame:
 
 
 def _words(line: Column) -> Column:
-    return F.split(F.lower(line), r"[^\p{L}\p{N}]+")
+    return F.split(F.lower(line), r"[\x00-\x2f\x3a-\x60\x7b-\x7f]+")
 
 
 def _shift(x: Column, n: int) -> Column:
@@ -112,7 +112,8 @@ def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
         edits = lambda limit: F.call_function("levenshtein", F.col("x"), F.col("y"), limit.cast("int"))
         # exchanging the words that differ place by place is one way to edit: if it is cheap enough, nothing else need be tried
         swaps = F.aggregate(F.zip_with(F.split("x", " "), F.split("y", " "), lambda v, w: F.when(v.eqNullSafe(w), 0).otherwise(1 + F.greatest(F.coalesce(F.length(v), F.lit(0)), F.coalesce(F.length(w), F.lit(0))))), F.lit(0), lambda n, c: n + c)
-        return both.where((swaps <= most) | (edits(most / 8) >= 0) | (edits(most) >= 0)).select("a", "b")
+        # so the narrow bands of the edit matrix come first, and the widest only where all else leaves it open
+        return both.where((edits(most / 32) >= 0) | (swaps <= most) | (edits(most / 8) >= 0) | (edits(most) >= 0)).select("a", "b")
 
     roots, _ = grouping.link(_buckets(nodes), test, may, native=True)
     tied = nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
