@@ -13,6 +13,7 @@ by the driver; ``query_df`` answers inside Spark, and the sample can be stored a
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -77,18 +78,20 @@ class TupleFilter(_Monotone):
         self._code: dict[str, np.ndarray] | None = None
 
     @classmethod
-    def build(cls, df: DataFrame, eps: float, seed: int, identity: list[Column], attrs: list[str] | None = None, mode: str = "practical", r: int | None = None, replacement: bool = False, keep: bool = True, rank: str = "md5", **planner) -> TupleFilter:
+    def build(cls, df: DataFrame, eps: float, seed: int, identity: list[Column], attrs: list[str] | None = None, mode: str = "practical", r: int | None = None, replacement: bool = False, keep: bool = True, rank: str = "md5", derive=None, **planner) -> TupleFilter:
         """``keep`` writes the sample once, so that queries do not draw it anew. With replacement, a row drawn twice counts once: two draws of one row
-        are no evidence against a set."""
+        are no evidence against a set. ``derive`` makes the attributes from sampled rows, where they are costly to make for all."""
+        derive = derive or (lambda rows: rows)
         attrs = attrs or df.columns
         r = r if r is not None else bounds.tuple_sample_size(len(attrs), eps, mode, **planner)
         if replacement:
             drawn = sampling.tuples_wr(df, r, seed, identity)
-            sample = drawn.dropDuplicates(["ordinal"]).select(*attrs)
+            sample = derive(drawn.dropDuplicates(["ordinal"])).select(*attrs)
             n = None
         else:
             n = df.count() if keep else None
-            sample = sampling.tuples(df, r, seed, identity, rank, n).select(*attrs)
+            sample = sampling.tuples(df, r, seed, identity, rank, n)
+            sample = derive(sample).select(*attrs)
         if keep:
             sample = stores.durable(sample.coalesce(1), "sample")
         about = {"kind": "tuples", "eps": float(eps), "m": len(attrs), "r": r, "n": n if n is not None else -1, "seed": seed}
@@ -161,6 +164,7 @@ class PairFilter(_Monotone):
     def __init__(self, flags: DataFrame, attrs: list[str], about: dict):
         self.flags, self.attrs, self.about = flags, attrs, about
         self._masks: list[int] | None = None
+        self._packed: np.ndarray | None = None
 
     @classmethod
     def build(cls, df: DataFrame, eps: float, seed: int, identity: list[Column], attrs: list[str] | None = None, mode: str = "practical", s: int | None = None, pair_mode: str = "independent", keep: bool = True, rows: DataFrame | None = None, **planner) -> PairFilter:
@@ -171,19 +175,49 @@ class PairFilter(_Monotone):
             flags = stores.durable(flags, "pairs")
         return cls(flags, attrs, {"kind": "pairs", "eps": float(eps), "m": len(attrs), "s": s, "seed": seed})
 
+    @classmethod
+    def build_graded(cls, df: DataFrame, eps: float, seed: int, identity: list[Column], codes: list[str], moduli: tuple, attrs: list[str], s: int | None = None, rows: DataFrame | None = None) -> PairFilter:
+        """For very many attributes that are remainders of few integer codes: pairs carry the codes, and each pair becomes one string of bits (attribute differs),
+        made in batches of Arrow."""
+        s = s if s is not None else bounds.pair_sample_size(len(attrs), eps)
+        whole = df.select("*", F.array(*codes).alias("__v")) if rows is None else rows
+        met = sampling.pairs(whole.select("__v"), s, seed, identity, rows=whole) if rows is not None else sampling.pairs(whole, s, seed, identity)
+        flags = stores.map_arrow(met.select("slot", F.col("l.__v").alias("l"), F.col("r.__v").alias("r")), _graded_bits(moduli), "slot long, differs binary")
+        return cls(stores.durable(flags, "pairs"), attrs, {"kind": "pairs", "eps": float(eps), "m": len(attrs), "s": s, "seed": seed})
+
     def matrix(self) -> np.ndarray:
         """Pairs by attributes: agrees."""
+        if "differs" in self.flags.columns:
+            return ~np.unpackbits(self._bits(), axis=1, bitorder="little")[:, : len(self.attrs)].astype(bool)
         return self.flags.select(*self.attrs).toPandas().to_numpy(bool)
 
+    def _bits(self) -> np.ndarray:
+        blobs = self.flags.select("differs").toPandas()["differs"]
+        return np.frombuffer(b"".join(map(bytes, blobs)), np.uint8).reshape(len(blobs), -1)
+
+    def packed(self) -> np.ndarray:
+        """Distinct rows of bits (attribute differs), eight attributes a byte."""
+        if self._packed is None:
+            bits = self._bits() if "differs" in self.flags.columns else np.packbits(~self.matrix(), axis=1, bitorder="little")
+            rows = np.ascontiguousarray(bits).view(f"V{bits.shape[1]}").ravel() if len(bits) else bits
+            self._packed = bits[np.unique(rows, return_index=True)[1]] if len(bits) else bits
+        return self._packed
+
     def minimal_masks(self) -> list[int]:
         """Distinct masks of the attributes on which a pair differs, without those that hold another: a set that meets all minimal ones meets all."""
         if self._masks is None:
-            self._masks = minimal_masks(difference_masks(~self.matrix()))
+            self._masks = minimal_masks([int.from_bytes(row.tobytes(), "little") for row in self.packed()])
         return self._masks
 
     def accepts(self, attrs: list[str]) -> bool:
-        chosen = mask_of(attrs, self.attrs)
-        return all(m & chosen for m in self.minimal_masks())
+        at = {a: i for i, a in enumerate(self.attrs)}
+        left = np.arange(len(self.packed()))
+        for a in attrs:  # pairs that are told apart leave
+            if not len(left):
+                break
+            i = at[a]
+            left = left[(self.packed()[left, i >> 3] >> (i & 7)) & 1 == 0]
+        return not len(left)
 
     def query_df(self, sets: Sets) -> DataFrame:
         """set_name, accept: one aggregate with a condition for each set, ``_WIDE`` sets at a time."""
@@ -207,6 +241,20 @@ class PairFilter(_Monotone):
 _WIDE = 40
 
 
+def _graded_bits(moduli: tuple):
+    def run(batches):
+        for batch in batches:
+            n = batch.num_rows
+            if not n:
+                continue
+            left, right = (batch.column(i).flatten().to_numpy(zero_copy_only=False).reshape(n, -1) for i in (1, 2))
+            differs = np.stack([(left != right) if b is None else (left % b != right % b) for b in moduli], axis=2).reshape(n, -1)
+            bits = np.packbits(differs, axis=1, bitorder="little")
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([r.tobytes() for r in bits], pa.binary())], ["slot", "differs"])
+
+    return run
+
+
 def _all(attrs: list[str]) -> Column:
     out = F.lit(True)
     for a in attrs:
@@ -219,14 +267,6 @@ def mask_of(attrs: list[str], order: list[str]) -> int:
     return sum(1 << at[a] for a in set(attrs))
 
 
-def difference_masks(differs: np.ndarray) -> list[int]:
-    """Distinct rows of a boolean matrix as integers of any width, bit i for column i."""
-    if not len(differs):
-        return []
-    packed = np.unique(np.packbits(differs, axis=1, bitorder="little"), axis=0)
-    return [int.from_bytes(row.tobytes(), "little") for row in packed]
-
-
 def minimal_masks(masks: list[int]) -> list[int]:
     out: list[int] = []
     for m in sorted(set(masks), key=lambda x: (x.bit_count(), x)):

@@ -140,20 +140,26 @@ def w2(spark: SparkSession, sf_dir: str) -> DataFrame:
 W2_SQL = "SELECT l_orderkey, l_extendedprice, " + ", ".join(f"{e} AS {n}" for n, e in coarse_columns(ATTRIBUTES["lineitem"], W2_MODULI, "duckdb")) + " FROM lineitem"
 
 
-def w3(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The star join of all seven tables, 31 columns, each in 12 grades: 372 integer columns, beside the identity columns."""
+def w3_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The star join of all seven tables as 31 integer codes, beside the identity columns. Samples are drawn from this; the 12 grades of a code are
+    made of sampled rows only, as they follow from it."""
     names = ("lineitem", "orders", "customer", "nation", "region", "part", "supplier")
     li, o, c, n, r, p, s = (table(spark, sf_dir, x) for x in names)
     wide = li.join(o, li.l_orderkey == o.o_orderkey).join(c, F.col("o_custkey") == c.c_custkey).join(n, F.col("c_nationkey") == n.n_nationkey).join(r, F.col("n_regionkey") == r.r_regionkey)
     wide = wide.join(p, F.col("l_partkey") == p.p_partkey).join(s, F.col("l_suppkey") == s.s_suppkey)
-    return wide.select("l_orderkey", "l_extendedprice", *[F.expr(e).alias(x) for x, e in coarse_columns(W3_COLUMNS, W3_MODULI, "spark")])
+    return wide.select("l_orderkey", "l_extendedprice", *[F.expr(code_sql(x, "spark")).alias(f"{x}_code") for x in W3_COLUMNS])
+
+
+def w3_grades(codes: DataFrame) -> DataFrame:
+    """All 372 columns of rows of ``w3_codes``."""
+    return codes.select(*[(F.col(f"{c}_code") if b is None else F.pmod(f"{c}_code", F.lit(b))).alias(f"{c}_code" if b is None else f"{c}_m{b}") for c in W3_COLUMNS for b in W3_MODULI])
 
 
 W3_ATTRIBUTES = [n for n, _ in coarse_columns(W3_COLUMNS, W3_MODULI, "spark")]
 
 
 def source(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return {"w1": w1, "w2": w2, "w3": w3}[name](spark, sf_dir) if name in ("w1", "w2", "w3") else table(spark, sf_dir, name)
+    return {"w1": w1, "w2": w2}[name](spark, sf_dir) if name in ("w1", "w2") else table(spark, sf_dir, name)
 
 
 def source_sql(name: str) -> str:

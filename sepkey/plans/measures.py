@@ -143,5 +143,5 @@ def _loaded(kept):
     if isinstance(kept, filters.TupleFilter):
         kept.codes()
     else:
-        kept.minimal_masks()
+        kept.packed()
     return kept

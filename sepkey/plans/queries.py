@@ -226,11 +226,10 @@ add("w11_sensitivity_lineitem", _sensitivity)
 
 def _wide(spark, d):
     """372 columns: agreement over 100 random sets. Too wide for one SQL statement of the other engine."""
-    rows, attrs = durable(catalog.w3(spark, d), "wide"), catalog.W3_ATTRIBUTES
+    rows, attrs, ids = durable(catalog.w3_codes(spark, d), "wide"), catalog.W3_ATTRIBUTES, catalog.identity("w2")
     sets = catalog.named(catalog.random_sets(attrs))
-    ids = catalog.identity("w2")
-    a = filters.TupleFilter.build(rows, EPS, SEED, ids, attrs)
-    b = filters.PairFilter.build(rows, EPS, SEED, ids, attrs)
+    a = filters.TupleFilter.build(rows, EPS, SEED, ids, attrs, derive=catalog.w3_grades)
+    b = filters.PairFilter.build_graded(rows, EPS, SEED, ids, [f"{c}_code" for c in catalog.W3_COLUMNS], catalog.W3_MODULI, attrs)
     x, y = a.query_many(sets), b.query_many(sets)
     out = measures.agreement(frame(spark, "set_name string, tuple_accept boolean, pair_accept boolean", [(n, x[n], y[n]) for n, _ in sets]))
     return out.withColumn("tuples", F.lit(a.about["r"])).withColumn("pairs", F.lit(b.about["s"]))
@@ -354,7 +353,7 @@ _HITS = sqltext.hits("lineitem", catalog.ATTRIBUTES["lineitem"], _SK_SETS, _S_LI
 _EST = f"SELECT set_name, hits, CASE WHEN hits < {_SK['alpha'] * _S_LI / 10!r} THEN 'small' ELSE 'estimate' END AS status, CASE WHEN hits >= {_SK['alpha'] * _S_LI / 10!r} THEN CAST(round(CAST(hits AS DOUBLE) / {_S_LI} * (SELECT CAST(count(*) * (count(*) - 1) // 2 AS DOUBLE) FROM lineitem)) AS BIGINT) END AS gamma_hat FROM ({_HITS})"
 add("n1_sketch_sizes", lambda spark, d: frame(spark, "m long, k long, inverse_alpha long, inverse_eps long, pairs long", [(m, k, ia, ie, bounds.sketch_pairs(m, k, 1 / ia, 1 / ie)) for m in (11, 13, 55) for k in (1, 2, 3) for ia in (10, 100) for ie in (5, 10)]), "SELECT CAST(m AS BIGINT) AS m, CAST(k AS BIGINT) AS k, CAST(ia AS BIGINT) AS inverse_alpha, CAST(ie AS BIGINT) AS inverse_eps, CAST(ceil(k * ln(m) / ((1.0 / ia) * (1.0 / ie) * (1.0 / ie))) AS BIGINT) AS pairs FROM (VALUES (11), (13), (55)) a(m), (VALUES (1), (2), (3)) b(k), (VALUES (10), (100)) c(ia), (VALUES (5), (10)) e(ie)")
 add("n3_hits_lineitem", lambda spark, d: _sketch(spark, d).hits(_SK_SETS), _HITS)
-add("n5_estimates_lineitem", lambda spark, d: _sketch(spark, d).estimate_many(_SK_SETS), _EST)
+add("n5_estimates_lineitem", lambda spark, d: _sketch(spark, d).estimate_many(_SK_SETS).withColumn("gamma_hat", F.coalesce("gamma_hat", F.lit(-1))), f"SELECT set_name, hits, status, coalesce(gamma_hat, -1) AS gamma_hat FROM ({_EST})")
 
 
 def _zones(spark, d):
@@ -499,10 +498,10 @@ def _asof(spark, d):
     e = table(spark, d, "events")
     seen = e.where("event_type = 'purchase'").select("user_id", "ts", F.col("event_id").alias("purchase"))
     out = relational.as_of(e.select("event_id", "user_id", "ts"), seen, ["user_id"], "ts", "purchase")
-    return out.select("event_id", F.col("as_of_purchase"))
+    return out.select("event_id", F.coalesce("as_of_purchase", F.lit(-1)).alias("as_of_purchase"))
 
 
-add("op_as_of_events", _asof, "SELECT e.event_id, p.event_id AS as_of_purchase FROM events e ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'purchase') p ON e.user_id = p.user_id AND e.ts >= p.ts")
+add("op_as_of_events", _asof, "SELECT e.event_id, coalesce(p.event_id, -1) AS as_of_purchase FROM events e ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'purchase') p ON e.user_id = p.user_id AND e.ts >= p.ts")
 
 
 def _near(spark, d):
