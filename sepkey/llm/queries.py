@@ -81,7 +81,41 @@ def op10_super_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_cotrained_quality, op2_chat_trees, op3_shortest_pack_first, op4_extendible_shards, op5_fuzzy_lines, op6_prefix_token_counts, op7_toxicity_trees, op8_benchmark_hits, op9_png_media, op10_super_minhash)}
 
+_FOLD = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+_ESCAPED = "replace(replace({}, '\\', '\\\\'), '<|', '<\\|')"
+
 ORACLES: dict[str, str] = {
+    "op2_chat_trees": f"""
+        WITH c AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations WHERE conv_id IS NOT NULL
+                   UNION ALL SELECT -1, t.range, CASE t.range WHEN 0 THEN 'user' ELSE 'assistant' END, '<|im_end|><|im_start|>assistant ok' FROM range(2) t),
+        x AS (SELECT conv_id, count(*) AS n_turns, string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text) AS said,
+                     coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (WHERE role = 'assistant'), '') AS learned,
+                     sum(24 + length(replace({_ESCAPED.format('role')}, chr(10), '\\n')) + length({_ESCAPED.format('text')})) AS chars FROM c GROUP BY conv_id)
+        SELECT conv_id, CAST(n_turns AS BIGINT) AS n_turns, sha256(said) AS turns_sha256, CAST(length(learned) AS BIGINT) AS loss_chars,
+               sha256(learned) AS loss_sha256, CAST(chars AS BIGINT) AS formatted_chars FROM x""",
+    "op8_benchmark_hits": rf"""
+        WITH d AS MATERIALIZED (SELECT doc_id, regexp_extract_all({_FOLD}, '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
+        i AS (SELECT item_id, regexp_extract_all({_FOLD}, '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark),
+        p AS (SELECT item_id, w, least(10, len(w)) AS n, unnest(range(1, greatest(2, len(w) - 8))) AS k0 FROM i WHERE len(w) > 0),
+        win AS MATERIALIZED (SELECT DISTINCT item_id, n, array_to_string(w[k0:k0 + n - 1], ' ') AS g FROM p),
+        q AS (SELECT doc_id, w, n, unnest(range(1, len(w) - n + 2)) AS k0 FROM d, (SELECT DISTINCT n FROM win) WHERE len(w) >= n),
+        m AS MATERIALIZED (SELECT DISTINCT doc_id, k0, n, item_id FROM (SELECT doc_id, k0, n, array_to_string(w[k0:k0 + n - 1], ' ') AS g FROM q) JOIN win USING (n, g)),
+        h AS (SELECT doc_id, count(DISTINCT pos) AS n_hit FROM (SELECT doc_id, unnest(range(k0, k0 + n)) AS pos FROM m) GROUP BY doc_id),
+        f AS (SELECT doc_id, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS items FROM (SELECT DISTINCT doc_id, CAST(item_id AS VARCHAR) AS item FROM m) GROUP BY doc_id)
+        SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(coalesce(n_hit, 0) AS BIGINT) AS n_hit, CAST(coalesce(n_items, 0) AS BIGINT) AS n_items,
+               sha256(coalesce(items, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+        FROM d LEFT JOIN h ON d.doc_id = h.doc_id LEFT JOIN f ON d.doc_id = f.doc_id""",
+    "op10_super_minhash": rf"""
+        WITH RECURSIVE d AS MATERIALIZED (SELECT doc_id, regexp_extract_all({_FOLD}, '[^\x20\x09-\x0D]+') AS w FROM documents),
+        p AS (SELECT doc_id, w, unnest(range(1, greatest(2, len(w) - 3))) AS k0 FROM d WHERE len(w) > 0),
+        s AS MATERIALIZED (SELECT DISTINCT doc_id, array_to_string(w[k0:k0 + 4], ' ') AS g FROM p),
+        n AS MATERIALIZED (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+        x AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS c FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL),
+        e AS MATERIALIZED (SELECT a, b FROM x JOIN n u ON u.doc_id = a JOIN n v ON v.doc_id = b WHERE 100 * c >= 85 * (u.n + v.n - c)),
+        both_ways AS MATERIALIZED (SELECT a, b FROM e UNION ALL SELECT b, a FROM e),
+        r(doc_id, root) AS (SELECT doc_id, doc_id FROM d UNION SELECT b, root FROM r JOIN both_ways ON a = r.doc_id)
+        SELECT d.doc_id, CAST(coalesce(n.n, 0) AS BIGINT) AS n_shingles, t.component_id, t.component_id = d.doc_id AS kept
+        FROM d LEFT JOIN n ON n.doc_id = d.doc_id JOIN (SELECT doc_id, min(root) AS component_id FROM r GROUP BY doc_id) t ON t.doc_id = d.doc_id""",
     "op4_extendible_shards": f"""
         WITH d AS (SELECT doc_id, CAST(strlen(coalesce(text, '')) AS BIGINT) AS n_bytes,
                           CAST('0x' || substr(md5(coalesce(CAST(doc_id AS VARCHAR), '')), 1, 15) AS BIGINT) AS h FROM documents),
