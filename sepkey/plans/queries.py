@@ -11,7 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from sepkey.functions import bounds, portable
+from sepkey.functions import bounds, portable, sql_surface
 from sepkey.operators import exact, filters, hardness, mincover, nonsep, relational, sampling, setcover
 from sepkey.plans import catalog, measures, sqltext
 from sepkey.sources.stores import durable, table
@@ -535,6 +535,16 @@ def _running(spark, d):
 add("op_running_frame_part", _running, f"SELECT step, CAST(sum(gamma_after) OVER (ORDER BY step) AS BIGINT) AS running FROM ({sqltext.greedy_trace('part', _NO_ID['part'])})")
 
 
+def _from_sql(spark, d):
+    """The greedy key of a sample, by a table function from SQL."""
+    sql_surface.register(spark)
+    sql_surface.sample_view(table(spark, d, "lineitem"), "lineitem", _R["lineitem"], SEED, catalog.identity("lineitem"), _HARD)
+    return spark.sql("SELECT * FROM greedy_trace(TABLE(sample_lineitem) WITH SINGLE PARTITION)")
+
+
+add("op_sql_surface_lineitem", _from_sql, sqltext.greedy_trace(sqltext.tuple_sample("lineitem", _R["lineitem"]), _HARD))
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Three sets of lineitem (a key, one with few pairs together, a bad one): the filter's answers beside the exact ones."""
     sets = [("l_orderkey,l_extendedprice", ["l_orderkey", "l_extendedprice"]), ("l_partkey", ["l_partkey"]), ("l_suppkey", ["l_suppkey"])]

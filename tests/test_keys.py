@@ -253,3 +253,21 @@ def test_relational_helpers(spark):
     nulls = spark.createDataFrame([(1, None), (2, None), (3, "k")], "i long, p string")
     assert {r.i for r in relational.rows_in_groups(nulls, ["p"]).collect()} == {1, 2}
     assert {r.i for r in relational.rows_in_groups(nulls, ["p"], alone=True).collect()} == {3}
+
+
+def test_methods_from_sql(spark, lineitem):
+    from sepkey.functions import sql_surface
+
+    sql_surface.register(spark)
+    lineitem.createOrReplaceTempView("lines")
+    groups = spark.sql("SELECT count(*) AS k FROM lines GROUP BY l_linenumber")
+    groups.createOrReplaceTempView("groups")
+    p = spark.sql("SELECT noncollision(k, 2) AS p FROM groups").first().p
+    assert p == pytest.approx(exact.unseparated(lineitem, ["l_linenumber"]).first().ratio)
+    row = spark.sql("SELECT sum(pairs_of(k)) AS g, separation_verdict(sum(pairs_of(k)), sum(k), 0.001) AS v FROM groups").first()
+    assert int(row.g) == gamma(lineitem, ["l_linenumber"]) and row.v == "bad"
+    attrs = ["l_suppkey", "l_quantity", "l_linenumber", "l_discount"]
+    sql_surface.sample_view(lineitem, "lines", 348, 42, catalog.identity("lineitem"), attrs)
+    steps = spark.sql("SELECT * FROM greedy_trace(TABLE(sample_lines) WITH SINGLE PARTITION) ORDER BY step").collect()
+    want = mincover.refine_greedy(filters._codes(spark.table("sample_lines"), attrs), attrs).steps
+    assert [(r.attr, r.gamma_after) for r in steps] == want
