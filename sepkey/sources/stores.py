@@ -28,8 +28,7 @@ def ship(spark: SparkSession) -> None:
     """Sends the package to the executors, once for each Spark application: they need no copy on their own disks. Arrow batches of this
     session become at most BATCH_BYTES: both sides of the pipe hold a few of them for each task."""
     sc = spark.sparkContext
-    size = spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch", "")
-    if size != f"{BATCH_BYTES}b" and not (size.removesuffix("b").isdigit() and 0 < int(size.removesuffix("b")) < BATCH_BYTES):
+    if spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch") == "67108864b":  # the default; a value of the user's own stays
         spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", f"{BATCH_BYTES}b")
     if getattr(sc, "_sepkey_sent", False):
         return
