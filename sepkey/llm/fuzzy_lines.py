@@ -54,7 +54,7 @@ def lines_of(docs: DataFrame) -> DataFrame:
 
 def _sim(total: str, sums: list[str]) -> Column:
     """In each lane count + 2^20 - 1 - total div 2 has its top bit if and only if 2 count > total; all three lanes are added and read at once."""
-    add = (F.lit(1 << (_LANES - 1)) - 1 - F.floor(F.col(total) / 2)).cast("long") * F.lit(_ONES)
+    add = (F.lit((1 << (_LANES - 1)) - 1) - F.shiftright(total, 1)) * F.lit(_ONES)
     out = F.lit(0).cast("long")
     for k, name in enumerate(sums):
         tops = _shift(F.col(name) + add, _LANES - 1).bitwiseAND(F.lit(_ONES))
@@ -77,6 +77,31 @@ def _buckets(nodes: DataFrame) -> DataFrame:
     return nodes.where("sim is not null").select(F.explode(F.array(*keys)).alias("bucket"), "node", F.struct("size", "sim").alias("weight"))
 
 
+def _alike(x: Column, y: Column, percent: int) -> Column:
+    """Whether the edits between two normalised lines are at most the rest of ``percent`` of the longer one.
+
+    Exchanging the words that differ place by place is one way to edit: if it is cheap enough, nothing else need be tried. Else the words that
+    both lines begin and end with are set aside, which leaves the edit distance as it is, and the distance of what is between is computed."""
+    v, w = F.split(x, " "), F.split(y, " ")
+    most = F.floor(F.greatest(F.length(x), F.length(y)) * (100 - percent) / 100).cast("int")
+    size = lambda c: F.coalesce(F.length(c), F.lit(0))
+    swaps = F.aggregate(F.zip_with(v, w, lambda c, d: F.when(c.eqNullSafe(d), 0).otherwise(1 + F.greatest(size(c), size(d)))), F.lit(0), lambda n, c: n + c)
+    fewer = F.least(F.size(v), F.size(w))
+
+    def shared(c: Column, d: Column) -> Column:
+        first = F.array_position(F.zip_with(c, d, lambda e, f: e.eqNullSafe(f)), False).cast("int")
+        return F.when(first == 0, fewer).otherwise(first - 1)
+
+    head = shared(v, w)
+    tail = F.least(shared(F.reverse(v), F.reverse(w)), fewer - head)
+    middle = lambda c: F.array_join(F.slice(c, head + 1, F.size(c) - head - tail), " ")
+    p, q = middle(v), middle(w)
+    # where one middle is empty, the other goes with one blank
+    gap = (F.length(p) == 0) | (F.length(q) == 0)
+    edits = F.when(gap, F.when(F.greatest(F.length(p), F.length(q)) + 1 <= most, 0).otherwise(-1)).otherwise(F.call_function("levenshtein", p, q, most))
+    return (swaps <= most) | (edits >= 0)
+
+
 #: More than the lines that one document can have.
 _LINES = 1 << 31
 
@@ -107,13 +132,7 @@ def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
         norm = line.select(F.trim(F.array_join(_words(F.col("line")), " ")).alias("norm")).select(F.xxhash64("norm").alias("node"), "norm").dropDuplicates(["node"])
         norm = common.durable(norm, "texts")
         both = pairs.join(norm.select(F.col("node").alias("a"), F.col("norm").alias("x")), "a").join(norm.select(F.col("node").alias("b"), F.col("norm").alias("y")), "b")
-        longer = F.greatest(F.length("x"), F.length("y"))
-        most = F.floor(longer * (100 - percent) / 100).cast("int")
-        edits = lambda limit: F.call_function("levenshtein", F.col("x"), F.col("y"), limit.cast("int"))
-        # exchanging the words that differ place by place is one way to edit: if it is cheap enough, nothing else need be tried
-        swaps = F.aggregate(F.zip_with(F.split("x", " "), F.split("y", " "), lambda v, w: F.when(v.eqNullSafe(w), 0).otherwise(1 + F.greatest(F.coalesce(F.length(v), F.lit(0)), F.coalesce(F.length(w), F.lit(0))))), F.lit(0), lambda n, c: n + c)
-        # so the narrow bands of the edit matrix come first, and the widest only where all else leaves it open
-        return both.where((edits(most / 32) >= 0) | (swaps <= most) | (edits(most / 8) >= 0) | (edits(most) >= 0)).select("a", "b")
+        return both.where(_alike(F.col("x"), F.col("y"), percent)).select("a", "b")
 
     roots, _ = grouping.link(_buckets(nodes), test, may, native=True)
     tied = nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
