@@ -53,12 +53,12 @@ def texts_of(column: pa.Array) -> Texts:
     return Texts(body, at - at[0])
 
 
-def steps(batch: pa.RecordBatch, column: str = "text"):
-    """``(rows of the batch, their Texts)`` in steps of about STEP_BYTES and at most STEP_ROWS."""
+def steps(batch: pa.RecordBatch, column: str = "text", size: int = STEP_BYTES):
+    """``(rows of the batch, their Texts)`` in steps of about ``size`` bytes and at most STEP_ROWS."""
     whole = texts_of(batch.column(batch.schema.get_field_index(column)))
     lo, n = 0, len(whole)
     while lo < n:
-        hi = max(lo + 1, int(np.searchsorted(whole.at, whole.at[lo] + STEP_BYTES, "right")) - 1)
+        hi = max(lo + 1, int(np.searchsorted(whole.at, whole.at[lo] + size, "right")) - 1)
         hi = min(hi, n, lo + STEP_ROWS)
         a, b = whole.at[lo], whole.at[hi]
         yield batch.slice(lo, hi - lo), Texts(whole.data[a:b], whole.at[lo : hi + 1] - a)

@@ -28,6 +28,8 @@ POSITIVES, NEGATIVES = 8_000, 12_000
 FOLDS = 4
 ENTRIES = 20_000
 NEAR = 8
+#: Bytes of text at a time: features take some hundred bytes of memory for each.
+STEP = 512 << 10
 _STEMS = (4, 5, 6)
 _TIERS = (12.0, 25.0, 60.0, 200.0)
 
@@ -205,7 +207,7 @@ def _lexicons(sample: DataFrame, totals: np.ndarray) -> list[Lexicon]:
 
     def count(batches):
         for batch in batches:
-            for part, texts in common.steps(batch):
+            for part, texts in common.steps(batch, size=STEP):
                 words = common.Words(texts, _WORD)
                 row = np.repeat(np.arange(len(texts)), words.counts())
                 kind = (part.column(3).to_numpy() * 2 + part.column(2).to_numpy().clip(0, 1)).astype(np.int64)
@@ -265,7 +267,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
 
     def run(batches):
         for batch in batches:
-            for part, texts in common.steps(batch):
+            for part, texts in common.steps(batch, size=STEP):
                 fold = part.column(3).to_numpy()
                 x = np.zeros((len(texts), len(FEATURES)))
                 for f in np.unique(fold).tolist():
@@ -289,7 +291,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for part, texts in common.steps(batch):
+            for part, texts in common.steps(batch, size=STEP):
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sent.value.scores(texts))], ["doc_id", "score"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
@@ -302,7 +304,7 @@ def reject(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for part, texts in common.steps(batch):
+            for part, texts in common.steps(batch, size=STEP):
                 yield part.filter(pa.array(sent.value.scores(texts) < threshold))
 
     return common.map_arrow(docs, run, docs.schema)
