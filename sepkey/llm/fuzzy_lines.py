@@ -1,12 +1,13 @@
 """Deduplication of fuzzy lines, with DataFrame functions only.
 
 A line is normalised to its lower-case words (digits, ASCII letters and all characters beyond ASCII) with one blank between; lines of one
-normalised form are one node (by a 64-bit hash). A node's SimHash has 63 bits: bit i says whether most words' hashes have bit i. Counting goes by 21 sums that
-each hold three counters of 21 bits, so one word costs 21 additions in generated code, not 63 rows.
+normalised form are one node (by a 64-bit hash). Two nodes are linked if the edit similarity of the normalised lines, 1 - edits / longer length, is
+at least the threshold; nothing else decides. Of each connected group the occurrence with the smallest (doc_id, line number) stays.
 
-If two SimHashes differ in at most ``DISTANCE`` = 2 bits, then of four blocks at least two agree: each pair of blocks, about 31 bits, is a
-bucket. Pairs that share a bucket are kept if the SimHashes are that near and the edit similarity of the normalised lines, 1 - edits
-/ longer length, is at least the threshold. Of each connected group the occurrence with the smallest (doc_id, line number) stays.
+Candidates share a run of 2, 3 or 4 words: the longer the lines, the longer the run (``RUNS``; lengths overlap, so lines of somewhat different
+lengths have a run length in common). Of its runs of one length a line puts the ``KEYS`` with the smallest hashes into buckets, all if it has no
+more. Two lines with a share J of all their runs in common then miss each other with chance about (1 - J)^KEYS, and never if neither has more
+than KEYS runs and one is common. Edits in so many words that no run is left whole are not found.
 
 Lines of fewer than ``MIN_WORDS`` words always stay (blank lines, brackets, rules). Lines of over a million words are matched by equality
 alone. Rows without doc_id pass unchanged; rows with one doc_id count as one document; null texts are empty and stay null. Extra columns are kept
@@ -15,21 +16,18 @@ by ``dedup`` and ignored by ``decide``.
 
 from __future__ import annotations
 
-from itertools import combinations
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import common, grouping
 
 MIN_WORDS = 3
-DISTANCE = 2
 PERCENT = 80
+#: (words of a run, fewest and most words of a line that is looked up by such runs)
+RUNS = ((2, 2, 7), (3, 6, 24), (4, 16, 1_000_000))
+KEYS = 16
 #: Most rows (documents with lines to remove, or with lines to compare) that may be broadcast; more are joined by a shuffle.
 BROADCAST_ROWS = 1_000_000
-_LANES = 21
-_ONES = 1 | 1 << _LANES | 1 << 2 * _LANES
-_BLOCKS = ((0, 16), (16, 16), (32, 16), (48, 15))
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -40,10 +38,6 @@ def _words(line: Column) -> Column:
     return F.split(F.lower(line), r"[\x00-\x2f\x3a-\x60\x7b-\x7f]+")
 
 
-def _shift(x: Column, n: int) -> Column:
-    return F.shiftrightunsigned(x, n)
-
-
 def lines_of(docs: DataFrame) -> DataFrame:
     """doc_id, line_no, words (with empty ones at the ends), norm, node."""
     each = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
@@ -52,29 +46,24 @@ def lines_of(docs: DataFrame) -> DataFrame:
     return each.withColumn("node", F.xxhash64("norm"))
 
 
-def _sim(total: str, sums: list[str]) -> Column:
-    """In each lane count + 2^20 - 1 - total div 2 has its top bit if and only if 2 count > total; all three lanes are added and read at once."""
-    add = (F.lit((1 << (_LANES - 1)) - 1) - F.shiftright(total, 1)) * F.lit(_ONES)
-    out = F.lit(0).cast("long")
-    for k, name in enumerate(sums):
-        tops = _shift(F.col(name) + add, _LANES - 1).bitwiseAND(F.lit(_ONES))
-        out = out.bitwiseOR(F.shiftleft(tops, k))
-    return out
+def _runs(h: Column, n: Column, length: int) -> Column:
+    """Hashes of the runs of ``length`` words, the KEYS smallest. Of three words the first and the last count as a run too."""
+    run = F.transform(F.slice(h, F.lit(1), F.greatest(F.lit(0), n - (length - 1))), lambda x, i: F.xxhash64(x, *[F.get(h, i + k) for k in range(1, length)]))
+    if length == 2:
+        run = F.when(n == 3, F.concat(run, F.array(F.xxhash64(F.get(h, F.lit(0)), F.get(h, F.lit(2)))))).otherwise(run)
+    return F.slice(F.array_sort(F.array_distinct(run)), 1, KEYS)
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
-    """One row for each occurrence of a line that takes part: doc_id, line_no, node, size (characters), sim (null: equality only)."""
-    sums = [f"s{k}" for k in range(_LANES)]
-    word = lines_of(docs).select("node", "doc_id", "line_no", F.length("norm").alias("size"), F.explode("words").alias("w")).where("w <> ''").withColumn("h", F.xxhash64("w"))
-    counted = word.groupBy("node", "doc_id", "line_no").agg(F.max("size").alias("size"), F.count("*").alias("n"), *[F.try_sum(_shift(F.col("h"), k).bitwiseAND(F.lit(_ONES))).alias(s) for k, s in enumerate(sums)])
-    # one addition to each lane must not carry: below a million words it cannot
-    return counted.where(F.col("n") >= MIN_WORDS).select("doc_id", "line_no", "node", "size", F.when(F.col("n") <= 1_000_000, _sim("n", sums)).alias("sim"))
+    """One row for each occurrence of a line that takes part: doc_id, line_no, node, size (characters), keys (none: equality only)."""
+    line = lines_of(docs).where("norm <> ''").withColumn("h", F.transform(F.split("norm", " "), lambda w: F.xxhash64(w))).withColumn("n", F.size("h"))
+    none = F.array().cast("array<long>")
+    keys = [F.when(F.col("n").between(lo, hi), _runs(F.col("h"), F.col("n"), length)).otherwise(none) for length, lo, hi in RUNS]
+    return line.where(F.col("n") >= MIN_WORDS).select("doc_id", "line_no", "node", F.length("norm").alias("size"), F.concat(*keys).alias("keys"))
 
 
 def _buckets(nodes: DataFrame) -> DataFrame:
-    block = [_shift(F.col("sim"), a).bitwiseAND(F.lit((1 << n) - 1)) for a, n in _BLOCKS]
-    keys = [F.lit(i).cast("long") * (1 << 32) + block[p] * (1 << 16) + block[q] for i, (p, q) in enumerate(combinations(range(4), 2))]
-    return nodes.where("sim is not null").select(F.explode(F.array(*keys)).alias("bucket"), "node", F.struct("size", "sim").alias("weight"))
+    return nodes.select(F.explode("keys").alias("bucket"), "node", F.col("size").alias("weight"))
 
 
 def _alike(x: Column, y: Column, percent: int) -> Column:
@@ -115,12 +104,12 @@ def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """(doc_id, gone): the numbers of the lines to remove, for documents that have any."""
     seen = common.durable(fingerprints(docs), "lines")
     seen = seen.withColumn("place", _place())
-    nodes = seen.groupBy("node").agg(F.max("size").alias("size"), F.max("sim").alias("sim"), F.count("*").alias("n"), F.min("place").alias("first"))
+    nodes = seen.groupBy("node").agg(F.max("size").alias("size"), F.any_value("keys").alias("keys"), F.count("*").alias("n"), F.min("place").alias("first"))
     nodes = common.durable(nodes, "nodes")
+    seen = seen.drop("keys")
 
     def may(p: Column, q: Column) -> Column:
-        near = F.bit_count(p["sim"].bitwiseXOR(q["sim"])) <= DISTANCE
-        return near & (100 * F.least(p["size"], q["size"]) >= percent * F.greatest(p["size"], q["size"]))
+        return 100 * F.least(p, q) >= percent * F.greatest(p, q)
 
     def test(pairs: DataFrame) -> DataFrame:
         ends = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
