@@ -9,7 +9,7 @@ lengths have a run length in common). Of its runs of one length a line puts the
 more. Two lines with a share J of all their runs in common then miss each other with chance about (1 - J)^KEYS, and never if neither has more
 than KEYS runs and one is common. Edits in so many words that no run is left whole are not found.
 
-Lines of fewer than ``MIN_WORDS`` words always stay (blank lines, brackets, rules). Lines of over a million words are matched by equality
+Lines without words always stay (blank lines, brackets, rules). Lines of one word and of over a million words are matched by equality
 alone. Rows without doc_id pass unchanged; rows with one doc_id count as one document; null texts are empty and stay null. Extra columns are kept
 by ``dedup`` and ignored by ``decide``.
 """
@@ -21,7 +21,6 @@ from pyspark.sql import functions as F
 
 from . import common, grouping
 
-MIN_WORDS = 3
 PERCENT = 80
 #: (words of a run, fewest and most words of a line that is looked up by such runs)
 RUNS = ((2, 2, 7), (3, 6, 24), (4, 16, 1_000_000))
@@ -59,7 +58,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     line = lines_of(docs).where("norm <> ''").withColumn("h", F.transform(F.split("norm", " "), lambda w: F.xxhash64(w))).withColumn("n", F.size("h"))
     none = F.array().cast("array<long>")
     keys = [F.when(F.col("n").between(lo, hi), _runs(F.col("h"), F.col("n"), length)).otherwise(none) for length, lo, hi in RUNS]
-    return line.where(F.col("n") >= MIN_WORDS).select("doc_id", "line_no", "node", F.length("norm").alias("size"), F.concat(*keys).alias("keys"))
+    return line.select("doc_id", "line_no", "node", F.length("norm").alias("size"), F.concat(*keys).alias("keys"))
 
 
 def _buckets(nodes: DataFrame) -> DataFrame:

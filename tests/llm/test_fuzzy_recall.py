@@ -72,3 +72,8 @@ def test_edit_similarity_decides_among_short_lines(spark):
     docs = spark.createDataFrame(list(enumerate(lines)), "doc_id long, text string")
     got = defaultdict(list, {r.doc_id: list(r.gone) for r in fuzzy_lines.decide(docs).collect()})
     assert want and set(got) == want
+
+
+def test_lines_of_one_and_two_words_repeat_too(spark):
+    docs = spark.createDataFrame([(1, "Read more\n\n{}\nOf."), (2, "read  more!\n\n{}\nof\nOff"), (3, "OF")], "doc_id long, text string")
+    assert {r.doc_id: list(r.gone) for r in fuzzy_lines.decide(docs).collect()} == {2: [0, 3], 3: [0]}
