@@ -313,8 +313,8 @@ add("k8_minimum_key_part", _true_minimum, sqltext.first_smallest([(z, i, ",".joi
 
 
 def _cover(spark, d):
-    """Words of the benchmark as elements, items as sets: greedy set cover by anti-joins."""
-    words = table(spark, d, "benchmark").select(F.explode(F.split(F.lower("text"), "[^a-z]+")).alias("elem"), F.format_string("item%05d", F.col("item_id")).alias("name")).where("length(elem) >= 12")
+    """Words of the benchmark (runs of digits, ASCII letters and characters beyond ASCII) as elements, items as sets: greedy set cover by anti-joins."""
+    words = table(spark, d, "benchmark").select(F.explode(F.split(F.lower("text"), r"[\x00-\x2f\x3a-\x60\x7b-\x7f]+")).alias("elem"), F.format_string("item%05d", F.col("item_id")).alias("name")).where("elem <> ''")
     return frame(spark, "step long, name string, covered long", [(i + 1, n, c) for i, (n, c) in enumerate(setcover.greedy(words))])
 
 
