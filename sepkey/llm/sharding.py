@@ -42,11 +42,16 @@ def _bits(h: Column, depth) -> Column:
 def assign(docs: DataFrame, limit: int, key: str = "doc_id", text: str = "text") -> DataFrame:
     """One row for each row of ``docs``: the key, n_bytes, depth and prefix of its bucket, its overflow page (0: none), and the rows and
     bytes of that shard."""
-    slim = docs.select(key, key_hash(F.col(key)).alias("h"), F.octet_length(F.coalesce(F.col(text), F.lit(""))).cast("long").alias("n_bytes"), F.spark_partition_id().alias("part"))
+    return _assigned(docs, limit, key, text, F.col(key).alias(key)).select(key, "n_bytes", "depth", "prefix", "page", "shard_docs", "shard_bytes")
+
+
+def _assigned(docs: DataFrame, limit: int, key: str, text: str, carried: Column) -> DataFrame:
+    """Each row's ``carried`` column with its place: a key does not tell rows apart."""
+    slim = docs.select(carried, key_hash(F.col(key)).alias("h"), F.octet_length(F.coalesce(F.col(text), F.lit(""))).cast("long").alias("n_bytes"), F.spark_partition_id().alias("part"))
     slim = common.durable(slim, "sizes")
     total = slim.agg(F.sum("n_bytes")).first()[0] or 0
     bits = min(BITS, max(0, math.ceil(math.log2(max(1, total / limit)))) + FINER)
-    pending, directory, above = slim, [], 0
+    pending, directory, above = slim.select("h", "n_bytes"), [], 0
     while True:
         leaves, left = _split(pending, limit, bits, above)
         directory.append(leaves)
@@ -59,8 +64,7 @@ def assign(docs: DataFrame, limit: int, key: str = "doc_id", text: str = "text")
         cell_bits = leaves["bits"]
         rows = slim.withColumn("cell", _bits(F.col("h"), cell_bits)).join(leaves["map"], "cell").drop("cell")
         placed = rows if placed is None else placed.unionByName(rows)
-    pages = _pages(placed, limit)
-    return pages.select(key, "n_bytes", "depth", "prefix", "page", "shard_docs", "shard_bytes")
+    return _pages(placed, limit)
 
 
 def _split(rows: DataFrame, limit: int, bits: int, above: int) -> tuple[dict, DataFrame]:
@@ -99,7 +103,8 @@ def _pages(placed: DataFrame, limit: int) -> DataFrame:
     return whole.unionByName(hot.select(*whole.columns))
 
 
-def write_shards(docs: DataFrame, assigned: DataFrame, path: str, key: str = "doc_id") -> None:
-    """Writes the documents with one folder for each shard (depth, prefix and page), each written by few tasks."""
-    where = assigned.select(key, "depth", "prefix", "page").dropDuplicates([key])
-    docs.join(where, key).repartition("depth", "prefix", "page").write.partitionBy("depth", "prefix", "page").parquet(path)
+def write_shards(docs: DataFrame, limit: int, path: str, key: str = "doc_id", text: str = "text") -> None:
+    """Writes all rows with all columns, one folder for each shard (depth, prefix and page), each written by few tasks. Rows go through the
+    assignment themselves, so null keys have their shard and the rows of a repeated key their own pages."""
+    placed = _assigned(docs, limit, key, text, F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    placed.select("row.*", "depth", "prefix", "page").repartition("depth", "prefix", "page").write.partitionBy("depth", "prefix", "page").parquet(path)
