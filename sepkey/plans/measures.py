@@ -80,7 +80,7 @@ def sketch_sweep(spark: SparkSession, df: DataFrame, identity: list[Column], att
     n = rows.count()
     out = []
     for k in (1, 2, 3):
-        sets = [(",".join(s), s) for s in _up_to(attrs, min(k, 2))]
+        sets = [(",".join(s), s) for s in _up_to(attrs, k)]
         truth = durable(exact.unseparated_many(df, sets), "truth")
         for alpha in (0.1, 0.01):
             for eps in (0.1, 0.2):

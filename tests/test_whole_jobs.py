@@ -5,7 +5,7 @@ from __future__ import annotations
 import re
 
 from sepkey.operators import setcover
-from sepkey.plans import queries
+from sepkey.plans import catalog, measures, queries
 from sepkey.sources.stores import table
 
 
@@ -21,3 +21,9 @@ def test_greedy_cover_takes_in_every_word(spark, monkeypatch):
     assert [tuple(r) for r in queries._cover(spark, d).orderBy("step").collect()] == want
     monkeypatch.setattr(setcover, "DRIVER_ROWS", 100)  # the first rounds in Spark
     assert [tuple(r) for r in queries._cover(spark, d).orderBy("step").collect()] == want
+
+
+def test_sketch_sweep_judges_all_sets_of_at_most_k(spark):
+    d, attrs = "/root/testdata/sf0.001", catalog.attributes("lineitem")[:5]
+    got = measures.sketch_sweep(spark, table(spark, d, "lineitem"), catalog.identity("lineitem"), attrs, 42).collect()
+    assert {(r.k, r.sets) for r in got} == {(1, 5), (2, 15), (3, 25)}
