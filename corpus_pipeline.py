@@ -49,7 +49,7 @@ STAGES = [
     ("packing", pack_sequences),
 ]
 
-#: A stage that learns, links by hashes or tokenises has no SQL; tests/llm compares run() with a brute-force version.
+#: A stage that learns, links by hashes or tokenises has no SQL. No test compares run() with a brute-force version; tests/llm tests the operators one by one.
 ORACLE_SQL = None
 
 
