@@ -5,7 +5,7 @@ from itertools import combinations
 
 import numpy as np
 import pytest
-from conftest import SMALL
+from tests.paths import SMALL
 from pyspark.sql import functions as F
 
 from sepkey.functions import bounds

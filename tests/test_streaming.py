@@ -1,6 +1,6 @@
 from __future__ import annotations
 
-from conftest import SMALL
+from tests.paths import SMALL
 from pyspark.sql import functions as F
 
 from sepkey.operators import exact, sampling
