@@ -7,16 +7,28 @@ import sys
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
 from sepkey.sources.stores import durable, map_arrow, shared_folder, ship, table
 
-__all__ = ["LOWER", "STEP_BYTES", "STEP_ROWS", "Texts", "Words", "byte_class", "durable", "map_arrow", "mix", "per_process", "run_hashes", "shared_folder", "ship", "steps", "table", "texts_of"]
+__all__ = ["LOWER", "STEP_BYTES", "STEP_ROWS", "Texts", "Words", "byte_class", "durable", "map_arrow", "mix", "per_process", "run_hashes", "shared_folder", "ship", "small", "steps", "table", "texts_of"]
 
 #: Bytes of text that one vectorised step holds at a time; a longer document is a step of its own.
 STEP_BYTES = 2 << 20
 STEP_ROWS = 4096
 
 
+#: Most bytes that may be broadcast, by an estimate over all rows; larger tables are joined by a shuffle.
+BROADCAST_BYTES = 64 << 20
+
+
+def small(df: DataFrame, row_bytes: Column) -> DataFrame:
+    """``df`` (a written table) marked for broadcast if the bytes of its rows, as ``row_bytes`` estimates each, stay under the limit."""
+    total = df.agg(F.sum(row_bytes.cast("long"))).first()[0] or 0
+    return F.broadcast(df) if total <= BROADCAST_BYTES else df
+
+
 def per_process(key: tuple, make):
     """A value made once in each Python worker, such as a loaded tokenizer."""
     kept = sys.__dict__.setdefault("_sepkey_kept", {})

@@ -4,14 +4,19 @@ A line is normalised to its lower-case words (digits, ASCII letters and all char
 normalised form are one node (by a 64-bit hash). Two nodes are linked if the edit similarity of the normalised lines, 1 - edits / longer length, is
 at least the threshold; nothing else decides. Of each connected group the occurrence with the smallest (doc_id, line number) stays.
 
-Candidates share a run of 2, 3 or 4 words: the longer the lines, the longer the run (``RUNS``; lengths overlap, so lines of somewhat different
-lengths have a run length in common). Of its runs of one length a line puts the ``KEYS`` with the smallest hashes into buckets, all if it has no
-more. Two lines with a share J of all their runs in common then miss each other with chance about (1 - J)^KEYS, and never if neither has more
-than KEYS runs and one is common. Edits in so many words that no run is left whole are not found.
-
-Lines without words always stay (blank lines, brackets, rules). Lines of one word and of over a million words are matched by equality
-alone. Rows without doc_id pass unchanged; rows with one doc_id count as one document; null texts are empty and stay null. Extra columns are kept
-by ``dedup`` and ignored by ``decide``.
+Candidates come from SimHash. The votes are sparse: each distinct word votes on the bits
+of one block only, the one its hash deals it to. A line that differs from another in a few words therefore agrees with it on every
+block that none of these words is dealt to, however many bits differ elsewhere, and a join on blocks (on pairs of blocks where lines are short)
+finds it. Longer lines have more blocks, of which ``KEPT`` are used, so that a block always holds the votes of some two to five words. Pairs
+that meet are dropped if more than ``FAR`` of the some 60 bits of their fingerprints, drawn from all blocks, differ (those of
+level 0, which share two blocks of five, are not asked); edit similarity judges the rest. Where a line has ``MANY`` words of ``LONG`` letters or more, only these vote; where it has ``ENOUGH`` but
+not so many, it is looked up both ways.
+
+A pair is missed if each block has a word that differs; the tests and the README give the recall against edit similarity alone. Lines of one
+word, and those whose edits lie in nearly all words, are matched by equality alone. Lines without words always stay (blank lines, brackets, rules).
+
+Rows without doc_id pass unchanged; repeated rows count once and get the same result; of different texts under one doc_id each keeps or loses
+its own lines. Null texts are empty and stay null. Extra columns, whatever their names, are kept by ``dedup`` and ignored by ``decide``.
 """
 
 from __future__ import annotations
@@ -22,47 +27,106 @@ from pyspark.sql import functions as F
 from . import common, grouping
 
 PERCENT = 80
-#: (words of a run, fewest and most words of a line that is looked up by such runs)
-RUNS = ((2, 2, 7), (3, 6, 24), (4, 16, 1_000_000))
-KEYS = 16
-#: Most rows (documents with lines to remove, or with lines to compare) that may be broadcast; more are joined by a shuffle.
-BROADCAST_ROWS = 1_000_000
-
-
-def _small(df: DataFrame) -> DataFrame:
-    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+LONG, ENOUGH, MANY = 5, 5, 8
+#: Most voting words of lines whose every word is a block of its own as well: a key leaves out one of them, or none.
+FEW = 8
+KEPT = 10
+FAR = 21
+#: Fewest words of the levels above the first. At level 0 a key is a pair of 5 blocks, at level 1 one of 7 blocks; level 2 + i begins at 28 * 2^i
+#: words and has 14 * 2^i - 1 blocks. Word counts within ``MARGIN`` of a border belong to both levels.
+LEVEL_1, LEVEL_2 = 14, 28
+MARGIN = 1.1
 
 
 def _words(line: Column) -> Column:
     return F.split(F.lower(line), r"[\x00-\x2f\x3a-\x60\x7b-\x7f]+")
 
 
+def _norm(line: Column) -> Column:
+    return F.trim(F.array_join(_words(line), " "))
+
+
+#: A place is a number made of the doc_id, 20 bits of the text's hash (for texts that share a doc_id) and the line number.
+_LINES, _TEXTS = 1 << 31, 1 << 20
+
+
+def _identified(docs: DataFrame) -> DataFrame:
+    """doc_id, variant, text of the rows that have lines."""
+    return docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), _variant().alias("variant"), "text")
+
+
+def _variant() -> Column:
+    return F.pmod(F.xxhash64("text"), F.lit(_TEXTS)).cast("int")
+
+
+def _place() -> Column:
+    """One number for an occurrence: unlike a struct, its minimum is kept in place by hash aggregates."""
+    text = (F.col("doc_id").cast("decimal(19,0)") * F.lit(_TEXTS).cast("decimal(7,0)") + F.col("variant")).cast("decimal(27,0)")
+    return (text * F.lit(_LINES).cast("decimal(10,0)") + F.col("line_no")).cast("decimal(38,0)")
+
+
 def lines_of(docs: DataFrame) -> DataFrame:
-    """doc_id, line_no, words (with empty ones at the ends), norm, node."""
-    each = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
-    each = each.select("doc_id", "line_no", _words(F.col("line")).alias("words"))
-    each = each.select("doc_id", "line_no", "words", F.trim(F.array_join("words", " ")).alias("norm"))
-    return each.withColumn("node", F.xxhash64("norm"))
+    """doc_id, variant, line_no, place, norm, node of all lines that have words."""
+    each = _identified(docs).select("doc_id", "variant", F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
+    return each.select("doc_id", "variant", "line_no", _place().alias("place"), _norm(F.col("line")).alias("norm")).where("norm <> ''").withColumn("node", F.xxhash64("norm"))
 
 
-def _runs(h: Column, n: Column, length: int) -> Column:
-    """Hashes of the runs of ``length`` words, the KEYS smallest. Of three words the first and the last count as a run too."""
-    run = F.transform(F.slice(h, F.lit(1), F.greatest(F.lit(0), n - (length - 1))), lambda x, i: F.xxhash64(x, *[F.get(h, i + k) for k in range(1, length)]))
-    if length == 2:
-        run = F.when(n == 3, F.concat(run, F.array(F.xxhash64(F.get(h, F.lit(0)), F.get(h, F.lit(2)))))).otherwise(run)
-    return F.slice(F.array_sort(F.array_distinct(run)), 1, KEYS)
+def _level(n: Column) -> Column:
+    return F.when(n < LEVEL_1, 0).when(n < LEVEL_2, 1).otherwise(2 + F.floor(F.log2(n / LEVEL_2))).cast("int")
 
 
-def fingerprints(docs: DataFrame) -> DataFrame:
-    """One row for each occurrence of a line that takes part: doc_id, line_no, node, size (characters), keys (none: equality only)."""
-    line = lines_of(docs).where("norm <> ''").withColumn("h", F.transform(F.split("norm", " "), lambda w: F.xxhash64(w))).withColumn("n", F.size("h"))
-    none = F.array().cast("array<long>")
-    keys = [F.when(F.col("n").between(lo, hi), _runs(F.col("h"), F.col("n"), length)).otherwise(none) for length, lo, hi in RUNS]
-    return line.select("doc_id", "line_no", "node", F.length("norm").alias("size"), F.concat(*keys).alias("keys"))
+_ONES = 0x0111111111111111
+_OCCURRENCE = ["doc_id", "variant", "line_no", "place", "node"]
+
+
+def _shifted(value: Column, bits: Column) -> Column:
+    return F.call_function("shiftleft", value, bits)
+
+
+def _votes(j: int):
+    return lambda total, h: total + F.shiftrightunsigned(h, j).bitwiseAND(F.lit(_ONES))
 
 
-def _buckets(nodes: DataFrame) -> DataFrame:
-    return nodes.select(F.explode("keys").alias("bucket"), "node", F.col("size").alias("weight"))
+def _majority(words: Column) -> Column:
+    """60 bits, each that of most hashes in ``words``. Four sums of 15 four-bit counters, which hold up to 15 words; what a fuller block carries
+    over makes another, equally fixed, value."""
+    out = F.lit(0).cast("long")
+    over = F.greatest(F.lit(0), 7 - F.floor(F.size(words) / 2)).cast("long") * F.lit(_ONES)
+    for j in range(4):
+        votes = F.aggregate(words, F.lit(0).cast("long"), _votes(j))
+        out = out.bitwiseOR(F.shiftleft(F.shiftrightunsigned((votes + over).bitwiseAND(F.lit(_ONES * 8)), 3), j))
+    return out
+
+
+def fingerprints(docs: DataFrame) -> DataFrame:
+    """One row or a few for each occurrence of a line: doc_id, variant, line_no, place, node, and for each level that the line belongs to its length
+    (characters), fingerprint of some 60 bits and keys (none: equality only)."""
+    line = lines_of(docs).select(*_OCCURRENCE, F.length("norm").alias("length"), F.split("norm", " ").alias("w"))
+    line = line.withColumn("long", F.filter("w", lambda w: F.length(w) >= LONG))
+    long = F.size("long")
+    voters = F.when(long >= MANY, F.array("long")).when(long >= ENOUGH, F.array("w", "long")).otherwise(F.array("w"))
+    line = line.withColumn("w", F.explode(voters)).withColumn("h", F.array_distinct(F.transform("w", lambda w: F.xxhash64(w)))).drop("w", "long")
+    n = F.size("h")
+    levels = F.when(n < 2, F.array(F.lit(-1))).otherwise(F.array_distinct(F.array(_level(n / MARGIN), _level(n * MARGIN))))
+    few = F.concat(F.transform("h", lambda x: _majority(F.filter("h", lambda y: y != x))), F.array(_majority(F.col("h"))))
+    few = F.when(n.between(2, FEW), F.when(n == 2, F.slice(few, 3, 1)).otherwise(few))
+    each = line.select(*_OCCURRENCE, "length", "h", few.alias("few"), F.explode(levels).alias("level"))
+    level = F.col("level")
+    each = each.withColumn("blocks", F.when(level < 1, 5).when(level < 2, 7).otherwise(_shifted(F.lit(14), level - 2) - 1).cast("long")).withColumn("kept", F.least(F.col("blocks"), F.lit(KEPT)).cast("int"))
+    near = F.when(F.col("blocks") > KEPT, F.filter("h", lambda x: F.pmod(x, F.col("blocks")) < KEPT)).otherwise(F.col("h"))
+    each = each.withColumn("h", near)
+    dealt = F.transform(F.sequence(F.lit(0), F.col("kept") - 1), lambda b: F.filter("h", lambda x: F.pmod(x, F.col("blocks")) == b))
+    each = each.withColumn("parts", F.when(level >= 0, dealt)).drop("h")
+    each = each.withColumn("f", F.transform("parts", lambda p: F.struct(_majority(p).alias("v"), F.size(p).alias("n")))).drop("parts")
+    width = F.when(F.col("kept") == 5, 12).when(F.col("kept") == 7, 9).otherwise(6)
+    each = each.withColumn("width", width)
+    sig = F.aggregate("f", F.lit(0).cast("long"), lambda s, x: _shifted(s, F.col("width")).bitwiseOR(x["v"].bitwiseAND((_shifted(F.lit(1), F.col("width")) - 1).cast("long"))))
+    none = F.lit(0).cast("long")
+    single = F.transform("f", lambda x, i: F.when(x["n"] >= 2, F.xxhash64(F.col("level"), i, x["v"])).otherwise(none))
+    double = F.flatten(F.transform("f", lambda x, i: F.transform(F.slice(F.col("f"), i + 2, F.lit(KEPT)), lambda y, j: F.when(x["n"] + y["n"] >= 2, F.xxhash64(F.col("level"), i, j, x["v"], y["v"])).otherwise(none))))
+    keys = F.filter(F.when(level == 0, double).otherwise(single), lambda k: k != 0)
+    keys = F.concat(keys, F.when(level == 0, F.coalesce("few", F.array().cast("array<long>"))).otherwise(F.array().cast("array<long>")))
+    return each.select(*_OCCURRENCE, "length", F.when(level > 0, sig).otherwise(none).alias("sig"), F.coalesce(keys, F.array().cast("array<long>")).alias("keys"))
 
 
 def _alike(x: Column, y: Column, percent: int) -> Column:
@@ -90,50 +154,46 @@ def _alike(x: Column, y: Column, percent: int) -> Column:
     return (swaps <= most) | (edits >= 0)
 
 
-#: More than the lines that one document can have.
-_LINES = 1 << 31
-
-
-def _place() -> Column:
-    """(doc_id, line number) as one number: unlike a struct, its minimum is kept in place by hash aggregates."""
-    return (F.col("doc_id").cast("decimal(20,0)") * F.lit(_LINES) + F.col("line_no")).cast("decimal(38,0)")
+def _texts(docs: DataFrame, marks: DataFrame, ends: DataFrame) -> DataFrame:
+    """(node, norm) of ``ends`` (node, first): the lines at their first places, read again from their documents."""
+    first = common.durable(ends.select("node", F.col("first").alias("place")), "ends")
+    at = marks.select("node", "place", "doc_id", "variant", "line_no").join(common.small(first, F.lit(32)), ["node", "place"])
+    at = common.durable(at.groupBy("doc_id", "variant").agg(F.collect_set("line_no").alias("wanted")), "at")
+    some = _identified(docs).join(common.small(at, 32 + 4 * F.size("wanted")), ["doc_id", "variant"])
+    lines = some.withColumn("lines", F.split("text", "\n")).select(F.explode(F.transform("wanted", lambda i: F.get("lines", i))).alias("line"))
+    return lines.select(_norm(F.col("line")).alias("norm")).select(F.xxhash64("norm").alias("node"), "norm").dropDuplicates(["node"])
 
 
 def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """(doc_id, gone): the numbers of the lines to remove, for documents that have any."""
-    seen = common.durable(fingerprints(docs), "lines")
-    seen = seen.withColumn("place", _place())
-    nodes = seen.groupBy("node").agg(F.max("size").alias("size"), F.any_value("keys").alias("keys"), F.count("*").alias("n"), F.min("place").alias("first"))
-    nodes = common.durable(nodes, "nodes")
-    seen = seen.drop("keys")
+    """(doc_id, variant, gone): the numbers of the lines to remove, for texts that have any."""
+    marks = common.durable(fingerprints(docs), "lines")
+    nodes = common.durable(marks.groupBy("node").agg(F.min("place").alias("first"), F.max("place").alias("last")), "nodes")
+    members = marks.select(F.explode("keys").alias("bucket"), "node", "length", "sig")
 
-    def may(p: Column, q: Column) -> Column:
-        return 100 * F.least(p, q) >= percent * F.greatest(p, q)
+    def may(a, b) -> Column:
+        near = 100 * F.least(a("length"), b("length")) >= percent * F.greatest(a("length"), b("length"))
+        return near & (F.bit_count(a("sig").bitwiseXOR(b("sig"))) <= FAR)
 
     def test(pairs: DataFrame) -> DataFrame:
         ends = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
-        line_no = F.pmod("first", F.lit(_LINES))
-        ends = common.durable(ends.join(nodes, "node").select("node", ((F.col("first") - line_no) / _LINES).cast("long").alias("doc_id"), line_no.cast("int").alias("line_no")), "ends")
-        at = ends.groupBy("doc_id").agg(F.collect_set("line_no").alias("wanted"))
-        some = docs.select("doc_id", "text").join(_small(common.durable(at, "at")), "doc_id")
-        line = some.select("doc_id", F.posexplode(F.split("text", "\n")).alias("line_no", "line"), "wanted").where(F.array_contains("wanted", F.col("line_no")))
-        norm = line.select(F.trim(F.array_join(_words(F.col("line")), " ")).alias("norm")).select(F.xxhash64("norm").alias("node"), "norm").dropDuplicates(["node"])
-        norm = common.durable(norm, "texts")
+        norm = common.durable(_texts(docs, marks, ends.join(nodes, "node")), "texts")
         both = pairs.join(norm.select(F.col("node").alias("a"), F.col("norm").alias("x")), "a").join(norm.select(F.col("node").alias("b"), F.col("norm").alias("y")), "b")
         return both.where(_alike(F.col("x"), F.col("y"), percent)).select("a", "b")
 
-    roots, _ = grouping.link(_buckets(nodes), test, may, native=True)
-    tied = nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    keep = tied.groupBy("root").agg(F.min("first").alias("keep"), F.sum("n").alias("n")).where("n > 1")
-    lines = tied.join(keep.select("root", "keep"), "root").select("node", "keep")
-    gone = seen.join(lines, "node").where(F.col("place") != F.col("keep"))
-    return gone.groupBy("doc_id").agg(F.array_sort(F.collect_set("line_no")).alias("gone"))
+    roots, _ = grouping.link(members, test, may, native=True)
+    tied = nodes.join(roots, "node", "left").where("root is not null or first < last").withColumn("root", F.coalesce("root", "node"))
+    keep = tied.groupBy("root").agg(F.min("first").alias("keep"))
+    lines = common.durable(tied.join(keep, "root").select("node", "keep"), "groups")
+    gone = marks.select("node", "place", "doc_id", "variant", "line_no").join(common.small(lines, F.lit(40)), "node").where(F.col("place") != F.col("keep"))
+    return gone.groupBy("doc_id", "variant").agg(F.array_sort(F.collect_set("line_no")).alias("gone"))
 
 
 def with_removed(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """``docs`` with ``gone`` (null: nothing to remove)."""
-    found = common.durable(decide(docs, percent), "gone")
-    return docs.join(_small(found), "doc_id", "left")
+    """(row, gone): the rows of ``docs`` as structs, and the numbers of the lines to remove (null: none)."""
+    found = common.durable(decide(docs, percent), "gone").withColumnRenamed("doc_id", "of_doc").withColumnRenamed("variant", "of_variant")
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").cast("long").alias("doc_id"), _variant().alias("variant"))
+    found = common.small(found, 32 + 4 * F.size("gone"))
+    return rows.join(found, (F.col("doc_id") == F.col("of_doc")) & (F.col("variant") == F.col("of_variant")), "left").select("row", "gone")
 
 
 def rest(text: Column, gone: Column) -> Column:
@@ -144,9 +204,9 @@ def rest(text: Column, gone: Column) -> Column:
 def dedup(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """``docs`` with the repeated lines taken out of ``text`` and ``n_chars`` (where there is one) counted anew. A document all of whose
     lines repeat earlier ones holds nothing new and goes."""
-    kept = with_removed(docs, percent)
-    whole = F.col("gone").isNotNull() & (F.size("gone") == F.size(F.split("text", "\n")))
-    kept = kept.where(~whole | F.col("gone").isNull()).withColumn("text", rest(F.col("text"), F.col("gone")))
+    marked, gone, text = with_removed(docs, percent), F.col("gone"), F.col("row.text")
+    kept = marked.where(gone.isNull() | (F.size(gone) < F.size(F.split(text, "\n")))).withColumn("text", rest(text, gone))
+    new = {"text": F.col("text")}
     if "n_chars" in docs.columns:
-        kept = kept.withColumn("n_chars", F.when(F.col("gone").isNull(), F.col("n_chars")).otherwise(F.length("text")).cast(docs.schema["n_chars"].dataType))
-    return kept.select(*docs.columns)
+        new["n_chars"] = F.when(gone.isNull(), F.col("row.n_chars")).otherwise(F.length("text")).cast(docs.schema["n_chars"].dataType).alias("n_chars")
+    return kept.select(*[new[c] if c in new else F.col(f"row.`{c}`") for c in docs.columns])

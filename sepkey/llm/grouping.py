@@ -1,6 +1,6 @@
 """Groups from links that are tested only where two nodes share a bucket.
 
-``link`` takes (bucket, node, weight) rows and a test of node pairs, and gives every node that has a link the smallest node it reaches. It
+``link`` takes rows of buckets and nodes and a test of node pairs, and gives every node that has a link the smallest node it reaches. It
 loses no link between two nodes that share a bucket, yet does not test all pairs of a large bucket:
 
 1. In buckets of at most ``SMALL`` nodes all pairs are tested; in larger ones each node against the smallest node.
@@ -78,33 +78,47 @@ def components(edges: DataFrame, native: bool = False) -> DataFrame:
     return pairs.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(pairs.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())
 
 
-def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callable[[Column, Column], Column], native: bool = False, across: Callable[[DataFrame], DataFrame] | None = None) -> tuple[DataFrame, DataFrame]:
-    """members: bucket, node, weight. ``may(weight, weight)`` is a cheap necessary condition; ``test`` keeps the linked of pairs (a, b), a < b.
-    ``across`` takes the rows (bucket, node, weight, size, root) of the buckets whose nodes lie in several groups, and gives the pairs of a bucket, in
-    different groups, that may be linked; without it, a join gives those that satisfy ``may``.
+#: Nodes of a side of a block when all pairs of a large bucket are looked at.
+BLOCK = 256
+
+
+def _sides():
+    """For ``may``: gives a node's columns by name, for the left and the right node of a pair."""
+    return (lambda c: F.col(c)), (lambda c: F.col(f"other_{c}"))
+
+
+def _other(df: DataFrame, keep: list[str]) -> DataFrame:
+    return df.select(*keep, *[F.col(c).alias(f"other_{c}") for c in df.columns if c not in keep])
+
+
+def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callable[[Callable, Callable], Column], native: bool = False, across: Callable[[DataFrame], DataFrame] | None = None) -> tuple[DataFrame, DataFrame]:
+    """members: bucket, node and columns that depend on both. ``may(left, right)`` is a cheap necessary condition over these columns of two
+    nodes; ``test`` keeps the linked of pairs (a, b), a < b. ``across`` takes the rows (of members, with size and root) of the buckets whose nodes
+    lie in several groups, and gives the pairs of a bucket, in different groups, that may be linked; without it, those that satisfy ``may``.
 
     Gives (node, root) of all linked nodes, and the links found."""
-    sizes = members.groupBy("bucket").agg(F.count("*").alias("size"), F.min("node").alias("lead")).where("size > 1")
-    live = common.durable(members.join(sizes, "bucket").select("bucket", "node", "weight", "size", "lead"), "buckets")
-    few = live.where(F.col("size") <= SMALL).select("bucket", "node", "weight")
-    other = few.select("bucket", F.col("node").alias("b"), F.col("weight").alias("w"))
-    pairs = few.join(other, "bucket").where((F.col("node") < F.col("b")) & may(F.col("weight"), F.col("w"))).select(F.col("node").alias("a"), "b")
+    left, right = _sides()
+    payload = [c for c in members.columns if c not in ("bucket", "node")]
+    # most buckets hold one node: they go before anything else is moved
+    shared = common.durable(members.groupBy("bucket").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("bucket"), "shared")
+    live = members.join(common.small(shared, F.lit(24)), "bucket", "left_semi").groupBy("bucket", "node").agg(*[F.min(c).alias(c) for c in payload])
+    live = common.durable(live, "members")
+    sizes = live.groupBy("bucket").agg(F.count("*").alias("size"), F.min("node").alias("lead"))
+    live = common.durable(live.join(sizes, "bucket"), "buckets")
+    few = live.where(F.col("size") <= SMALL).select("bucket", "node", *payload)
+    pairs = few.join(_other(few, ["bucket"]), "bucket").where((F.col("node") < F.col("other_node")) & may(left, right)).select(F.col("node").alias("a"), F.col("other_node").alias("b"))
     many = live.where(F.col("size") > SMALL)
-    leads = many.where("node = lead").select("bucket", F.col("weight").alias("lead_weight"))
-    stars = many.join(leads, "bucket").where((F.col("node") > F.col("lead")) & may(F.col("weight"), F.col("lead_weight"))).select(F.col("lead").alias("a"), F.col("node").alias("b"))
+    leads = _other(many.where("node = lead").select("bucket", "node", *payload), ["bucket"])
+    stars = many.join(leads, "bucket").where((F.col("node") > F.col("other_node")) & may(left, right)).select(F.col("other_node").alias("a"), F.col("node").alias("b"))
     tested = common.durable(pairs.unionByName(stars).distinct(), "pairs")
     links = common.durable(test(tested), "links")
     roots = common.durable(components(links, native), "roots")
 
-    spots = many.select("bucket", "node", "weight", "size").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    spots = many.drop("lead").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     split = spots.groupBy("bucket").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("bucket")
     spots = common.durable(spots.join(split, "bucket", "left_semi"), "open")
     if not spots.isEmpty():
-        if across:
-            rest = across(spots)
-        else:
-            other = spots.select("bucket", F.col("node").alias("b"), F.col("weight").alias("w"), F.col("root").alias("r"))
-            rest = spots.join(other, "bucket").where((F.col("node") < F.col("b")) & (F.col("root") != F.col("r")) & may(F.col("weight"), F.col("w"))).select(F.col("node").alias("a"), "b")
+        rest = across(spots) if across else _blocks(spots, may)
         rest = common.durable(rest.distinct().join(tested, ["a", "b"], "left_anti"), "pairs")
         if not rest.isEmpty():
             more = common.durable(test(rest), "links")
@@ -112,3 +126,16 @@ def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callab
             known = roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
             roots = common.durable(components(known.unionByName(more), native), "roots")
     return roots, links
+
+
+def _blocks(spots: DataFrame, may) -> DataFrame:
+    """All pairs of a bucket, in different groups, that satisfy ``may``. A bucket's nodes are dealt to sides of about BLOCK; each two sides are a
+    key of their own, so that no bucket is one task's."""
+    left, right = _sides()
+    sides = F.ceil(F.col("size") / BLOCK).cast("int")
+    spots = spots.withColumn("side", F.pmod(F.xxhash64("node"), sides).cast("int")).withColumn("sides", sides)
+    here = spots.select("*", F.col("side").alias("i"), F.explode(F.sequence("side", F.col("sides") - 1)).alias("j"))
+    there = spots.select("*", F.explode(F.sequence(F.lit(0), "side")).alias("i"), F.col("side").alias("j"))
+    both = here.join(_other(there, ["bucket", "i", "j"]), ["bucket", "i", "j"])
+    both = both.where(((F.col("i") < F.col("j")) | (F.col("node") < F.col("other_node"))) & (F.col("root") != F.col("other_root")) & may(left, right))
+    return both.select(F.least("node", "other_node").alias("a"), F.greatest("node", "other_node").alias("b"))

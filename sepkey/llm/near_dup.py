@@ -251,7 +251,7 @@ def near_duplicates(docs: DataFrame, percent: int = 85, k: int = K) -> DataFrame
         common_n = F.size(F.array_intersect("h_a", "h_b"))
         return both.where(100 * common_n >= percent * (F.col("n_a") + F.col("n_b") - common_n)).select("a", "b")
 
-    may = lambda p, q: 100 * F.least(p, q) >= percent * F.greatest(p, q)
+    may = lambda p, q: 100 * F.least(p("weight"), q("weight")) >= percent * F.greatest(p("weight"), q("weight"))
     roots, _ = grouping.link(members, test, may, across=_across(docs, nodes, k, percent))
     ids = picked.join(nodes, of_set).join(roots, "node", "left").select("doc_id", F.coalesce("root", "node").alias("component_id"))
     out = marks.select("doc_id", "n_shingles").join(ids, "doc_id", "left")

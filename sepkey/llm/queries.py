@@ -46,7 +46,7 @@ def op4_extendible_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per document: its lines, those removed, and the length and MD5 of the text that stays."""
-    marked = fuzzy_lines.with_removed(common.table(spark, sf_dir, "documents").select("doc_id", "text"))
+    marked = fuzzy_lines.with_removed(common.table(spark, sf_dir, "documents").select("doc_id", "text")).select("row.*", "gone")
     text = F.coalesce(fuzzy_lines.rest(F.col("text"), F.col("gone")), F.lit(""))
     lines = F.coalesce(F.size(F.split("text", "\n")), F.lit(0)).cast("long")
     return marked.select("doc_id", lines.alias("n_lines"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_removed"), text.alias("kept")).select("doc_id", "n_lines", "n_removed", F.length("kept").cast("long").alias("kept_chars"), F.md5("kept").alias("kept_md5"))

@@ -5,7 +5,12 @@ from __future__ import annotations
 import random
 from collections import defaultdict
 
-from sepkey.llm import fuzzy_lines
+import duckdb
+from pyspark.sql import functions as F
+
+from sepkey.llm import common, fuzzy_lines
+
+SMALL = "/root/testdata/sf0.001"
 
 
 def _edits(a, b):
@@ -77,3 +82,46 @@ def test_edit_similarity_decides_among_short_lines(spark):
 def test_lines_of_one_and_two_words_repeat_too(spark):
     docs = spark.createDataFrame([(1, "Read more\n\n{}\nOf."), (2, "read  more!\n\n{}\nof\nOff"), (3, "OF")], "doc_id long, text string")
     assert {r.doc_id: list(r.gone) for r in fuzzy_lines.decide(docs).collect()} == {2: [0, 3], 3: [0]}
+
+
+def test_recall_against_edit_similarity_alone(spark):
+    """Of all pairs of different lines of the table with an edit similarity of 0.8 or more, at least 0.95 end in one group."""
+    words = "trim(regexp_replace(lower(line), '[\\x00-\\x2f\\x3a-\\x60\\x7b-\\x7f]+', ' ', 'g'))"
+    sql = f"""WITH n AS (SELECT DISTINCT {words} AS x FROM (SELECT unnest(string_split(text, chr(10))) AS line FROM read_parquet('{SMALL}/documents.parquet')))
+              SELECT a.x, b.x FROM n a JOIN n b ON a.x < b.x AND 5 * least(length(a.x), length(b.x)) >= 4 * greatest(length(a.x), length(b.x))
+              AND a.x LIKE '% %' AND b.x LIKE '% %' WHERE 5 * levenshtein(a.x, b.x) <= greatest(length(a.x), length(b.x))"""
+    pairs = duckdb.connect().sql(sql).fetchall()
+    lines = sorted({x for p in pairs for x in p})
+    rows = fuzzy_lines.decide(spark.createDataFrame([(i, f"{x}\n") for i, x in enumerate(lines)], "doc_id long, text string")).collect()
+    gone = {lines[r.doc_id] for r in rows}
+    assert len(pairs) > 20
+    assert sum(a in gone or b in gone for a, b in pairs) >= 0.95 * len(pairs)
+
+
+def test_repeated_rows_clashing_columns_and_texts_under_one_doc_id(spark):
+    rows = [(1, "ab cd"), (2, "ab cd"), (1, "ab cd"), (2, "ab cd"), (None, "ab cd"), (3, None), (4, "")]
+    docs = spark.createDataFrame([(*r, "x", "y", "z", 1) for r in rows], "doc_id long, text string, gone string, `row` string, `of doc` string, n_chars int")
+    kept = fuzzy_lines.dedup(docs)
+    assert kept.columns == docs.columns
+    assert sorted((r.doc_id or 0, r.text, r.gone) for r in kept.collect() if r.text) == [(0, "ab cd", "x"), (1, "ab cd", "x"), (1, "ab cd", "x")]
+    assert {r.doc_id for r in kept.collect()} == {1, 3, 4, None}
+    both = spark.createDataFrame([(1, "one line here\nsecond line there"), (1, "something else entirely\none line here")], "doc_id long, text string")
+    assert len({r.text for r in fuzzy_lines.dedup(both).collect()} & {"one line here\nsecond line there", "something else entirely"}) in (1, 2)
+    assert sum(r.text.count("one line here") for r in fuzzy_lines.dedup(both).collect()) == 1
+
+
+def test_hot_blocks_lose_no_pair(spark, monkeypatch):
+    """Thousands of lines that share words but are not alike, with pairs of alike lines among them."""
+    rng = random.Random(3)
+    shared = [_word(rng) + "shared" for _ in range(3)]
+    base = [shared + [_word(rng) + "xxxxx" for _ in range(17)] for _ in range(300)]
+    copies = [w[:10] + [_word(rng) + "yyyyy"] + w[11:] for w in base[:40]]
+    lines = [" ".join(w) for w in base + copies]
+    monkeypatch.setattr(fuzzy_lines.grouping, "BLOCK", 32)
+    docs = spark.createDataFrame(list(enumerate(lines)), "doc_id long, text string")
+    assert {r.doc_id for r in fuzzy_lines.decide(docs).collect()} == set(range(300, 340))
+    nodes = spark.range(2000).select(F.lit(1).cast("long").alias("bucket"), F.col("id").alias("node"), (F.col("id") % 1000).alias("weight"))
+    test = lambda pairs: pairs.where("a % 1000 = b % 1000")
+    roots, _ = fuzzy_lines.grouping.link(nodes, test, lambda a, b: a("weight") == b("weight"), native=True)
+    assert {(r.node, r.root) for r in roots.collect()} == {(i, i % 1000) for i in range(2000)}
+    assert common.BROADCAST_BYTES > 0

@@ -11,7 +11,6 @@ from collections import defaultdict
 import numpy as np
 import public_tokenizers
 import pytest
-import xxhash
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
@@ -152,14 +151,10 @@ def _brute_lines(rows):
     for i, t in rows:
         for k, line in enumerate((t or "").split("\n")):
             w = [x for x in split.split(line.lower()) if x]
-            if i is not None and len(w) >= 3:
+            if i is not None and w:
                 nodes[" ".join(w)] = w
                 occ.append((i, k, " ".join(w)))
     names = list(nodes)
-    sims = []
-    for n in names:
-        h = [xxhash.xxh64_intdigest(w.encode(), 42) for w in nodes[n]]
-        sims.append(sum(1 << b for b in range(63) if sum(x >> b & 1 for x in h) * 2 > len(h)))
     root = list(range(len(names)))
 
     def find(x):
@@ -170,7 +165,7 @@ def _brute_lines(rows):
     for i in range(len(names)):
         for j in range(i):
             a, b = names[i], names[j]
-            if (sims[i] ^ sims[j]).bit_count() <= 2 and _edits(a, b) <= max(len(a), len(b)) * 20 // 100:
+            if 5 * min(len(a), len(b)) >= 4 * max(len(a), len(b)) and _edits(a, b) <= max(len(a), len(b)) * 20 // 100:
                 x, y = find(i), find(j)
                 root[max(x, y)] = min(x, y)
     at = {n: find(i) for i, n in enumerate(names)}
@@ -388,7 +383,7 @@ def test_isotonic_and_trees():
 
 
 def test_toxicity_on_held_out_rows(spark):
-    from measures_of_rank import auc
+    from tests.llm.measures_of_rank import auc
 
     got = {r.doc_id: r for r in queries.op7_toxicity_trees(spark, "/root/testdata/sf0.01").collect()}
     labels = {r.doc_id: r.toxic for r in common.table(spark, "/root/testdata/sf0.01", "labels").collect()}
@@ -409,7 +404,7 @@ def test_toxicity_edges(spark, docs, none):
 
 
 def test_cotraining_on_held_out_rows(spark, docs, none):
-    from measures_of_rank import auc
+    from tests.llm.measures_of_rank import auc
 
     got = {r.doc_id: r for r in queries.op1_cotrained_quality(spark, "/root/testdata/sf0.01").collect()}
     labels = {r.doc_id: r.quality for r in common.table(spark, "/root/testdata/sf0.01", "labels").collect()}
