@@ -7,6 +7,7 @@ import sys
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -107,20 +108,7 @@ class Words:
         return np.diff(self.first)
 
 
-_BASE = np.uint64(0x9E3779B97F4A7C15)
-_BACK = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
-
-
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    kept = sys.__dict__.setdefault("_sepkey_kept", {})
-    if len(kept.get("powers", [[]])[0]) < n:
-        size = max(n, STEP_BYTES + 1)
-        up, down = np.full(size, _BASE), np.full(size, _BACK)
-        up[0] = down[0] = 1
-        if n > 4 * STEP_BYTES:
-            return np.cumprod(up), np.cumprod(down)
-        kept["powers"] = (np.cumprod(up), np.cumprod(down))
-    return kept["powers"]
+_FULL = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -133,9 +121,24 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
+_STEP = np.uint64(0x9E3779B97F4A7C15)
+#: Runs of more bytes are hashed one by one.
+_LONG_RUN = 256
+
+
 def run_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of ``data[start:end]`` for each run, by one polynomial over all bytes."""
-    up, down = _powers(len(data) + 1)
-    total = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[: len(data)], out=total[1:])
-    return mix((total[end] - total[start]) * down[start] + (end - start).astype(np.uint64))
+    """A 64-bit hash of ``data[start:end]`` for each run: its eight-byte words are mixed in one after another, so that no two runs collide for
+    algebraic reasons, as they would under one polynomial. Long runs go through xxHash."""
+    size = end - start
+    out = mix(size.astype(np.uint64) + _STEP)
+    words = np.ndarray((len(data) + 1,), "<u8", data.tobytes() + bytes(8), strides=(1,))
+    live = np.flatnonzero((size > 0) & (size <= _LONG_RUN))
+    at, left = start[live], size[live]
+    while len(live):
+        part = words[at] & (_FULL >> ((8 - np.minimum(left, 8)) * 8).astype(np.uint64))
+        out[live] = mix((out[live] ^ part) + _STEP)
+        more = left > 8
+        live, at, left = live[more], at[more] + 8, left[more] - 8
+    for i in np.flatnonzero(size > _LONG_RUN).tolist():
+        out[i] = xxhash.xxh3_64_intdigest(data[start[i] : end[i]].tobytes())
+    return out

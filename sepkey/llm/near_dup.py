@@ -26,14 +26,14 @@ from pyspark.sql import functions as F
 from . import common, grouping
 
 K = 5
-#: Most node ids that may be broadcast to pick the texts to confirm (8 bytes each); more are joined by a shuffle.
-BROADCAST_NODES = 1_000_000
 _INSIDE = common.byte_class(lambda b: b != 32 and not 9 <= b <= 13)
 _FULL = np.uint64(0xFFFFFFFFFFFFFFFF)
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 _DENSE_FROM = 12
 #: Rows of a block, and columns of a matrix product, when a large bucket's rows are compared across groups.
 BLOCK = 256
+#: Shingles of a block, about: where sets are large a block has fewer rows.
+BLOCK_SHINGLES = 500_000
 _COLUMNS = 8192
 
 
@@ -159,8 +159,7 @@ def signatures(docs: DataFrame, bands: int, rows: int, k: int = K) -> DataFrame:
 
 def _sets(docs: DataFrame, nodes: DataFrame, k: int) -> DataFrame:
     """(node, n, hashes) of the documents in ``nodes`` (node, set_a, set_b)."""
-    if nodes.count() <= BROADCAST_NODES:
-        nodes = F.broadcast(nodes)
+    nodes = common.small(nodes, F.lit(32))
 
     def run(batches):
         for batch in batches:
@@ -177,16 +176,15 @@ def _sets(docs: DataFrame, nodes: DataFrame, k: int) -> DataFrame:
 
 
 def _compare(percent: int):
-    """Pairs of one task's rows (node, root, side, hashes as 32-bit bytes; i, j: its blocks) that lie in different groups and may be linked.
-    Intersections come from one matrix product over the shingles that more than one row has. As 32-bit hashes may collide inside a set, two
-    shingles are allowed for; the pairs are confirmed on the full sets afterwards."""
+    """Pairs of one task's rows (node, root, side, hashes as bytes; i, j: its blocks) that lie in different groups and are linked. Intersections
+    come from one matrix product over the shingles that more than one row has."""
 
     def run(batch: pa.Table) -> pa.Table:
         node, root, side = (batch.column(c).to_numpy() for c in ("node", "root", "side"))
         order = np.argsort(node, kind="stable")
         node, root, side = node[order], root[order], side[order]
         blobs = batch.column("hashes").to_pylist()
-        sets = [np.unique(np.frombuffer(blobs[k], np.uint32)) for k in order.tolist()]
+        sets = [np.frombuffer(blobs[k], np.uint64) for k in order.tolist()]
         n = np.array([len(x) for x in sets])
         row = np.repeat(np.arange(len(sets)), n)
         _, column, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
@@ -195,13 +193,13 @@ def _compare(percent: int):
         used, column = np.unique(column, return_inverse=True)
         by = np.argsort(column, kind="stable")
         row, column = row[by], column[by]
-        both = np.zeros((len(sets), len(sets)), np.float32)
+        both = np.zeros((len(sets), len(sets)), np.int64)
         for lo in range(0, len(used), _COLUMNS):
             a, b = np.searchsorted(column, (lo, lo + _COLUMNS))
             part = np.zeros((len(sets), min(_COLUMNS, len(used) - lo)), np.float32)
             part[row[a:b], column[a:b] - lo] = 1
-            both += part @ part.T
-        may = 100 * (both + 2) >= percent * (n[:, None] + n[None, :] - both - 2)
+            both += (part @ part.T).astype(np.int64)
+        may = 100 * both >= percent * (n[:, None] + n[None, :] - both)
         may &= (root[:, None] != root[None, :]) & (node[:, None] < node[None, :])
         if batch.column("i")[0].as_py() != batch.column("j")[0].as_py():
             may &= side[:, None] != side[None, :]
@@ -217,13 +215,14 @@ def _across(docs: DataFrame, nodes: DataFrame, k: int, percent: int):
 
         def narrow(batches):
             for batch in batches:
-                short = [np.asarray(x).astype(np.int64).view(np.uint64).astype(np.uint32).tobytes() for x in batch.column(1).to_numpy(zero_copy_only=False)]
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(short, pa.binary())], ["node", "hashes"])
+                lists = batch.column(1)
+                at, flat = lists.offsets.to_numpy(), lists.values.to_numpy()
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([flat[i:j].tobytes() for i, j in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)], pa.binary())], ["node", "hashes"])
 
         sets = common.durable(common.map_arrow(_sets(docs, wanted, k).select("node", "hashes"), narrow, "node long, hashes binary"), "narrow")
-        blocks = F.ceil(F.col("size") / BLOCK).cast("int")
-        side = F.pmod(F.xxhash64("node"), blocks).cast("int")
-        tasks = spots.select("bucket", "node", "root", side.alias("side"), F.explode(F.sequence(F.lit(0), blocks - 1)).alias("o"))
+        load = spots.groupBy("bucket").agg(F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("weight") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
+        side = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
+        tasks = spots.join(load, "bucket").select("bucket", "node", "root", side.alias("side"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("o"))
         tasks = tasks.select("bucket", "node", "root", "side", F.least("side", "o").alias("i"), F.greatest("side", "o").alias("j")).join(sets, "node")
         return tasks.groupBy("bucket", "i", "j").applyInArrow(_compare(percent), "a long, b long")
 
@@ -262,11 +261,12 @@ def near_duplicates(docs: DataFrame, percent: int = 85, k: int = K) -> DataFrame
 def keep_one(docs: DataFrame, percent: int = 80, k: int = K) -> DataFrame:
     """``docs`` with one row of each linked group, that of the smallest doc_id; of rows under one doc_id any one stays. Rows without doc_id, and
     texts without words, stay. Texts move only where the ids to drop are too many to broadcast."""
-    found = common.durable(near_duplicates(docs, percent, k).groupBy("doc_id").agg(F.count("*").alias("rows"), F.min("kept").alias("kept")).where("doc_id is not null and (rows > 1 or not kept)"), "drops")
-    small = F.broadcast if found.count() <= BROADCAST_NODES else lambda df: df
-    key = F.col("doc_id").cast("long") == F.col("drop_id")
-    rest = docs.join(small(found.select(F.col("doc_id").alias("drop_id"))), key, "left_anti")
-    again = found.where("kept").select(F.col("doc_id").alias("drop_id"))
+    found = near_duplicates(docs, percent, k).groupBy("doc_id").agg(F.count("*").alias("rows"), F.min("kept").alias("kept"))
+    found = common.durable(found.where("doc_id is not null and (rows > 1 or not kept)"), "drops")
+    # whole rows travel as one struct, so that no name of theirs can clash
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").cast("long").alias("doc_id"))
+    out = rows.join(common.small(found.select("doc_id"), F.lit(24)), "doc_id", "left_anti").select("row.*")
+    again = found.where("kept").select("doc_id")
     if again.isEmpty():
-        return rest
-    return rest.unionByName(docs.join(small(again), key, "left_semi").dropDuplicates(["doc_id"]))
+        return out
+    return out.unionByName(rows.join(common.small(again, F.lit(24)), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("row.*"))
