@@ -31,7 +31,8 @@ SALTS = 64
 
 class Encoder:
     """Ids as the ``tokenizers`` library gives them for ``json_path``. Where the same vocabulary lies beside it as ranks, plain texts go
-    through ``tiktoken``, which is faster; texts that hold a special token's string go through ``tokenizers``, which reads it as that token."""
+    through ``tiktoken``, which is faster; texts that hold a special token's string go through ``tokenizers``, which reads it as that token, and so do texts that
+    ``tiktoken`` cannot split."""
 
     def __init__(self, json_path: str, ranks_path: str | None, pattern: str | None):
         from tokenizers import Tokenizer
@@ -51,7 +52,10 @@ class Encoder:
     def ids(self, text: str) -> np.ndarray:
         if self.fast is None or any(x in text for x in self.special):
             return np.array(self.full.encode(text, add_special_tokens=False).ids, "<u4")
-        return np.asarray(self.fast.encode_to_numpy(text), "<u4")
+        try:
+            return np.asarray(self.fast.encode_to_numpy(text), "<u4")
+        except ValueError:  # its pattern engine gives up on very long runs of blanks
+            return np.array(self.full.encode(text, add_special_tokens=False).ids, "<u4")
 
 
 def pieces(docs: DataFrame, json_path: str, ranks_path: str | None = None, pattern: str | None = None, capacity: int = CAPACITY, keep_ids: bool = False) -> DataFrame:
