@@ -4,7 +4,7 @@
 row filters, undone with numpy. ``spectrum_hash`` reduces an image to 32 by 32 cell means, takes the cosine transform and
 compares the low frequencies with their median: near-equal images get near-equal 64-bit hashes.
 
-``documents_as_media`` stores each text losslessly as an 8-bit grey image of 192 samples a row and reads it back. A null text is an
+``documents_as_media`` stores each text losslessly as an 8-bit grey image of 192 samples a row, with a filter chosen for each row, and reads it back. A null text is an
 empty one, which is one row of blanks; repeated rows give repeated results; extra columns are ignored. Damaged bytes raise ``BadImage``.
 """
 
@@ -36,81 +36,97 @@ def _chunk(kind: bytes, body: bytes) -> bytes:
     return struct.pack(">I", len(body)) + kind + body + struct.pack(">I", zlib.crc32(kind + body))
 
 
-def write_png(pixels: np.ndarray, level: int = 1, row_filter: int = 0) -> bytes:
-    """``pixels``: uint8, rows by columns (grey) or rows by columns by 2, 3 or 4 channels."""
+def write_png(pixels: np.ndarray, level: int = 1, row_filter: int | None = None) -> bytes:
+    """``pixels``: uint8, rows by columns (grey) or rows by columns by 2, 3 or 4 channels. Without ``row_filter`` each row gets the one of filters
+    1 to 4 whose signed residuals are smallest in sum."""
     rows, columns = pixels.shape[:2]
     channels = 1 if pixels.ndim == 2 else pixels.shape[2]
-    colour = next(k for k, v in _CHANNELS.items() if v == channels)
     flat = np.ascontiguousarray(pixels).reshape(rows, columns * channels)
-    body = np.empty((rows, flat.shape[1] + 1), np.uint8)
-    body[:, 0] = row_filter
-    body[:, 1:] = flat - _predicted(flat, row_filter, channels)
-    head = struct.pack(">IIBBBBB", columns, rows, 8, colour, 0, 0, 0)
-    return _SIGNATURE + _chunk(b"IHDR", head) + _chunk(b"IDAT", zlib.compress(body, level)) + _chunk(b"IEND", b"")
+    first = np.zeros(rows, bool)
+    first[:1] = True
+    if row_filter is None:
+        body = filtered(flat, channels, first)
+    else:
+        body = np.empty((rows, flat.shape[1] + 1), np.uint8)
+        body[:, 0] = row_filter
+        body[:, 1:] = flat - _predictions(flat, channels, first)[row_filter]()
+    return _file(body, columns, channels, level)
+
+
+def _file(body: np.ndarray, columns: int, channels: int, level: int = 1) -> bytes:
+    colour = next(k for k, v in _CHANNELS.items() if v == channels)
+    head = struct.pack(">IIBBBBB", columns, len(body), 8, colour, 0, 0, 0)
+    return _SIGNATURE + _chunk(b"IHDR", head) + _chunk(b"IDAT", zlib.compress(body.tobytes(), level)) + _chunk(b"IEND", b"")
 
 
 def _nearest(left, up, corner):
     """The neighbour that is nearest to left + up - corner; ties go to left, then up."""
-    guess = left.astype(np.int16) + up - corner
-    to_left, to_up, to_corner = abs(guess - left), abs(guess - up), abs(guess - corner)
+    left, up, corner = (x.astype(np.int16) for x in (left, up, corner))
+    to_left, to_up, to_corner = abs(up - corner), abs(left - corner), abs(left + up - 2 * corner)
     return np.where((to_left <= to_up) & (to_left <= to_corner), left, np.where(to_up <= to_corner, up, corner)).astype(np.uint8)
 
 
-def _predicted(flat: np.ndarray, row_filter: int, step: int) -> np.ndarray:
+def _predictions(flat: np.ndarray, step: int, first: np.ndarray) -> list:
+    """For each filter a function that predicts the samples; ``first`` marks the top rows of images that lie below one another."""
     left = np.zeros_like(flat)
     left[:, step:] = flat[:, :-step]
     up = np.zeros_like(flat)
     up[1:] = flat[:-1]
+    up[first] = 0
     corner = np.zeros_like(flat)
-    corner[1:, step:] = flat[:-1, :-step]
-    if row_filter == 0:
-        return np.zeros_like(flat)
-    if row_filter == 1:
-        return left
-    if row_filter == 2:
-        return up
-    if row_filter == 3:
-        return ((left.astype(np.uint16) + up) // 2).astype(np.uint8)
-    return _nearest(left, up, corner)
-
-
-def _unfilter(raw: np.ndarray, step: int) -> np.ndarray:
-    """Undoes the row filters. Runs of rows with one filter of the first three are undone at once; the two others need the
-    samples to their left and go pixel by pixel, all channels together."""
-    kinds, flat = raw[:, 0], raw[:, 1:].copy()
+    corner[:, step:] = up[:, :-step]
+    return [lambda: np.zeros_like(flat), lambda: left, lambda: up, lambda: ((left.astype(np.uint16) + up) // 2).astype(np.uint8), lambda: _nearest(left, up, corner)]
+
+
+def filtered(flat: np.ndarray, step: int, first: np.ndarray) -> np.ndarray:
+    """Rows with their filter in front, chosen for each row."""
+    best, out = np.full(len(flat), np.iinfo(np.int64).max), np.empty((len(flat), flat.shape[1] + 1), np.uint8)
+    predict = _predictions(flat, step, first)
+    for kind in (1, 2, 3, 4):
+        residual = flat - predict[kind]()
+        cost = np.abs(residual.view(np.int8).astype(np.int16)).sum(axis=1, dtype=np.int64)
+        better = cost < best
+        best[better] = cost[better]
+        out[better, 0] = kind
+        out[better, 1:] = residual[better]
+    return out
+
+
+def _unfilter(raw: np.ndarray, step: int, first: np.ndarray) -> np.ndarray:
+    """Undoes the row filters of images that lie below one another. A sample needs those to its left, above it and at the corner, so all samples
+    on one diagonal, of all images, are undone at once."""
+    kinds, rows, width = raw[:, 0], len(raw), raw.shape[1] - 1
     if kinds.max(initial=0) > 4:
         raise BadImage("unknown row filter")
+    flat = raw[:, 1:].copy()
     if not kinds.any():
         return flat
-    width = flat.shape[1]
-    row = 0
-    while row < len(flat):
-        kind, end = kinds[row], row + 1
-        while end < len(flat) and kinds[end] == kind:
-            end += 1
-        if kind == 1:
-            block = flat[row:end].reshape(end - row, width // step, step)
-            np.cumsum(block, axis=1, dtype=np.uint8, out=block)
-        elif kind == 2:
-            first = max(row - 1, 0)
-            flat[first:end] = np.cumsum(flat[first:end], axis=0, dtype=np.uint8)
-        elif kind in (3, 4):
-            for r in range(row, end):
-                up = flat[r - 1] if r else np.zeros(width, np.uint8)
-                line, none = flat[r], np.zeros(step, np.uint8)
-                for x in range(0, width, step):
-                    left = line[x - step : x] if x else none
-                    above = up[x : x + step]
-                    if kind == 3:
-                        line[x : x + step] += ((left.astype(np.uint16) + above) // 2).astype(np.uint8)
-                    else:
-                        line[x : x + step] += _nearest(left, above, up[x - step : x] if x else none)
-        row = end
-    return flat
-
-
-def read_png(media: bytes) -> np.ndarray:
-    """The samples, with every chunk's checksum, the stream's checksum and the size tested."""
+    columns = width // step
+    # a border of zeros at the left and above each image spares all tests
+    top = np.cumsum(first) + np.arange(rows)
+    wide = np.zeros((rows + int(first.sum()), columns + 1, step), np.uint8)
+    wide[top, 1:] = flat.reshape(rows, columns, step)
+    cells = wide.reshape(-1, step)
+    starts = np.flatnonzero(first)
+    depth = np.arange(rows) - starts[np.cumsum(first) - 1]
+    order = np.argsort(depth, kind="stable")  # rows by their depth in their image
+    depth, base, kind = depth[order], (top * (columns + 1) + 1)[order], kinds[order][:, None]
+    for diagonal in range(int(depth[-1]) + columns if rows else 0):
+        a, b = np.searchsorted(depth, (diagonal - columns + 1, diagonal + 1))
+        at = base[a:b] + (diagonal - depth[a:b])
+        k = kind[a:b]
+        left, up = cells[at - 1], cells[at - columns - 1]
+        guess = np.where(k == 1, left, np.where(k == 2, up, 0)).astype(np.uint8)
+        if (k == 3).any():
+            guess = np.where(k == 3, ((left.astype(np.uint16) + up) >> 1).astype(np.uint8), guess)
+        if (k == 4).any():
+            guess = np.where(k == 4, _nearest(left, up, cells[at - columns - 2]), guess)
+        cells[at] += guess
+    return wide[top, 1:].reshape(rows, width)
+
+
+def _stream(media: bytes) -> tuple[np.ndarray, int, int]:
+    """Filtered rows, columns and channels, with every chunk's checksum, the stream's checksum and the size tested."""
     if media[:8] != _SIGNATURE:
         raise BadImage("no PNG signature")
     at, head, stream, ended = 8, None, [], False
@@ -144,8 +160,29 @@ def read_png(media: bytes) -> np.ndarray:
         raise BadImage(str(e)) from e
     if raw.size != rows * (columns * step + 1):
         raise BadImage("size of the samples")
-    flat = _unfilter(raw.reshape(rows, columns * step + 1), step)
-    return flat if step == 1 else flat.reshape(rows, columns, step)
+    return raw.reshape(rows, columns * step + 1), columns, step
+
+
+def read_png(media: bytes) -> np.ndarray:
+    """The samples: rows by columns, and by channels if there are more than one."""
+    return read_many([media])[0]
+
+
+def read_many(images: list[bytes]) -> list[np.ndarray]:
+    """The samples of each image. Images of one width and channel count are undone together."""
+    parts = [_stream(m) for m in images]
+    out: list = [None] * len(parts)
+    for shape in {p[1:] for p in parts}:
+        mine = [i for i, p in enumerate(parts) if p[1:] == shape]
+        sizes = np.array([len(parts[i][0]) for i in mine])
+        ends = np.cumsum(sizes)
+        first = np.zeros(int(ends[-1]), bool)
+        first[(ends - sizes)[sizes > 0]] = True
+        flat = _unfilter(np.concatenate([parts[i][0] for i in mine]), shape[1], first)
+        for i, end, size in zip(mine, ends.tolist(), sizes.tolist(), strict=True):
+            one = flat[end - size : end]
+            out[i] = one if shape[1] == 1 else one.reshape(size, *shape)
+    return out
 
 
 def _cosines(n: int, low: int) -> np.ndarray:
@@ -173,10 +210,16 @@ def spectrum_hash(pixels: np.ndarray) -> str:
     return f"{int.from_bytes(np.packbits(bits).tobytes(), 'big'):016x}"
 
 
-def text_as_png(text: bytes, width: int = WIDTH) -> bytes:
-    """Grey samples: the bytes, filled up with blanks to whole rows, one row at least."""
-    padded = text.ljust(max(1, -(-len(text) // width)) * width, b" ")
-    return write_png(np.frombuffer(padded, np.uint8).reshape(-1, width))
+def texts_as_png(texts: list[bytes], width: int = WIDTH) -> list[bytes]:
+    """A grey image for each text: its bytes, filled up with blanks to whole rows, one row at least."""
+    if not texts:
+        return []
+    padded = [t.ljust(max(1, -(-len(t) // width)) * width, b" ") for t in texts]
+    ends = np.cumsum([len(t) // width for t in padded])
+    first = np.zeros(int(ends[-1]), bool)
+    first[np.concatenate([[0], ends[:-1]])] = True
+    body = filtered(np.frombuffer(b"".join(padded), np.uint8).reshape(-1, width), 1, first)
+    return [_file(rows, width, 1) for rows in np.split(body, ends[:-1])]
 
 
 _OUT = {"n_bytes": pa.int64(), "media": pa.binary(), "payload_bytes": pa.int64(), "payload_sha256": pa.string(), "tail_crc32": pa.int64(), "media_bytes": pa.int64(), "media_sha256": pa.string(), "feature": pa.string()}
@@ -192,9 +235,8 @@ def documents_as_media(docs: DataFrame, keep_media: bool = True) -> DataFrame:
         for batch in batches:
             for part, texts in common.steps(batch):
                 rows = []
-                for i in range(len(texts)):
-                    media = text_as_png(texts.row(i))
-                    pixels = read_png(media)
+                stored = texts_as_png([texts.row(i) for i in range(len(texts))])
+                for i, (media, pixels) in enumerate(zip(stored, read_many(stored), strict=True)):
                     payload = pixels.tobytes()
                     rows.append((int(texts.at[i + 1] - texts.at[i]), media, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-16:]), len(media), hashlib.sha256(media).hexdigest(), spectrum_hash(pixels)))
                 columns = dict(zip(_OUT, zip(*rows, strict=True), strict=True))
