@@ -1,8 +1,9 @@
 """Quality classifier by co-training.
 
-Two views of a document see different evidence: its *text* (how its words repeat, vary and look) and its *page metadata* (source, language, size,
-layout of lines, share of markup and other marks). Each view has a naive Bayes classifier over binned features, so that learning is counting:
-one pass over all rows, summed before anything reaches the driver, whatever the number of rows.
+Two views of a document see different evidence: its *text* (how its words repeat, vary and look, its lines and marks) and its *page metadata*
+(source, language, both together, and the length that the page states in ``n_chars``; nothing of the text). Each view has a naive Bayes classifier over binned features, so that learning is counting:
+one pass over all rows, summed before anything reaches the driver, whatever the number of rows. Names are counted by a 16-bit hash each, so that
+thousands of sources keep counts of their own.
 
 1. Both views learn from the labelled rows.
 2. In each round the rows without a label that one view is sure of (probability at least ``SURE`` for good or for bad) join, with half weight, the
@@ -35,8 +36,12 @@ FOLDS = 4
 _GRID = 64
 _SPAN = 40.0
 
-TEXT = ["distinct_share", "repeat_share", "longest_run", "top_share", "shout_words", "title_words", "word_length", "decorated", "lone_marks", "short_words"]
-META = ["source", "lang", "size", "lines", "line_length", "marks", "bars", "exclaims", "non_ascii"]
+TEXT = ["distinct_share", "repeat_share", "longest_run", "top_share", "shout_words", "title_words", "word_length", "decorated", "lone_marks", "short_words", "lines", "line_length", "marks", "bars", "exclaims", "non_ascii"]
+META = ["source", "lang", "source_and_lang", "stated_length"]
+#: Bins of a name, and of the stated length (four for each doubling).
+NAMES, LENGTHS = 1 << 16, 128
+#: Rows that a name's counts are drawn towards the rate of all rows by.
+_DRAWN = 2.0
 
 _WORD = common.byte_class(lambda b: 48 <= b <= 57 or 65 <= b <= 90 or 97 <= b <= 122 or b >= 128)
 _CHUNK = common.byte_class(lambda b: b > 32)
@@ -55,7 +60,11 @@ def _size(x: np.ndarray) -> np.ndarray:
 
 
 def _name(values) -> np.ndarray:
-    return np.array([0 if v is None else 1 + zlib.crc32(str(v).encode()) % (BINS - 1) for v in values], np.uint8)
+    """0 for null, else the name's own bin of NAMES."""
+    known: dict = {None: 0}
+    for v in set(values) - {None}:
+        known[v] = 1 + zlib.crc32(v.encode()) % (NAMES - 1)
+    return np.array([known[v] for v in values], "<u2")
 
 
 def text_view(texts: common.Texts) -> np.ndarray:
@@ -81,76 +90,96 @@ def text_view(texts: common.Texts) -> np.ndarray:
         breaks = np.flatnonzero(~again)
         np.maximum.at(run, row[breaks], np.diff(np.append(breaks, len(token))))
     upper = np.concatenate([[0], np.cumsum(_UPPER[texts.data])])
-    size = words.end - words.start
+    size_of = words.end - words.start
     caps = upper[words.end] - upper[words.start]
-    shout = (caps == size) & (size > 1)
-    title = (caps == 1) & (size > 1) & _UPPER[texts.data[words.start]] if len(size) else shout
+    shout = (caps == size_of) & (size_of > 1)
+    title = (caps == 1) & (size_of > 1) & _UPPER[texts.data[words.start]] if len(size_of) else shout
     # words with two or more marks right behind them
     mark = np.concatenate([_MARK[texts.data], [False, False]])
-    decorated = mark[words.end] & mark[words.end + 1] if len(size) else shout
+    decorated = mark[words.end] & mark[words.end + 1] if len(size_of) else shout
     # marks with no word at either side
     word = np.concatenate([[False], _WORD[texts.data], [False]])
     lone = np.concatenate([[0], np.cumsum(_MARK[texts.data] & ~word[:-2] & ~word[2:])])
     apart = np.diff(lone[texts.at])
     sums = lambda flag: np.bincount(row[flag], minlength=n) * per
     distinct = np.bincount(row[order][starts], minlength=n)
+    size, lines = texts.sizes(), _rows(texts, texts.data == 10) + 1
+    part = lambda flag: _share(_rows(texts, flag) / np.maximum(size, 1))
+    marks = [_size(lines), _size(size / lines), part(_MARK[texts.data]), part(np.isin(texts.data, np.frombuffer(b"|<>{}[]#*", np.uint8))), part(np.isin(texts.data, np.frombuffer(b"!?", np.uint8))), part(texts.data >= 128)]
     # a few words more, half of them new, keep short texts from the extremes
-    return np.stack([_share((distinct + 4) / (count + 8)), _share(sums(again)), _size(run), _share(np.maximum(top - 1, 0) / (count + 8)), _share(sums(shout)), _share(sums(title)), _size(np.bincount(row, size, n) * per * 4), _share(sums(decorated)), _share(apart * per / 2), _share(sums(size <= 2))], axis=1)
+    return np.stack([_share((distinct + 4) / (count + 8)), _share(sums(again)), _size(run), _share(np.maximum(top - 1, 0) / (count + 8)), _share(sums(shout)), _share(sums(title)), _size(np.bincount(row, size_of, n) * per * 4), _share(sums(decorated)), _share(apart * per / 2), _share(sums(size_of <= 2)), *marks], axis=1)
 
 
-def meta_view(texts: common.Texts, source, lang) -> np.ndarray:
-    size = texts.sizes()
-    per = 1 / np.maximum(size, 1)
-    rows_of = lambda flag: np.diff(np.concatenate([[0], np.cumsum(flag)])[texts.at])
-    lines = rows_of(texts.data == 10) + 1
-    return np.stack([_name(source), _name(lang), _size(size), _size(lines), _size(size / lines), _share(rows_of(_MARK[texts.data]) * per), _share(rows_of(np.isin(texts.data, np.frombuffer(b"|<>{}[]#*", np.uint8))) * per), _share(rows_of(np.isin(texts.data, np.frombuffer(b"!?", np.uint8))) * per), _share(rows_of(texts.data >= 128) * per)], axis=1)
+def _rows(texts: common.Texts, flag: np.ndarray) -> np.ndarray:
+    return np.diff(np.concatenate([[0], np.cumsum(flag)])[texts.at])
+
+
+def meta_view(source: list, lang: list, n_chars: np.ndarray) -> np.ndarray:
+    """``n_chars``: doubles, NaN where null (bin 0)."""
+    both = [None if a is None and b is None else f"{a}\0{b}" for a, b in zip(source, lang, strict=True)]
+    length = np.clip(np.nan_to_num(4 * np.log2(np.maximum(n_chars, 0) + 1), nan=-1.0) + 1, 0, LENGTHS - 1).astype("<u2")
+    return np.stack([_name(source), _name(lang), _name(both), length], axis=1)
 
 
 def views(docs: DataFrame) -> DataFrame:
-    """doc_id and the binned features of both views, one byte each."""
+    """doc_id and the binned features of both views: a byte for each of the text's, two for each of the metadata's."""
 
     def run(batches):
         for batch in batches:
             for part, texts in common.steps(batch):
-                both = np.concatenate([text_view(texts), meta_view(texts, part.column(2).to_pylist(), part.column(3).to_pylist())], axis=1)
+                text = text_view(texts)
+                meta = meta_view(part.column(2).to_pylist(), part.column(3).to_pylist(), part.column(4).to_numpy(zero_copy_only=False).astype(float))
+                both = np.concatenate([text, np.ascontiguousarray(meta).view(np.uint8)], axis=1)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([r.tobytes() for r in both], pa.binary())], ["doc_id", "x"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    columns = [F.col(c).cast("string").alias(c) if c in docs.columns else F.lit(None).cast("string").alias(c) for c in ("source", "lang")]
+    columns = [F.col(c).cast(t).alias(c) if c in docs.columns else F.lit(None).cast(t).alias(c) for c, t in (("source", "string"), ("lang", "string"), ("n_chars", "double"))]
     return common.map_arrow(docs.select("doc_id", "text", *columns), run, f"doc_id {kind}, x binary")
 
 
-class Bayes:
-    """Both views' naive Bayes, from weighted counts[feature, bin, class]."""
-
-    def __init__(self, counts: np.ndarray, view: slice):
-        own = counts[view]
-        rate = own.sum(axis=(1,))[0] + 1.0
-        self.view, self.prior = view, float(np.log(rate[1] / rate[0]))
-        smooth = own + 0.5
-        smooth = smooth / smooth.sum(axis=1, keepdims=True)
-        self.table = np.log(smooth[:, :, 1] / smooth[:, :, 0])
+_VIEWS = (slice(0, len(TEXT)), slice(len(TEXT), len(TEXT) + len(META)))
+_SIZES = np.array([BINS] * len(TEXT) + [NAMES, NAMES, NAMES, LENGTHS])
+#: Where each feature's cells begin; a cell is a feature's bin.
+_AT = np.concatenate([[0], np.cumsum(_SIZES)])
 
-    def raw(self, x: np.ndarray) -> np.ndarray:
-        own = x[:, self.view]
-        return self.prior + self.table[np.arange(own.shape[1]), own].sum(axis=1)
 
+class Bayes:
+    """One view's naive Bayes, from weighted counts[cell, class]. ``table``: the log-odds that a cell adds."""
 
-_VIEWS = (slice(0, len(TEXT)), slice(len(TEXT), len(TEXT) + len(META)))
-_WIDTH = len(TEXT) + len(META)
+    def __init__(self, counts: np.ndarray, view: slice):
+        self.view, tables = view, []
+        own = counts[_AT[view.start] : _AT[view.start + 1]].sum(axis=0) + 1.0
+        self.prior = float(np.log(own[1] / own[0]))
+        for f in range(view.start, view.stop):
+            cells = counts[_AT[f] : _AT[f + 1]]
+            if _SIZES[f] == NAMES:  # most names are rare: their odds are drawn towards those of all rows
+                cells = cells + _DRAWN * own / own.sum()
+                tables.append(np.log(cells[:, 1] / cells[:, 0]) - self.prior)
+            else:
+                cells = cells + 0.5
+                cells = cells / cells.sum(axis=0)
+                tables.append(np.log(cells[:, 1] / cells[:, 0]))
+        self.table = np.concatenate(tables)
+
+    def raw(self, cell: np.ndarray) -> np.ndarray:
+        own = cell[:, self.view] - _AT[self.view.start]
+        return self.prior + self.table[own].sum(axis=1)
 
 
 def _features(part: pa.RecordBatch) -> np.ndarray:
-    return np.frombuffer(b"".join(part.column(0).to_pylist()), np.uint8).reshape(-1, _WIDTH)
+    """Cells, rows by features."""
+    x = np.frombuffer(b"".join(part.column(0).to_pylist()), np.uint8).reshape(part.num_rows, -1)
+    meta = np.ascontiguousarray(x[:, len(TEXT) :]).view("<u2")
+    return np.concatenate([x[:, : len(TEXT)].astype(np.int64), meta.astype(np.int64)], axis=1) + _AT[:-1]
 
 
 def _count(rows: DataFrame, models: list[Bayes] | None) -> np.ndarray:
-    """Training counts[feature, bin, class] of both views. y: 0 or 1 for rows that are learned from, else -1."""
+    """Training counts[cell, class] of both views. y: 0 or 1 for rows that are learned from, else -1."""
     sent = rows.sparkSession.sparkContext.broadcast(models)
     cut = float(np.log(SURE / (1 - SURE)))
 
     def run(batches):
-        total = np.zeros((_WIDTH, BINS, 2))
+        total = np.zeros(_AT[-1] * 2)
         for batch in batches:
             if not batch.num_rows:
                 continue
@@ -164,16 +193,15 @@ def _count(rows: DataFrame, models: list[Bayes] | None) -> np.ndarray:
                     cls[free & (other <= -cut)] = 0
                     weight[free] = 0.5
                 use = cls >= 0
-                for f in range(view.start, view.stop):
-                    total[f] += np.bincount(x[use, f].astype(np.int64) * 2 + cls[use], weight[use], BINS * 2).reshape(BINS, 2)
-        cell = np.flatnonzero(total.ravel())
-        yield pa.RecordBatch.from_arrays([pa.array(cell), pa.array(total.ravel()[cell])], ["cell", "n"])
-
-    found = common.map_arrow(rows.select("x", "y"), run, "cell long, n double").groupBy("cell").agg(F.sum("n").alias("n")).collect()  # at most features * bins * 2 rows
-    out = np.zeros(_WIDTH * BINS * 2)
-    for r in found:
-        out[r.cell] = r.n
-    return out.reshape(_WIDTH, BINS, 2)
+                cells = x[use, view] * 2 + cls[use, None]
+                total += np.bincount(cells.ravel(), np.repeat(weight[use], cells.shape[1]), len(total))
+        cell = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(cell), pa.array(total[cell])], ["cell", "n"])
+
+    found = common.map_arrow(rows.select("x", "y"), run, "cell long, n double").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()  # at most two for each cell
+    out = np.zeros(_AT[-1] * 2)
+    out[found.column("cell").to_numpy()] = found.column("n").to_numpy()
+    return out.reshape(-1, 2)
 
 
 def _logit(p):
