@@ -44,6 +44,10 @@ def byte_symbols() -> list[str]:
     return out
 
 
+#: A letter (no Hangul jamo, which compose) after a digit or a mark that is neither a combining one nor the apostrophe.
+_SEAM = regex.compile(r"(?<=[\p{N}\p{P}\p{S}--'])[\p{L}--[\u1100-\u11ff\ua960-\ua97f\ud7b0-\ud7ff]]", regex.V1)
+
+
 class TokenCounter:
     """Counts for a vocabulary file of the ``tokenizers`` library: byte-level BPE with word ends, its normaliser being NFC, white space
     and lower case."""
@@ -212,10 +216,21 @@ class TokenCounter:
                 base = out[b]
         return out
 
+    def _seams(self, chunk: str) -> list[int]:
+        """Places at which every text that reaches beyond them falls apart: a letter that composes with nothing before it, right after a digit or a
+        mark other than the apostrophe, and not inside a special token's string. Nothing is encoded twice across them."""
+        inside = [m.span() for m in self.special_re.finditer(chunk)] if any(x in chunk for x in self.special) else []
+        return [m.start() for m in _SEAM.finditer(chunk) if not any(a < m.start() < b for a, b in inside)]
+
     def _chunk_prefixes(self, chunk: str) -> list[int]:
         plain = not any(x in chunk for x in self.special) and len(self._normal(chunk)) == len(chunk) and unicodedata.is_normalized("NFC", chunk)
         if not plain:
-            return [self.count(chunk[: i + 1]) for i in range(len(chunk))]
+            out, base = [], 0
+            cuts = [0, *self._seams(chunk), len(chunk)]
+            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                out += [base + self.count(chunk[a : i + 1]) for i in range(a, b)]
+                base = out[-1]
+            return out
         out: list[int] = []
         text, base, at = self._normal(chunk), 0, 0
         for m in self.piece_re.finditer(text):
