@@ -15,6 +15,8 @@ from __future__ import annotations
 
 import hashlib
 import re
+import sys
+import uuid
 
 import ahocorasick
 import numpy as np
@@ -25,7 +27,8 @@ from pyspark.sql import functions as F
 from . import common
 
 WINDOW = 10
-BLOCK_BYTES = 8 << 20
+#: Item text of one automaton: a window of ten words lies at each word, so that an automaton holds some ten times as many nodes as bytes of text.
+BLOCK_BYTES = 2 << 20
 #: Fixed value: the bytes of words once A-Z are folded (in UTF-8, all bytes from 0x80 belong to characters beyond ASCII).
 _INSIDE = common.byte_class(lambda b: 48 <= b <= 57 or 65 <= b <= 90 or 97 <= b <= 122 or b >= 128)
 _WORD = re.compile("[^\x00-\x2f\x3a-\x60\x7b-\x7f]+")
@@ -107,10 +110,10 @@ def _broadcast_items(items: DataFrame, block_bytes: int) -> list[list[tuple[str,
 def find_contamination(docs: DataFrame, items: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """One row for each row of ``docs``: doc_id, n_words, n_hit, items (sorted as strings), and ``spans``, the byte ranges [start, end) of
     the original text that the hit runs of words take."""
-    sent = docs.sparkSession.sparkContext.broadcast(_broadcast_items(items, block_bytes))
+    sent, key = docs.sparkSession.sparkContext.broadcast(_broadcast_items(items, block_bytes)), uuid.uuid4().hex
 
     def run(batches):
-        automata = [a for b in sent.value if (a := build_automaton(b, window))]
+        automata = _automata(key, sent, window)
         for batch in batches:
             for part, texts in common.steps(batch):
                 words, hit, found = hits(texts, automata)
@@ -130,6 +133,15 @@ def find_contamination(docs: DataFrame, items: DataFrame, window: int = WINDOW,
     return common.map_arrow(docs.select("doc_id", "text"), run, f"doc_id {kind}, n_words long, n_hit long, items array<string>, spans array<struct<start: long, end: long>>")
 
 
+def _automata(key: str, sent, window: int) -> list:
+    """Built once in each Python worker, which serves many tasks; those of an earlier run go."""
+    kept = sys.__dict__.setdefault("_sepkey_automata", {})
+    if key not in kept:
+        kept.clear()
+        kept[key] = [a for b in sent.value if (a := build_automaton(b, window))]
+    return kept[key]
+
+
 def items_digest(items) -> str:
     return hashlib.sha256(",".join(sorted(items)).encode()).hexdigest()
 
@@ -138,10 +150,10 @@ def clean(docs: DataFrame, items: DataFrame, share: float = 0.0, window: int = W
     """The rows of ``docs`` whose hit share of words is at most ``share`` (0: no window of the benchmark occurs), all columns kept.
 
     The test runs beside the rows in one pass: nothing is joined back."""
-    sent = docs.sparkSession.sparkContext.broadcast(_broadcast_items(items, BLOCK_BYTES))
+    sent, key = docs.sparkSession.sparkContext.broadcast(_broadcast_items(items, BLOCK_BYTES)), uuid.uuid4().hex
 
     def run(batches):
-        automata = [a for b in sent.value if (a := build_automaton(b, window))]
+        automata = _automata(key, sent, window)
         for batch in batches:
             for part, texts in common.steps(batch):
                 words, hit, _ = hits(texts, automata)
