@@ -198,8 +198,9 @@ def _sample(docs: DataFrame, labels: DataFrame) -> DataFrame:
     order = F.xxhash64("doc_id")
     some = known.where("toxic > 0").orderBy(order, "doc_id").limit(POSITIVES).unionByName(known.where("toxic <= 0").orderBy(order, "doc_id").limit(NEGATIVES))
     some = common.durable(some.select("doc_id", F.col("toxic").cast("long").alias("toxic"), F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(FOLDS)).alias("fold")), "sample")
-    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(some), "doc_id")  # bounded by the sample
-    return common.durable(rows.dropDuplicates(["doc_id"]), "sample_texts")
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(some.select("doc_id")), "doc_id")  # bounded by the sample
+    one = rows.groupBy("doc_id").agg(F.min_by("text", F.xxhash64("text")).alias("text"))  # of several texts always the same one
+    return common.durable(one.join(F.broadcast(some), "doc_id").select("doc_id", "text", "toxic", "fold"), "sample_texts")
 
 
 def _lexicons(sample: DataFrame, totals: np.ndarray) -> list[Lexicon]:
