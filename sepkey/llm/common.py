@@ -21,7 +21,7 @@ STEP_ROWS = 4096
 
 
 #: Most bytes that may be broadcast, by an estimate over all rows; larger tables are joined by a shuffle.
-BROADCAST_BYTES = 64 << 20
+BROADCAST_BYTES = 32 << 20
 
 
 def small(df: DataFrame, row_bytes: Column) -> DataFrame:

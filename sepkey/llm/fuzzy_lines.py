@@ -7,7 +7,8 @@ at least the threshold; nothing else decides. Of each connected group the occurr
 Candidates come from SimHash. The votes are sparse: each distinct word votes on the bits
 of one block only, the one its hash deals it to. A line that differs from another in a few words therefore agrees with it on every
 block that none of these words is dealt to, however many bits differ elsewhere, and a join on blocks (on pairs of blocks where lines are short)
-finds it. Longer lines have more blocks, of which ``KEPT`` are used, so that a block always holds the votes of some two to five words. Pairs
+finds it. Longer lines have more blocks, of which ``KEPT`` are used, so that a block always holds the votes of some two to five words, and blocks of
+fewer than ``LEAST`` make no key. Pairs
 that meet are dropped if more than ``FAR`` of the some 60 bits of their fingerprints, drawn from all blocks, differ (those of
 level 0, which share two blocks of five, are not asked); edit similarity judges the rest. Where a line has ``MANY`` words of ``LONG`` letters or more, only these vote; where it has ``ENOUGH`` but
 not so many, it is looked up both ways.
@@ -27,23 +28,26 @@ from pyspark.sql import functions as F
 from . import common, grouping
 
 PERCENT = 80
-LONG, ENOUGH, MANY = 5, 5, 8
+LONG, ENOUGH, MANY = 4, 5, 8
 #: Most voting words of lines whose every word is a block of its own as well: a key leaves out one of them, or none.
 FEW = 8
 KEPT = 10
-FAR = 21
-#: Fewest words of the levels above the first. At level 0 a key is a pair of 5 blocks, at level 1 one of 7 blocks; level 2 + i begins at 28 * 2^i
-#: words and has 14 * 2^i - 1 blocks. Word counts within ``MARGIN`` of a border belong to both levels.
+FAR = 18
+#: Fewest words whose votes make a key.
+LEAST = 3
+#: Fewest words of the levels above the first. At level 0 a key is a pair of 5 blocks, at level 1 one of 6 blocks; level 2 + i begins at 28 * 2^i
+#: words and has 12 * 2^i - 1 blocks. Word counts within ``MARGIN`` of a border belong to both levels.
 LEVEL_1, LEVEL_2 = 14, 28
 MARGIN = 1.1
 
 
-def _words(line: Column) -> Column:
-    return F.split(F.lower(line), r"[\x00-\x2f\x3a-\x60\x7b-\x7f]+")
+#: A run of what is no word character, other than one blank alone; line ends stay.
+_GAP = r"[\x00-\x09\x0b-\x1f\x21-\x2f\x3a-\x60\x7b-\x7f][\x00-\x09\x0b-\x2f\x3a-\x60\x7b-\x7f]*| [\x00-\x09\x0b-\x2f\x3a-\x60\x7b-\x7f]+"
 
 
-def _norm(line: Column) -> Column:
-    return F.trim(F.array_join(_words(line), " "))
+def _norms(text: Column) -> Column:
+    """The lines of a text in normal form but for a blank at either end."""
+    return F.split(F.regexp_replace(F.lower(text), _GAP, " "), "\n")
 
 
 #: A place is a number made of the doc_id, 20 bits of the text's hash (for texts that share a doc_id) and the line number.
@@ -67,8 +71,8 @@ def _place() -> Column:
 
 def lines_of(docs: DataFrame) -> DataFrame:
     """doc_id, variant, line_no, place, norm, node of all lines that have words."""
-    each = _identified(docs).select("doc_id", "variant", F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
-    return each.select("doc_id", "variant", "line_no", _place().alias("place"), _norm(F.col("line")).alias("norm")).where("norm <> ''").withColumn("node", F.xxhash64("norm"))
+    each = _identified(docs).select("doc_id", "variant", F.posexplode(_norms(F.col("text"))).alias("line_no", "line"))
+    return each.select("doc_id", "variant", "line_no", _place().alias("place"), F.trim("line").alias("norm")).where("norm <> ''").withColumn("node", F.xxhash64("norm"))
 
 
 def _level(n: Column) -> Column:
@@ -88,11 +92,11 @@ def _votes(j: int):
 
 
 def _majority(words: Column) -> Column:
-    """60 bits, each that of most hashes in ``words``. Four sums of 15 four-bit counters, which hold up to 15 words; what a fuller block carries
+    """30 bits, each that of most hashes in ``words``. Two sums of 15 four-bit counters, which hold up to 15 words; what a fuller block carries
     over makes another, equally fixed, value."""
     out = F.lit(0).cast("long")
     over = F.greatest(F.lit(0), 7 - F.floor(F.size(words) / 2)).cast("long") * F.lit(_ONES)
-    for j in range(4):
+    for j in range(2):
         votes = F.aggregate(words, F.lit(0).cast("long"), _votes(j))
         out = out.bitwiseOR(F.shiftleft(F.shiftrightunsigned((votes + over).bitwiseAND(F.lit(_ONES * 8)), 3), j))
     return out
@@ -108,50 +112,54 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     line = line.withColumn("w", F.explode(voters)).withColumn("h", F.array_distinct(F.transform("w", lambda w: F.xxhash64(w)))).drop("w", "long")
     n = F.size("h")
     levels = F.when(n < 2, F.array(F.lit(-1))).otherwise(F.array_distinct(F.array(_level(n / MARGIN), _level(n * MARGIN))))
-    few = F.concat(F.transform("h", lambda x: _majority(F.filter("h", lambda y: y != x))), F.array(_majority(F.col("h"))))
-    few = F.when(n.between(2, FEW), F.when(n == 2, F.slice(few, 3, 1)).otherwise(few))
+    none = F.array().cast("array<array<long>>")
+    but_one = F.when(n > 2, F.transform("h", lambda x: F.filter("h", lambda y: y != x))).otherwise(none)
+    few = F.when(n.between(2, FEW), F.transform(F.concat(but_one, F.array("h")), lambda p: F.xxhash64(F.size(p), _majority(p), F.aggregate(p, F.lit(0).cast("long"), lambda t, h: t.bitwiseXOR(h)))))
     each = line.select(*_OCCURRENCE, "length", "h", few.alias("few"), F.explode(levels).alias("level"))
     level = F.col("level")
-    each = each.withColumn("blocks", F.when(level < 1, 5).when(level < 2, 7).otherwise(_shifted(F.lit(14), level - 2) - 1).cast("long")).withColumn("kept", F.least(F.col("blocks"), F.lit(KEPT)).cast("int"))
+    each = each.withColumn("blocks", F.when(level < 1, 5).when(level < 2, 6).otherwise(_shifted(F.lit(12), level - 2) - 1).cast("long")).withColumn("kept", F.least(F.col("blocks"), F.lit(KEPT)).cast("int"))
     near = F.when(F.col("blocks") > KEPT, F.filter("h", lambda x: F.pmod(x, F.col("blocks")) < KEPT)).otherwise(F.col("h"))
     each = each.withColumn("h", near)
     dealt = F.transform(F.sequence(F.lit(0), F.col("kept") - 1), lambda b: F.filter("h", lambda x: F.pmod(x, F.col("blocks")) == b))
     each = each.withColumn("parts", F.when(level >= 0, dealt)).drop("h")
     each = each.withColumn("f", F.transform("parts", lambda p: F.struct(_majority(p).alias("v"), F.size(p).alias("n")))).drop("parts")
-    width = F.when(F.col("kept") == 5, 12).when(F.col("kept") == 7, 9).otherwise(6)
+    width = F.when(F.col("kept") == 5, 12).when(F.col("kept") == 6, 10).otherwise(6)
     each = each.withColumn("width", width)
     sig = F.aggregate("f", F.lit(0).cast("long"), lambda s, x: _shifted(s, F.col("width")).bitwiseOR(x["v"].bitwiseAND((_shifted(F.lit(1), F.col("width")) - 1).cast("long"))))
     none = F.lit(0).cast("long")
-    single = F.transform("f", lambda x, i: F.when(x["n"] >= 2, F.xxhash64(F.col("level"), i, x["v"])).otherwise(none))
-    double = F.flatten(F.transform("f", lambda x, i: F.transform(F.slice(F.col("f"), i + 2, F.lit(KEPT)), lambda y, j: F.when(x["n"] + y["n"] >= 2, F.xxhash64(F.col("level"), i, j, x["v"], y["v"])).otherwise(none))))
+    single = F.transform("f", lambda x, i: F.when(x["n"] >= LEAST, F.xxhash64(F.col("level"), i, x["n"], x["v"])).otherwise(none))
+    double = F.flatten(F.transform("f", lambda x, i: F.transform(F.slice(F.col("f"), i + 2, F.lit(KEPT)), lambda y, j: F.when(x["n"] + y["n"] >= LEAST, F.xxhash64(F.col("level"), i, j, x["n"], y["n"], x["v"], y["v"])).otherwise(none))))
     keys = F.filter(F.when(level == 0, double).otherwise(single), lambda k: k != 0)
     keys = F.concat(keys, F.when(level == 0, F.coalesce("few", F.array().cast("array<long>"))).otherwise(F.array().cast("array<long>")))
     return each.select(*_OCCURRENCE, "length", F.when(level > 0, sig).otherwise(none).alias("sig"), F.coalesce(keys, F.array().cast("array<long>")).alias("keys"))
 
 
-def _alike(x: Column, y: Column, percent: int) -> Column:
-    """Whether the edits between two normalised lines are at most the rest of ``percent`` of the longer one.
+def _with_verdict(pairs: DataFrame, percent: int) -> DataFrame:
+    """pairs: a, b, x, y (two normalised lines). Gives a, b and ``ok``: whether the edits between the two are at most the rest of ``percent`` of the
+    longer one. Written before it is filtered, as a filter would pull every step into one expression that computes each of them many times.
 
     Exchanging the words that differ place by place is one way to edit: if it is cheap enough, nothing else need be tried. Else the words that
     both lines begin and end with are set aside, which leaves the edit distance as it is, and the distance of what is between is computed."""
-    v, w = F.split(x, " "), F.split(y, " ")
-    most = F.floor(F.greatest(F.length(x), F.length(y)) * (100 - percent) / 100).cast("int")
     size = lambda c: F.coalesce(F.length(c), F.lit(0))
-    swaps = F.aggregate(F.zip_with(v, w, lambda c, d: F.when(c.eqNullSafe(d), 0).otherwise(1 + F.greatest(size(c), size(d)))), F.lit(0), lambda n, c: n + c)
-    fewer = F.least(F.size(v), F.size(w))
+    most = F.floor(F.greatest(F.length("x"), F.length("y")) * (100 - percent) / 100).cast("int")
+    each = pairs.select("a", "b", F.split("x", " ").alias("v"), F.split("y", " ").alias("w"), most.alias("most"))
+    swaps = F.aggregate(F.zip_with("v", "w", lambda c, d: F.when(c.eqNullSafe(d), 0).otherwise(1 + F.greatest(size(c), size(d)))), F.lit(0), lambda n, c: n + c)
+    each = each.withColumn("swapped", swaps <= F.col("most"))
 
     def shared(c: Column, d: Column) -> Column:
         first = F.array_position(F.zip_with(c, d, lambda e, f: e.eqNullSafe(f)), False).cast("int")
-        return F.when(first == 0, fewer).otherwise(first - 1)
-
-    head = shared(v, w)
-    tail = F.least(shared(F.reverse(v), F.reverse(w)), fewer - head)
-    middle = lambda c: F.array_join(F.slice(c, head + 1, F.size(c) - head - tail), " ")
-    p, q = middle(v), middle(w)
+        return F.coalesce(F.nullif(first, F.lit(0)) - 1, F.least(F.size(c), F.size(d)))
+
+    each = each.withColumn("head", F.when(~F.col("swapped"), shared(F.col("v"), F.col("w"))))
+    rest = lambda c: F.slice(c, F.col("head") + 1, F.size(c) - F.col("head"))
+    each = each.withColumn("v", F.when(~F.col("swapped"), rest("v"))).withColumn("w", F.when(~F.col("swapped"), rest("w")))
+    each = each.withColumn("tail", shared(F.reverse("v"), F.reverse("w")))
+    middle = lambda c: F.array_join(F.slice(c, 1, F.size(c) - F.col("tail")), " ")
+    each = each.select("a", "b", "most", "swapped", middle("v").alias("p"), middle("w").alias("q"))
     # where one middle is empty, the other goes with one blank
-    gap = (F.length(p) == 0) | (F.length(q) == 0)
-    edits = F.when(gap, F.when(F.greatest(F.length(p), F.length(q)) + 1 <= most, 0).otherwise(-1)).otherwise(F.call_function("levenshtein", p, q, most))
-    return (swaps <= most) | (edits >= 0)
+    gap = (F.length("p") == 0) | (F.length("q") == 0)
+    edits = F.when(gap, F.when(F.greatest(F.length("p"), F.length("q")) + 1 <= F.col("most"), 0).otherwise(-1)).otherwise(F.call_function("levenshtein", F.col("p"), F.col("q"), F.col("most")))
+    return common.durable(each.select("a", "b", (F.col("swapped") | (edits >= 0)).alias("ok")), "tested")
 
 
 def _texts(docs: DataFrame, marks: DataFrame, ends: DataFrame) -> DataFrame:
@@ -160,8 +168,8 @@ def _texts(docs: DataFrame, marks: DataFrame, ends: DataFrame) -> DataFrame:
     at = marks.select("node", "place", "doc_id", "variant", "line_no").join(common.small(first, F.lit(32)), ["node", "place"])
     at = common.durable(at.groupBy("doc_id", "variant").agg(F.collect_set("line_no").alias("wanted")), "at")
     some = _identified(docs).join(common.small(at, 32 + 4 * F.size("wanted")), ["doc_id", "variant"])
-    lines = some.withColumn("lines", F.split("text", "\n")).select(F.explode(F.transform("wanted", lambda i: F.get("lines", i))).alias("line"))
-    return lines.select(_norm(F.col("line")).alias("norm")).select(F.xxhash64("norm").alias("node"), "norm").dropDuplicates(["node"])
+    lines = some.select("wanted", _norms(F.col("text")).alias("lines")).select(F.explode(F.transform("wanted", lambda i: F.get("lines", i))).alias("line"))
+    return lines.select(F.trim("line").alias("norm")).select(F.xxhash64("norm").alias("node"), "norm").dropDuplicates(["node"])
 
 
 def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
@@ -178,9 +186,9 @@ def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
         ends = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
         norm = common.durable(_texts(docs, marks, ends.join(nodes, "node")), "texts")
         both = pairs.join(norm.select(F.col("node").alias("a"), F.col("norm").alias("x")), "a").join(norm.select(F.col("node").alias("b"), F.col("norm").alias("y")), "b")
-        return both.where(_alike(F.col("x"), F.col("y"), percent)).select("a", "b")
+        return _with_verdict(both, percent).where("ok").select("a", "b")
 
-    roots, _ = grouping.link(members, test, may, native=True)
+    roots, _ = grouping.link(members, test, may, native=True, small=2)
     tied = nodes.join(roots, "node", "left").where("root is not null or first < last").withColumn("root", F.coalesce("root", "node"))
     keep = tied.groupBy("root").agg(F.min("first").alias("keep"))
     lines = common.durable(tied.join(keep, "root").select("node", "keep"), "groups")

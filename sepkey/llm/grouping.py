@@ -3,7 +3,7 @@
 ``link`` takes rows of buckets and nodes and a test of node pairs, and gives every node that has a link the smallest node it reaches. It
 loses no link between two nodes that share a bucket, yet does not test all pairs of a large bucket:
 
-1. In buckets of at most ``SMALL`` nodes all pairs are tested; in larger ones each node against the smallest node.
+1. In buckets of at most ``small`` nodes all pairs are tested; in larger ones each node against the smallest node.
 2. Groups are formed. Where the nodes of a large bucket still lie in several groups, all pairs across groups are looked at, which is
    what is left for completeness: pairs inside a group cannot change it. The caller may do this in blocks of bounded size that give out
    only pairs close to a link.
@@ -91,7 +91,7 @@ def _other(df: DataFrame, keep: list[str]) -> DataFrame:
     return df.select(*keep, *[F.col(c).alias(f"other_{c}") for c in df.columns if c not in keep])
 
 
-def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callable[[Callable, Callable], Column], native: bool = False, across: Callable[[DataFrame], DataFrame] | None = None) -> tuple[DataFrame, DataFrame]:
+def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callable[[Callable, Callable], Column], native: bool = False, across: Callable[[DataFrame], DataFrame] | None = None, small: int = SMALL) -> tuple[DataFrame, DataFrame]:
     """members: bucket, node and columns that depend on both. ``may(left, right)`` is a cheap necessary condition over these columns of two
     nodes; ``test`` keeps the linked of pairs (a, b), a < b. ``across`` takes the rows (of members, with size and root) of the buckets whose nodes
     lie in several groups, and gives the pairs of a bucket, in different groups, that may be linked; without it, those that satisfy ``may``.
@@ -105,9 +105,9 @@ def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callab
     live = common.durable(live, "members")
     sizes = live.groupBy("bucket").agg(F.count("*").alias("size"), F.min("node").alias("lead"))
     live = common.durable(live.join(sizes, "bucket"), "buckets")
-    few = live.where(F.col("size") <= SMALL).select("bucket", "node", *payload)
+    few = live.where(F.col("size") <= small).select("bucket", "node", *payload)
     pairs = few.join(_other(few, ["bucket"]), "bucket").where((F.col("node") < F.col("other_node")) & may(left, right)).select(F.col("node").alias("a"), F.col("other_node").alias("b"))
-    many = live.where(F.col("size") > SMALL)
+    many = live.where(F.col("size") > small)
     leads = _other(many.where("node = lead").select("bucket", "node", *payload), ["bucket"])
     stars = many.join(leads, "bucket").where((F.col("node") > F.col("other_node")) & may(left, right)).select(F.col("other_node").alias("a"), F.col("node").alias("b"))
     tested = common.durable(pairs.unionByName(stars).distinct(), "pairs")
