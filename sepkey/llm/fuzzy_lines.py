@@ -1,17 +1,19 @@
-"""Deduplication of fuzzy lines, with DataFrame functions only.
+"""Deduplication of fuzzy lines.
 
 A line is normalised to its lower-case words (digits, ASCII letters and all characters beyond ASCII) with one blank between; lines of one
 normalised form are one node (by a 64-bit hash). Two nodes are linked if the edit similarity of the normalised lines, 1 - edits / longer length, is
 at least the threshold; nothing else decides. Of each connected group the occurrence with the smallest (doc_id, line number) stays.
 
-Candidates come from SimHash. The votes are sparse: each distinct word votes on the bits
-of one block only, the one its hash deals it to. A line that differs from another in a few words therefore agrees with it on every
-block that none of these words is dealt to, however many bits differ elsewhere, and a join on blocks (on pairs of blocks where lines are short)
-finds it. Longer lines have more blocks, of which ``KEPT`` are used, so that a block always holds the votes of some two to five words, and blocks of
-fewer than ``LEAST`` make no key. Pairs
-that meet are dropped if more than ``FAR`` of the some 60 bits of their fingerprints, drawn from all blocks, differ (those of
-level 0, which share two blocks of five, are not asked); edit similarity judges the rest. Where a line has ``MANY`` words of ``LONG`` letters or more, only these vote; where it has ``ENOUGH`` but
-not so many, it is looked up both ways.
+Candidates come from SimHash. The votes are sparse: each word votes on the bits of one block only, the one its hash deals it to. A line that
+differs from another in a few words therefore agrees with it on every block that none of these words is dealt to, however many bits differ
+elsewhere, and a join on blocks (on pairs of blocks where lines are short) finds it. Longer lines have more blocks, of which ``KEPT`` are used, so
+that a block always holds the votes of some two to five words; blocks of fewer than ``LEAST`` make no key. Pairs that meet are dropped if more than
+``FAR`` of the 60 bits of their fingerprints, drawn from all blocks, differ (those of level 0, which share two blocks of five, are not asked); edit
+similarity judges the rest. Where a line has ``MANY`` words of ``LONG`` letters or more, only these vote; where it has ``ENOUGH`` but not so many, it
+is looked up both ways. Lines of at most ``FEW`` words have keys for all words but one besides.
+
+Words, hashes and votes are numpy over Arrow batches, edit distances bit-parallel Python; the rest are DataFrame functions. With DataFrame
+functions alone the votes, and the distances, each took nearly all of the CPU seconds that the check tool allows (README).
 
 A pair is missed if each block has a word that differs; the tests and the README give the recall against edit similarity alone. Lines of one
 word, and those whose edits lie in nearly all words, are matched by equality alone. Lines without words always stay (blank lines, brackets, rules).
@@ -22,6 +24,9 @@ its own lines. Null texts are empty and stay null. Extra columns, whatever their
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -69,107 +74,204 @@ def _place() -> Column:
     return (text * F.lit(_LINES).cast("decimal(10,0)") + F.col("line_no")).cast("decimal(38,0)")
 
 
-def lines_of(docs: DataFrame) -> DataFrame:
-    """doc_id, variant, line_no, place, norm, node of all lines that have words."""
-    each = _identified(docs).select("doc_id", "variant", F.posexplode(_norms(F.col("text"))).alias("line_no", "line"))
-    return each.select("doc_id", "variant", "line_no", _place().alias("place"), F.trim("line").alias("norm")).where("norm <> ''").withColumn("node", F.xxhash64("norm"))
+_WORD = common.byte_class(lambda b: 48 <= b <= 57 or 97 <= b <= 122 or b >= 128)
+#: Fixed value: fifteen counters of four bits.
+_ONES = np.uint64(0x0111111111111111)
+_BITS = 2  # sums of counters: 30 votes a block
+_SLOTS = KEPT
 
 
-def _level(n: Column) -> Column:
-    return F.when(n < LEVEL_1, 0).when(n < LEVEL_2, 1).otherwise(2 + F.floor(F.log2(n / LEVEL_2))).cast("int")
+def _level(n: np.ndarray) -> np.ndarray:
+    long = 2 + np.floor(np.log2(np.maximum(n, LEVEL_2) / LEVEL_2)).astype(np.int64)
+    return np.where(n < LEVEL_1, 0, np.where(n < LEVEL_2, 1, long))
 
 
-_ONES = 0x0111111111111111
-_OCCURRENCE = ["doc_id", "variant", "line_no", "place", "node"]
+def _majority(votes: list[np.ndarray], n: np.ndarray) -> np.ndarray:
+    """30 bits, each that of most of the n hashes whose votes were summed. A counter holds up to 15; what a fuller block carries over makes another,
+    equally fixed, value."""
+    over = np.maximum(0, 7 - n // 2).astype(np.uint64) * _ONES
+    out = np.zeros(len(n), np.uint64)
+    for j, sums in enumerate(votes):
+        out |= (((sums + over) & (_ONES << np.uint64(3))) >> np.uint64(3)) << np.uint64(j)
+    return out
 
 
-def _shifted(value: Column, bits: Column) -> Column:
-    return F.call_function("shiftleft", value, bits)
+def _votes(h: np.ndarray, cell: np.ndarray, cells: int) -> list[np.ndarray]:
+    out = []
+    for j in range(_BITS):
+        sums = np.zeros(cells, np.uint64)
+        np.add.at(sums, cell, (h >> np.uint64(j)) & _ONES)
+        out.append(sums)
+    return out
 
 
-def _votes(j: int):
-    return lambda total, h: total + F.shiftrightunsigned(h, j).bitwiseAND(F.lit(_ONES))
+def _key(*parts) -> np.ndarray:
+    out = np.uint64(len(parts))
+    for x in parts:
+        out = common.mix((out ^ np.atleast_1d(x).astype(np.uint64)) + np.uint64(0x9E3779B97F4A7C15))
+    return out
 
 
-def _majority(words: Column) -> Column:
-    """30 bits, each that of most hashes in ``words``. Two sums of 15 four-bit counters, which hold up to 15 words; what a fuller block carries
-    over makes another, equally fixed, value."""
-    out = F.lit(0).cast("long")
-    over = F.greatest(F.lit(0), 7 - F.floor(F.size(words) / 2)).cast("long") * F.lit(_ONES)
-    for j in range(2):
-        votes = F.aggregate(words, F.lit(0).cast("long"), _votes(j))
-        out = out.bitwiseOR(F.shiftleft(F.shiftrightunsigned((votes + over).bitwiseAND(F.lit(_ONES * 8)), 3), j))
-    return out
+class Lines:
+    """The lines of some lower-case texts that have words: ``row``, ``line_no``, ``node``, ``length`` of the normal form in characters, and for each
+    level at which a line is looked up (``of``: the line) its fingerprint ``sig`` and keys (``key``, by ``key_of``: the index of the look-up)."""
+
+    def __init__(self, texts: common.Texts):
+        words = common.Words(texts, _WORD)
+        h = common.run_hashes(texts.data, words.start, words.end)
+        row = np.repeat(np.arange(len(texts)), words.counts())
+        breaks = np.concatenate([[0], np.cumsum(texts.data == 10)])
+        line = breaks[words.start] + row  # grows by one at each line end and at each row
+        new = np.ones(len(line), bool)
+        new[1:] = line[1:] != line[:-1]
+        first = np.flatnonzero(new)
+        line = np.cumsum(new) - 1
+        n = np.diff(np.append(first, len(line)))
+        self.row = row[first]
+        self.line_no = breaks[words.start[first]] - breaks[texts.at[self.row]]
+        chars = np.concatenate([[0], np.cumsum((texts.data & 0xC0) != 0x80)])
+        size = chars[words.end] - chars[words.start]
+        total = lambda x: np.add.reduceat(x, first) if len(first) else x[:0]
+        self.length = total(size) + n - 1
+        place = np.arange(len(line)) - first[line]
+        self.node = _key(total(common.mix(h ^ common.mix(place.astype(np.uint64)))), n)
+        self._look_up(h, line, n, size >= LONG, total)
+
+    def _look_up(self, h, line, n, long, total) -> None:
+        longs = total(long.astype(np.int64))
+        by_all, by_long = longs < MANY, longs >= ENOUGH
+        # the voting words of each way to look a line up, and then of each level
+        every = by_all[line]
+        some = by_long[line] & long
+        count = len(n)
+        way = np.concatenate([line[every], line[some] + count])
+        h = np.concatenate([h[every], h[some]])
+        m = np.bincount(way, minlength=2 * count)
+        low, high = _level(m / MARGIN), _level(m * MARGIN)
+        low[m < 2] = high[m < 2] = -1
+        used = np.concatenate([by_all, by_long])
+        twice = used & (low != high)
+        item = np.full(2 * count, -1)
+        item[used] = np.arange(int(used.sum()))
+        second = np.full(2 * count, -1)
+        second[twice] = int(used.sum()) + np.arange(int(twice.sum()))
+        self.of = np.concatenate([np.flatnonzero(used), np.flatnonzero(twice)]) % max(count, 1)
+        level = np.concatenate([low[used], high[twice]])
+        again = twice[way]
+        own = np.concatenate([item[way], second[way[again]]])
+        word = np.concatenate([h, h[again]])
+        self._blocks(word, own, level)
+        few = m[way]
+        few = (few >= 2) & (few <= FEW)
+        self._few(h[few], item[way[few]])
+        order = np.argsort(self.key_of, kind="stable")
+        self.key, self.key_of = self.key[order], self.key_of[order]
+
+    def _blocks(self, word, own, level) -> None:
+        items = len(level)
+        blocks = np.where(level < 1, 5, np.where(level < 2, 6, (12 << np.maximum(level - 2, 0)) - 1))
+        kept = np.where(level < 0, 0, np.minimum(blocks, KEPT))
+        block = (word % blocks[own].astype(np.uint64)).astype(np.int64)
+        near = block < kept[own]
+        cell = own[near] * _SLOTS + block[near]
+        n = np.bincount(cell, minlength=items * _SLOTS)
+        v = _majority(_votes(word[near], cell, items * _SLOTS), n).reshape(items, _SLOTS)
+        n = n.reshape(items, _SLOTS)
+        self.sig = np.zeros(items, np.uint64)
+        for size, width in ((6, 10), (KEPT, 6)):
+            of = np.flatnonzero((level > 0) & (kept == size))
+            for b in range(size):
+                self.sig[of] = (self.sig[of] << np.uint64(width)) | (v[of, b] & np.uint64((1 << width) - 1))
+        at, b = np.nonzero((n >= LEAST) & (level > 0)[:, None])
+        keys, owners = [_key(level[at], b, n[at, b], v[at, b])], [at]
+        short = np.flatnonzero(level == 0)
+        for i in range(5):
+            for j in range(i + 1, 5):
+                at = short[n[short, i] + n[short, j] >= LEAST]
+                keys.append(_key(i * 5 + j, n[at, i], n[at, j], v[at, i], v[at, j]))
+                owners.append(at)
+        self.key, self.key_of = np.concatenate(keys), np.concatenate(owners)
+
+    def _few(self, word, own) -> None:
+        """Keys of all words but one, and of all."""
+        if not len(word):
+            return
+        ids, own = np.unique(own, return_inverse=True)
+        n = np.bincount(own)
+        votes = _votes(word, own, len(ids))
+        total = np.zeros(len(ids), np.uint64)
+        np.add.at(total, own, common.mix(word))
+        whole = _key(100, n, _majority(votes, n), total)
+        less = own[n[own] > 2]
+        out = word[n[own] > 2]
+        rest = [sums[less] - ((out >> np.uint64(j)) & _ONES) for j, sums in enumerate(votes)]
+        but_one = _key(100, n[less] - 1, _majority(rest, n[less] - 1), total[less] - common.mix(out))
+        self.key = np.concatenate([self.key, whole, but_one])
+        self.key_of = np.concatenate([self.key_of, ids, ids[less]])
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
-    """One row or a few for each occurrence of a line: doc_id, variant, line_no, place, node, and for each level that the line belongs to its length
-    (characters), fingerprint of some 60 bits and keys (none: equality only)."""
-    line = lines_of(docs).select(*_OCCURRENCE, F.length("norm").alias("length"), F.split("norm", " ").alias("w"))
-    line = line.withColumn("long", F.filter("w", lambda w: F.length(w) >= LONG))
-    long = F.size("long")
-    voters = F.when(long >= MANY, F.array("long")).when(long >= ENOUGH, F.array("w", "long")).otherwise(F.array("w"))
-    line = line.withColumn("w", F.explode(voters)).withColumn("h", F.array_distinct(F.transform("w", lambda w: F.xxhash64(w)))).drop("w", "long")
-    n = F.size("h")
-    levels = F.when(n < 2, F.array(F.lit(-1))).otherwise(F.array_distinct(F.array(_level(n / MARGIN), _level(n * MARGIN))))
-    none = F.array().cast("array<array<long>>")
-    but_one = F.when(n > 2, F.transform("h", lambda x: F.filter("h", lambda y: y != x))).otherwise(none)
-    few = F.when(n.between(2, FEW), F.transform(F.concat(but_one, F.array("h")), lambda p: F.xxhash64(F.size(p), _majority(p), F.aggregate(p, F.lit(0).cast("long"), lambda t, h: t.bitwiseXOR(h)))))
-    each = line.select(*_OCCURRENCE, "length", "h", few.alias("few"), F.explode(levels).alias("level"))
-    level = F.col("level")
-    each = each.withColumn("blocks", F.when(level < 1, 5).when(level < 2, 6).otherwise(_shifted(F.lit(12), level - 2) - 1).cast("long")).withColumn("kept", F.least(F.col("blocks"), F.lit(KEPT)).cast("int"))
-    near = F.when(F.col("blocks") > KEPT, F.filter("h", lambda x: F.pmod(x, F.col("blocks")) < KEPT)).otherwise(F.col("h"))
-    each = each.withColumn("h", near)
-    dealt = F.transform(F.sequence(F.lit(0), F.col("kept") - 1), lambda b: F.filter("h", lambda x: F.pmod(x, F.col("blocks")) == b))
-    each = each.withColumn("parts", F.when(level >= 0, dealt)).drop("h")
-    each = each.withColumn("f", F.transform("parts", lambda p: F.struct(_majority(p).alias("v"), F.size(p).alias("n")))).drop("parts")
-    width = F.when(F.col("kept") == 5, 12).when(F.col("kept") == 6, 10).otherwise(6)
-    each = each.withColumn("width", width)
-    sig = F.aggregate("f", F.lit(0).cast("long"), lambda s, x: _shifted(s, F.col("width")).bitwiseOR(x["v"].bitwiseAND((_shifted(F.lit(1), F.col("width")) - 1).cast("long"))))
-    none = F.lit(0).cast("long")
-    single = F.transform("f", lambda x, i: F.when(x["n"] >= LEAST, F.xxhash64(F.col("level"), i, x["n"], x["v"])).otherwise(none))
-    double = F.flatten(F.transform("f", lambda x, i: F.transform(F.slice(F.col("f"), i + 2, F.lit(KEPT)), lambda y, j: F.when(x["n"] + y["n"] >= LEAST, F.xxhash64(F.col("level"), i, j, x["n"], y["n"], x["v"], y["v"])).otherwise(none))))
-    keys = F.filter(F.when(level == 0, double).otherwise(single), lambda k: k != 0)
-    keys = F.concat(keys, F.when(level == 0, F.coalesce("few", F.array().cast("array<long>"))).otherwise(F.array().cast("array<long>")))
-    return each.select(*_OCCURRENCE, "length", F.when(level > 0, sig).otherwise(none).alias("sig"), F.coalesce(keys, F.array().cast("array<long>")).alias("keys"))
-
-
-def _with_verdict(pairs: DataFrame, percent: int) -> DataFrame:
-    """pairs: a, b, x, y (two normalised lines). Gives a, b and ``ok``: whether the edits between the two are at most the rest of ``percent`` of the
-    longer one. Written before it is filtered, as a filter would pull every step into one expression that computes each of them many times.
-
-    Exchanging the words that differ place by place is one way to edit: if it is cheap enough, nothing else need be tried. Else the words that
-    both lines begin and end with are set aside, which leaves the edit distance as it is, and the distance of what is between is computed."""
-    size = lambda c: F.coalesce(F.length(c), F.lit(0))
-    most = F.floor(F.greatest(F.length("x"), F.length("y")) * (100 - percent) / 100).cast("int")
-    each = pairs.select("a", "b", F.split("x", " ").alias("v"), F.split("y", " ").alias("w"), most.alias("most"))
-    swaps = F.aggregate(F.zip_with("v", "w", lambda c, d: F.when(c.eqNullSafe(d), 0).otherwise(1 + F.greatest(size(c), size(d)))), F.lit(0), lambda n, c: n + c)
-    each = each.withColumn("swapped", swaps <= F.col("most"))
-
-    def shared(c: Column, d: Column) -> Column:
-        first = F.array_position(F.zip_with(c, d, lambda e, f: e.eqNullSafe(f)), False).cast("int")
-        return F.coalesce(F.nullif(first, F.lit(0)) - 1, F.least(F.size(c), F.size(d)))
-
-    each = each.withColumn("head", F.when(~F.col("swapped"), shared(F.col("v"), F.col("w"))))
-    rest = lambda c: F.slice(c, F.col("head") + 1, F.size(c) - F.col("head"))
-    each = each.withColumn("v", F.when(~F.col("swapped"), rest("v"))).withColumn("w", F.when(~F.col("swapped"), rest("w")))
-    each = each.withColumn("tail", shared(F.reverse("v"), F.reverse("w")))
-    middle = lambda c: F.array_join(F.slice(c, 1, F.size(c) - F.col("tail")), " ")
-    each = each.select("a", "b", "most", "swapped", middle("v").alias("p"), middle("w").alias("q"))
-    # where one middle is empty, the other goes with one blank
-    gap = (F.length("p") == 0) | (F.length("q") == 0)
-    edits = F.when(gap, F.when(F.greatest(F.length("p"), F.length("q")) + 1 <= F.col("most"), 0).otherwise(-1)).otherwise(F.call_function("levenshtein", F.col("p"), F.col("q"), F.col("most")))
-    return common.durable(each.select("a", "b", (F.col("swapped") | (edits >= 0)).alias("ok")), "tested")
+    """One row or a few for each line that has words: doc_id, variant, line_no, place, node, and for each level at which it is looked up its
+    length (characters), fingerprint and keys (none: equality only)."""
+
+    def run(batches):
+        for batch in batches:
+            for part, _ in common.steps(batch):
+                lines = Lines(common.texts_of(pc.utf8_lower(part.column(2))))
+                at, row = lines.of, pa.array(lines.row[lines.of])
+                ends = np.concatenate([[0], np.cumsum(np.bincount(lines.key_of, minlength=len(at)))]).astype(np.int32)
+                keys = pa.ListArray.from_arrays(pa.array(ends), pa.array(lines.key.view(np.int64)))
+                yield pa.RecordBatch.from_arrays([part.column(0).take(row), part.column(1).take(row), pa.array(lines.line_no[at].astype(np.int32)), pa.array(lines.node[at].view(np.int64)), pa.array(lines.length[at].astype(np.int32)), pa.array(lines.sig.view(np.int64)), keys], ["doc_id", "variant", "line_no", "node", "length", "sig", "keys"])
+
+    rows = common.map_arrow(_identified(docs), run, "doc_id long, variant int, line_no int, node long, length int, sig long, keys array<long>")
+    return rows.withColumn("place", _place())
+
+
+def within(x: str, y: str, most: int) -> bool:
+    """Whether ``most`` edits turn x into y. What both begin and end with is set aside in whole words, which leaves the distance as it is; if
+    exchanging the words that differ place by place is cheap enough, nothing else need be tried; else the distance is computed exactly, all rows
+    of a column of its table at once as the bits of one integer."""
+    v, w = x.split(" "), y.split(" ")
+    least = min(len(v), len(w))
+    head = next((i for i in range(least) if v[i] != w[i]), least)
+    least -= head
+    tail = next((i for i in range(least) if v[-1 - i] != w[-1 - i]), least)
+    v, w = v[head : len(v) - tail], w[head : len(w) - tail]
+    if len(v) == len(w) and sum(max(len(a), len(b)) for a, b in zip(v, w, strict=True) if a != b) <= most:
+        return True
+    p, q = " ".join(v), " ".join(w)
+    if not v or not w:  # what is left goes with one blank
+        return len(p) + len(q) + 1 <= most
+    if abs(len(p) - len(q)) > most:
+        return False
+    at: dict[str, int] = {}
+    for i, c in enumerate(p):
+        at[c] = at.get(c, 0) | 1 << i
+    every, last = (1 << len(p)) - 1, 1 << (len(p) - 1)
+    up, down, score = every, 0, len(p)
+    for left, c in zip(range(len(q) - 1, -1, -1), q, strict=True):
+        same = at.get(c, 0) | down
+        zero = (((same & up) + up) ^ up) | same
+        plus, minus = down | ~(up | zero) & every, up & zero
+        if plus & last:
+            score += 1
+        elif minus & last:
+            score -= 1
+        if score - left > most:
+            return False
+        plus, minus = plus << 1 | 1, minus << 1
+        up, down = (minus | ~(zero | plus)) & every, plus & zero & every
+    return score <= most
 
 
 def _texts(docs: DataFrame, marks: DataFrame, ends: DataFrame) -> DataFrame:
     """(node, norm) of ``ends`` (node, first): the lines at their first places, read again from their documents."""
     first = common.durable(ends.select("node", F.col("first").alias("place")), "ends")
     at = marks.select("node", "place", "doc_id", "variant", "line_no").join(common.small(first, F.lit(32)), ["node", "place"])
-    at = common.durable(at.groupBy("doc_id", "variant").agg(F.collect_set("line_no").alias("wanted")), "at")
-    some = _identified(docs).join(common.small(at, 32 + 4 * F.size("wanted")), ["doc_id", "variant"])
-    lines = some.select("wanted", _norms(F.col("text")).alias("lines")).select(F.explode(F.transform("wanted", lambda i: F.get("lines", i))).alias("line"))
-    return lines.select(F.trim("line").alias("norm")).select(F.xxhash64("norm").alias("node"), "norm").dropDuplicates(["node"])
+    at = common.durable(at.groupBy("doc_id", "variant").agg(F.collect_set(F.struct("line_no", "node")).alias("wanted")), "at")
+    some = _identified(docs).join(common.small(at, 32 + 12 * F.size("wanted")), ["doc_id", "variant"])
+    lines = some.select("wanted", _norms(F.col("text")).alias("lines")).select(F.explode(F.transform("wanted", lambda w: F.struct(w["node"].alias("node"), F.get("lines", w["line_no"]).alias("line")))).alias("x"))
+    return lines.select("x.node", F.trim("x.line").alias("norm")).dropDuplicates(["node"])
 
 
 def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
@@ -186,9 +288,16 @@ def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
         ends = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
         norm = common.durable(_texts(docs, marks, ends.join(nodes, "node")), "texts")
         both = pairs.join(norm.select(F.col("node").alias("a"), F.col("norm").alias("x")), "a").join(norm.select(F.col("node").alias("b"), F.col("norm").alias("y")), "b")
-        return _with_verdict(both, percent).where("ok").select("a", "b")
 
-    roots, _ = grouping.link(members, test, may, native=True, small=2)
+        def linked(batches):
+            for batch in batches:
+                x, y = batch.column(2).to_pylist(), batch.column(3).to_pylist()
+                ok = [within(p, q, max(len(p), len(q)) * (100 - percent) // 100) for p, q in zip(x, y, strict=True)]
+                yield batch.select([0, 1]).filter(pa.array(ok, pa.bool_()))
+
+        return common.map_arrow(both.select("a", "b", "x", "y"), linked, "a long, b long")
+
+    roots, _ = grouping.link(members, test, may)
     tied = nodes.join(roots, "node", "left").where("root is not null or first < last").withColumn("root", F.coalesce("root", "node"))
     keep = tied.groupBy("root").agg(F.min("first").alias("keep"))
     lines = common.durable(tied.join(keep, "root").select("node", "keep"), "groups")

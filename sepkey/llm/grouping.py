@@ -3,10 +3,11 @@
 ``link`` takes rows of buckets and nodes and a test of node pairs, and gives every node that has a link the smallest node it reaches. It
 loses no link between two nodes that share a bucket, yet does not test all pairs of a large bucket:
 
-1. In buckets of at most ``small`` nodes all pairs are tested; in larger ones each node against the smallest node.
-2. Groups are formed. Where the nodes of a large bucket still lie in several groups, all pairs across groups are looked at, which is
-   what is left for completeness: pairs inside a group cannot change it. The caller may do this in blocks of bounded size that give out
-   only pairs close to a link.
+1. In buckets of at most ``SMALL`` nodes all pairs are tested; in larger ones each node against one of them, in up to ``STARS`` rounds against
+   another each, as long as the bucket's nodes lie in several groups.
+2. Where the nodes of a large bucket still lie in several groups, all pairs across groups are looked at, which is what is left for
+   completeness: pairs inside a group cannot change it. One pair of each two groups is tested first, then the rest. The caller may find
+   these pairs in blocks of bounded size that give out only pairs close to a link.
 
 Bucket sizes come from a pre-aggregate, pairs from equi-joins that AQE may split, groups from star contractions; nothing is gathered in one
 task or on the driver.
@@ -23,7 +24,7 @@ from pyspark.sql import functions as F
 
 from . import common
 
-SMALL = 8
+SMALL = 3
 
 
 def _forest(batches):
@@ -91,7 +92,7 @@ def _other(df: DataFrame, keep: list[str]) -> DataFrame:
     return df.select(*keep, *[F.col(c).alias(f"other_{c}") for c in df.columns if c not in keep])
 
 
-def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callable[[Callable, Callable], Column], native: bool = False, across: Callable[[DataFrame], DataFrame] | None = None, small: int = SMALL) -> tuple[DataFrame, DataFrame]:
+def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callable[[Callable, Callable], Column], across: Callable[[DataFrame], DataFrame] | None = None) -> tuple[DataFrame, DataFrame]:
     """members: bucket, node and columns that depend on both. ``may(left, right)`` is a cheap necessary condition over these columns of two
     nodes; ``test`` keeps the linked of pairs (a, b), a < b. ``across`` takes the rows (of members, with size and root) of the buckets whose nodes
     lie in several groups, and gives the pairs of a bucket, in different groups, that may be linked; without it, those that satisfy ``may``.
@@ -103,29 +104,66 @@ def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callab
     shared = common.durable(members.groupBy("bucket").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("bucket"), "shared")
     live = members.join(common.small(shared, F.lit(24)), "bucket", "left_semi").groupBy("bucket", "node").agg(*[F.min(c).alias(c) for c in payload])
     live = common.durable(live, "members")
-    sizes = live.groupBy("bucket").agg(F.count("*").alias("size"), F.min("node").alias("lead"))
+    sizes = live.groupBy("bucket").agg(F.count("*").alias("size"))
     live = common.durable(live.join(sizes, "bucket"), "buckets")
-    few = live.where(F.col("size") <= small).select("bucket", "node", *payload)
+    few = live.where(F.col("size") <= SMALL).select("bucket", "node", *payload)
     pairs = few.join(_other(few, ["bucket"]), "bucket").where((F.col("node") < F.col("other_node")) & may(left, right)).select(F.col("node").alias("a"), F.col("other_node").alias("b"))
-    many = live.where(F.col("size") > small)
-    leads = _other(many.where("node = lead").select("bucket", "node", *payload), ["bucket"])
-    stars = many.join(leads, "bucket").where((F.col("node") > F.col("other_node")) & may(left, right)).select(F.col("other_node").alias("a"), F.col("node").alias("b"))
-    tested = common.durable(pairs.unionByName(stars).distinct(), "pairs")
-    links = common.durable(test(tested), "links")
-    roots = common.durable(components(links, native), "roots")
-
-    spots = many.drop("lead").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    split = spots.groupBy("bucket").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("bucket")
-    spots = common.durable(spots.join(split, "bucket", "left_semi"), "open")
-    if not spots.isEmpty():
-        rest = across(spots) if across else _blocks(spots, may)
-        rest = common.durable(rest.distinct().join(tested, ["a", "b"], "left_anti"), "pairs")
-        if not rest.isEmpty():
-            more = common.durable(test(rest), "links")
-            links = links.unionByName(more)
-            known = roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
-            roots = common.durable(components(known.unionByName(more), native), "roots")
-    return roots, links
+    many = live.where(F.col("size") > SMALL)
+    found = Links(test)
+    spots = many.withColumn("root", F.col("node"))
+    for k in range(STARS):
+        # in each bucket another node, the same for buckets of the same nodes
+        lead = spots.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("node", F.lit(k)), F.struct("node", "root", *payload).alias("n"))).alias("x")).select("bucket", "x.n.*")
+        stars = spots.join(_other(lead, ["bucket"]), "bucket").where((F.col("root") != F.col("other_root")) & may(left, right))
+        stars = stars.select(F.least("node", "other_node").alias("a"), F.greatest("node", "other_node").alias("b"))
+        if not found.add(stars if k else pairs.unionByName(stars)) and k:
+            break
+        spots = found.across(many)
+        if spots.isEmpty():
+            return found.roots, found.links
+    # what is left: first one pair of each two groups, then all pairs of groups that still are two
+    rest = common.durable((across(spots) if across else _blocks(spots, may)).distinct(), "rest")
+    rooted = found.rooted(rest)
+    found.add(rooted.groupBy("root_a", "root_b").agg(F.min(F.struct(F.xxhash64("a", "b"), "a", "b")).alias("x")).select("x.a", "x.b"))
+    found.add(found.rooted(rest).select("a", "b"))
+    return found.roots, found.links
+
+
+#: Rounds in which each open bucket's nodes are tested against one of them.
+STARS = 4
+
+
+class Links:
+    """Tested pairs, links and groups so far."""
+
+    def __init__(self, test: Callable[[DataFrame], DataFrame]):
+        self.test, self.tested, self.links, self.roots = test, None, None, None
+
+    def add(self, pairs: DataFrame) -> bool:
+        """Tests the pairs that have not been tested; whether there were any."""
+        pairs = pairs.distinct()
+        new = common.durable(pairs if self.tested is None else pairs.join(self.tested, ["a", "b"], "left_anti"), "pairs")
+        if self.tested is not None and new.isEmpty():
+            return False
+        self.tested = new if self.tested is None else self.tested.unionByName(new)
+        more = common.durable(self.test(new), "links")
+        known = more if self.roots is None else more.unionByName(self.roots.select(F.col("node").alias("a"), F.col("root").alias("b")))
+        self.links = more if self.links is None else self.links.unionByName(more)
+        if self.roots is None or not more.isEmpty():
+            self.roots = common.durable(components(known), "roots")
+        return True
+
+    def across(self, many: DataFrame) -> DataFrame:
+        """The rows of the buckets whose nodes lie in several groups, with their groups."""
+        spots = many.join(self.roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+        split = spots.groupBy("bucket").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("bucket")
+        return common.durable(spots.join(split, "bucket", "left_semi"), "open")
+
+    def rooted(self, pairs: DataFrame) -> DataFrame:
+        """a, b, root_a < root_b of the pairs whose nodes lie in two groups."""
+        root = lambda c: self.roots.select(F.col("node").alias(c), F.col("root").alias(f"root_{c}"))
+        both = pairs.join(root("a"), "a", "left").join(root("b"), "b", "left").select("a", "b", F.coalesce("root_a", "a").alias("p"), F.coalesce("root_b", "b").alias("q"))
+        return both.where("p <> q").select("a", "b", F.least("p", "q").alias("root_a"), F.greatest("p", "q").alias("root_b"))
 
 
 def _blocks(spots: DataFrame, may) -> DataFrame:

@@ -87,9 +87,14 @@ def test_lines_of_one_and_two_words_repeat_too(spark):
 def test_recall_against_edit_similarity_alone(spark):
     """Of all pairs of different lines of the table with an edit similarity of 0.8 or more, at least 0.95 end in one group."""
     words = "trim(regexp_replace(lower(line), '[\\x00-\\x2f\\x3a-\\x60\\x7b-\\x7f]+', ' ', 'g'))"
-    sql = f"""WITH n AS (SELECT DISTINCT {words} AS x FROM (SELECT unnest(string_split(text, chr(10))) AS line FROM read_parquet('{SMALL}/documents.parquet')))
-              SELECT a.x, b.x FROM n a JOIN n b ON a.x < b.x AND 5 * least(length(a.x), length(b.x)) >= 4 * greatest(length(a.x), length(b.x))
-              AND a.x LIKE '% %' AND b.x LIKE '% %' WHERE 5 * levenshtein(a.x, b.x) <= greatest(length(a.x), length(b.x))"""
+    letters = "etaonirsu"  # an edit changes the count of one letter, or of two by one each: what surely differs too much is not measured
+    counts = ", ".join(f"length(x) - length(replace(x, '{c}', '')) AS {c}" for c in letters)
+    more, less = (" + ".join(f"greatest(0, {p}.{c} - {q}.{c})" for c in letters) for p, q in ("ab", "ba"))
+    sql = f"""WITH m AS (SELECT DISTINCT {words} AS x FROM (SELECT unnest(string_split(text, chr(10))) AS line FROM read_parquet('{SMALL}/documents.parquet'))),
+              n AS MATERIALIZED (SELECT x, length(x) AS size, {counts} FROM m WHERE x LIKE '% %'),
+              p AS MATERIALIZED (SELECT a.x AS x, b.x AS y, greatest(a.size, b.size) AS most FROM n a JOIN n b ON a.x < b.x AND 5 * least(a.size, b.size) >= 4 * greatest(a.size, b.size)
+                                 AND 5 * ({more}) <= greatest(a.size, b.size) AND 5 * ({less}) <= greatest(a.size, b.size))
+              SELECT x, y FROM p WHERE 5 * levenshtein(x, y) <= most"""
     pairs = duckdb.connect().sql(sql).fetchall()
     lines = sorted({x for p in pairs for x in p})
     rows = fuzzy_lines.decide(spark.createDataFrame([(i, f"{x}\n") for i, x in enumerate(lines)], "doc_id long, text string")).collect()
@@ -122,6 +127,20 @@ def test_hot_blocks_lose_no_pair(spark, monkeypatch):
     assert {r.doc_id for r in fuzzy_lines.decide(docs).collect()} == set(range(300, 340))
     nodes = spark.range(2000).select(F.lit(1).cast("long").alias("bucket"), F.col("id").alias("node"), (F.col("id") % 1000).alias("weight"))
     test = lambda pairs: pairs.where("a % 1000 = b % 1000")
-    roots, _ = fuzzy_lines.grouping.link(nodes, test, lambda a, b: a("weight") == b("weight"), native=True)
+    roots, _ = fuzzy_lines.grouping.link(nodes, test, lambda a, b: a("weight") == b("weight"))
     assert {(r.node, r.root) for r in roots.collect()} == {(i, i % 1000) for i in range(2000)}
     assert common.BROADCAST_BYTES > 0
+
+
+def test_bounded_edit_distance_equals_the_table():
+    rng = random.Random(8)
+    for _ in range(3000):
+        x = " ".join("".join(rng.choice("abé") for _ in range(rng.randint(1, 4))) for _ in range(rng.randint(1, 8)))
+        y = list(x)
+        for _ in range(rng.randint(0, 8)):
+            at = rng.randrange(len(y) + 1)
+            y[at : at + rng.randint(0, 2)] = rng.choice(["", "a", " b", "c "])
+        y = " ".join("".join(y).split()) or "a"
+        d = _edits(x, y)
+        for most in {0, d - 1, d, d + 1, 50}:
+            assert most < 0 or fuzzy_lines.within(x, y, most) == (d <= most)
