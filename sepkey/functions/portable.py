@@ -12,8 +12,14 @@ DIGITS = 15
 SPAN = 16**DIGITS
 
 
+def part_text(c: Column) -> Column:
+    """A value's text with bars and backslashes escaped and nulls named, so that lists of parts read back in one way only. Numbers stay as they are."""
+    text = F.replace(F.replace(c.cast("string"), F.lit("\\"), F.lit("\\\\")), F.lit("|"), F.lit("\\|"))
+    return F.coalesce(text, F.lit("\\N"))
+
+
 def rank_text(seed: int, identity: list[Column]) -> Column:
-    return F.concat_ws("|", F.lit(str(seed)), *[c.cast("string") for c in identity])
+    return F.concat_ws("|", F.lit(str(seed)), *map(part_text, identity))
 
 
 def rank(seed: int, identity: list[Column]) -> Column:

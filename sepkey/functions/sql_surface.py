@@ -30,7 +30,7 @@ class GreedyTrace:
     def eval(self, row):
         for name, value in row.asDict().items():
             known = self.seen.setdefault(name, {})
-            self.codes.setdefault(name, []).append(known.setdefault(str(value) if isinstance(value, (list, dict)) else value, len(known)))
+            self.codes.setdefault(name, []).append(known.setdefault("NaN" if value != value else str(value) if isinstance(value, (list, dict)) else value, len(known)))
 
     def terminate(self):
         from sepkey.operators import mincover

@@ -11,6 +11,7 @@ from itertools import combinations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from sepkey.sources.stores import durable
 
@@ -88,20 +89,32 @@ def unseparated_many(df: DataFrame, sets: Sets, strategy: str = "fingerprint") -
         return _with_ratio(out)
     if strategy != "fingerprint":
         raise ValueError(strategy)
-    floats = {f.name for f in df.schema.fields if f.dataType.simpleString() in ("double", "float")}
-    marks = F.explode(F.array(*[fingerprint(i, list(a), floats) for i, (_, a) in enumerate(sets)])).alias("f")
+    marks = F.explode(F.array(*[F.struct(F.lit(i).alias("set_id"), fingerprint(list(a), df.schema).alias("f")) for i, (_, a) in enumerate(sets)])).alias("f")
     counted = df.select(marks).groupBy("f").agg(F.count("*").alias("k"))
     names = F.array(*[F.lit(n) for n, _ in sets])
     per = counted.groupBy(F.col("f.set_id").alias("set_id")).agg(*_summary())
     return _with_ratio(per.select(F.element_at(names, F.col("set_id") + 1).alias("set_name"), "n", "gamma", "groups", "max_group"))
 
 
-def fingerprint(set_id: int, attrs: list[str], floats: set[str] = frozenset()) -> Column:
-    """Set number and 128 bits of hash. Each value hashes with its null flag, so that a null is a value of its own; zeros of either sign and all
-    NaNs hash alike, as they group alike."""
-    value = lambda a: F.when(F.isnan(a), F.lit(float("nan"))).when(F.col(a) == 0, F.lit(0.0)).otherwise(F.col(a)) if a in floats else F.col(a)
-    parts = [x for a in attrs for x in (F.col(a).isNull(), value(a))]
-    return F.struct(F.lit(set_id).alias("set_id"), F.xxhash64(F.lit(1), *parts).alias("a"), F.xxhash64(F.lit(2), F.lit("second"), *parts).alias("b"))
+def canonical(c: Column, kind: T.DataType) -> Column:
+    """A value that hashes as ``c`` groups: zeros of either sign and all NaNs alike, nulls inside nested values as values of their own, maps
+    whatever the order of their entries."""
+    if isinstance(kind, (T.DoubleType, T.FloatType)):
+        return F.when(F.isnan(c), F.lit(float("nan")).cast(kind)).when(c == 0, F.lit(0.0).cast(kind)).otherwise(c)
+    flagged = lambda x, t: F.struct(x.isNull().alias("z"), canonical(x, t).alias("v"))
+    if isinstance(kind, T.ArrayType):
+        return F.struct(F.size(c).alias("n"), F.transform(c, lambda x: flagged(x, kind.elementType)).alias("v"))
+    if isinstance(kind, T.MapType):
+        return F.struct(F.size(c).alias("n"), F.array_sort(F.transform(F.map_entries(c), lambda x: F.struct(canonical(x["key"], kind.keyType).alias("k"), flagged(x["value"], kind.valueType).alias("v")))).alias("v"))
+    if isinstance(kind, T.StructType):
+        return F.struct(*[flagged(c.getField(f.name), f.dataType).alias(f"f{i}") for i, f in enumerate(kind)])
+    return c
+
+
+def fingerprint(attrs: list[str], schema: T.StructType) -> Column:
+    """128 bits of hash of a row's values. Each value hashes with its null flag, so that a null is a value of its own."""
+    parts = [x for a in attrs for x in (F.col(a).isNull(), canonical(F.col(a), schema[a].dataType))]
+    return F.struct(F.xxhash64(F.lit(1), *parts).alias("a"), F.xxhash64(F.lit(2), F.lit("second"), *parts).alias("b"))
 
 
 def clique_histogram(df: DataFrame, attrs: list[str]) -> DataFrame:

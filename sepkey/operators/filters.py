@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -24,28 +25,39 @@ from sepkey.sources import stores
 Sets = list[tuple[str, list[str]]]
 
 
-def _codes(sample: DataFrame, attrs: list[str]) -> dict[str, np.ndarray]:
-    """Dense integer codes of each attribute on the collected sample. Ranks are taken by Spark's own equality of values."""
-    rows = sample.select(*attrs).toPandas()
-    out = {}
-    for a in attrs:
-        values = rows[a]
-        if values.dtype.kind in "iub":
-            out[a] = np.unique(values.to_numpy(), return_inverse=True)[1].astype(np.int64)
-        else:
-            keys: dict = {}
-            out[a] = np.fromiter((keys.setdefault(_key(v), len(keys)) for v in values.tolist()), np.int64, len(values))
-    return out
+def codes_of(table: pa.Table) -> dict[str, np.ndarray]:
+    """Dense integer codes of each column of a collected sample, equal where Spark groups values together: nulls are one value, all NaNs are one,
+    and zeros of either sign. Values never pass through floats of another type, so that wide integers stay apart."""
+    return {a: _column_codes(table.column(i).combine_chunks()) for i, a in enumerate(table.column_names)}
 
 
-def _key(v):
-    if isinstance(v, float):
+def _column_codes(values: pa.Array) -> np.ndarray:
+    kind = values.type
+    if isinstance(values, pa.ChunkedArray):
+        values = pa.concat_arrays(values.chunks) if values.num_chunks else pa.array([], kind)
+    if pa.types.is_floating(kind):
+        bits = np.nan_to_num(values.cast(pa.float64()).fill_null(0.0).to_numpy(zero_copy_only=False), nan=np.nan, posinf=np.inf, neginf=-np.inf) + 0.0
+        whole = np.where(np.isnan(bits), np.int64(-1), bits.view(np.int64))  # all ones: one of the NaNs
+        values = pa.array(whole, mask=np.asarray(values.is_null()))
+    elif pa.types.is_nested(kind):
+        known: dict = {}
+        return np.fromiter((known.setdefault(_plain(v, kind), len(known)) for v in values.to_pylist(maps_as_pydicts=None)), np.int64, len(values))
+    return pc.dictionary_encode(values, null_encoding="encode").indices.to_numpy(zero_copy_only=False).astype(np.int64)
+
+
+def _plain(v, kind: pa.DataType):
+    """A hashable stand-in of a nested value, equal where Spark's grouping is."""
+    if v is None:
+        return None
+    if pa.types.is_floating(kind):
         return "NaN" if v != v else v + 0.0
-    if isinstance(v, (list, np.ndarray)):
-        return ("list", *map(_key, v))
-    if isinstance(v, dict):
-        return ("map", *sorted((str(k), _key(x)) for k, x in v.items()))
-    return repr(v) if isinstance(v, bytearray) else v
+    if pa.types.is_map(kind):
+        return tuple(sorted(((_plain(k, kind.key_type), _plain(x, kind.item_type)) for k, x in v), key=repr))
+    if pa.types.is_struct(kind):
+        return tuple(_plain(v[f.name], f.type) for f in kind)
+    if pa.types.is_nested(kind):
+        return tuple(_plain(x, kind.value_type) for x in v)
+    return v
 
 
 def refine(group: np.ndarray, code: np.ndarray) -> np.ndarray:
@@ -79,7 +91,7 @@ class TupleFilter(_Monotone):
 
     @classmethod
     def build(cls, df: DataFrame, eps: float, seed: int, identity: list[Column], attrs: list[str] | None = None, mode: str = "practical", r: int | None = None, replacement: bool = False, keep: bool = True, rank: str = "md5", derive=None, **planner) -> TupleFilter:
-        """``keep`` writes the sample once, so that queries do not draw it anew. With replacement, a row drawn twice counts once: two draws of one row
+        """``keep`` sees to it that queries read a written sample and do not draw it anew. With replacement, a row drawn twice counts once: two draws of one row
         are no evidence against a set. ``derive`` makes the attributes from sampled rows, where they are costly to make for all."""
         derive = derive or (lambda rows: rows)
         attrs = attrs or df.columns
@@ -92,7 +104,7 @@ class TupleFilter(_Monotone):
             n = df.count() if keep else None
             sample = sampling.tuples(df, r, seed, identity, rank, n)
             sample = derive(sample).select(*attrs)
-        if keep:
+        if keep and (n is None or r >= n):  # below a threshold the rows are written already
             sample = stores.durable(sample.coalesce(1), "sample")
         about = {"kind": "tuples", "eps": float(eps), "m": len(attrs), "r": r, "n": n if n is not None else -1, "seed": seed}
         if n is not None:
@@ -101,7 +113,7 @@ class TupleFilter(_Monotone):
 
     def codes(self) -> dict[str, np.ndarray]:
         if self._code is None:
-            self._code = _codes(self.sample, self.attrs)
+            self._code = codes_of(self.sample.select(*[F.col(f"`{a}`") for a in self.attrs]).toArrow())
         return self._code
 
     def accepts(self, attrs: list[str]) -> bool:
@@ -124,8 +136,8 @@ class TupleFilter(_Monotone):
         return False
 
     def query_df(self, sets: Sets, strategy: str = "hash") -> DataFrame:
-        """set_name, accept. hash: one pass with a hash for each set and row, where a repeated hash is confirmed on the values; sort: neighbours
-        in sorted order are compared, set by set."""
+        """set_name, accept. hash: one pass with 128 bits of hash for each set and row (a key is rejected only if two of the sampled rows collide in
+        all of them); grouping_sets and lattice compare the values; sort: neighbours in sorted order are compared, set by set."""
         if strategy == "sort":
             out = None
             for name, attrs in sets:

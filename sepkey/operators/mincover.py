@@ -67,24 +67,45 @@ def greedy_pairs(pairs_df: DataFrame, attrs: list[str], exclude: list[str] | Non
     return key
 
 
-def score_round(df: DataFrame, chosen: list[str], candidates: list[str]) -> DataFrame:
-    """attr, gamma: the pairs left together by ``chosen`` and each candidate. One pass: rows become (attribute, fingerprint of chosen and it), counted with
-    a partial aggregate."""
-    return exact.unseparated_many(df, [(a, [*chosen, a]) for a in candidates]).select(F.col("set_name").alias("attr"), "gamma")
+_CLASS = "__class"
+
+
+def score_round(live: DataFrame, candidates: list[str]) -> DataFrame:
+    """attr, gamma: the pairs of rows of one class that each candidate leaves together, from one pass over the live rows."""
+    return exact.unseparated_many(live, [(a, [_CLASS, a]) for a in candidates]).select(F.col("set_name").alias("attr"), "gamma")
+
+
+def split_classes(live: DataFrame, pick: str) -> DataFrame:
+    """The live rows with their classes split by ``pick``, which leaves; rows that are alone in their class go."""
+    groups = live.groupBy(_CLASS, F.col(pick).alias("__value")).agg(F.count("*").alias("k")).where("k > 1")
+    groups = durable(groups.select(_CLASS, "__value", F.monotonically_increasing_id().alias("__next")), "classes")
+    few = F.broadcast(groups) if groups.count() * _CLASS_BYTES <= BROADCAST_BYTES and _narrow(live, pick) else groups
+    both = live.join(few.withColumnRenamed(_CLASS, "__of"), (F.col(_CLASS) == F.col("__of")) & F.col(pick).eqNullSafe(F.col("__value")))
+    return durable(both.select(F.col("__next").alias(_CLASS), *[c for c in live.columns if c not in (_CLASS, pick)]), "live")
+
+
+#: Bytes that a broadcast of classes may take, and about the bytes of one class of a value of fixed size.
+BROADCAST_BYTES, _CLASS_BYTES = 64 << 20, 64
+
+
+def _narrow(df: DataFrame, column: str) -> bool:
+    """Whether values of the column have a bounded size."""
+    return df.schema[column].dataType.simpleString().split("(")[0] in ("boolean", "tinyint", "smallint", "int", "bigint", "float", "double", "decimal", "date", "timestamp", "timestamp_ntz")
 
 
 def greedy_full(df: DataFrame, attrs: list[str], exclude: list[str] | None = None, must_include: list[str] | None = None) -> Key:
-    """Greedy on all rows by refinement: the next attribute leaves the fewest pairs together; ties go to the order of ``attrs``. One pass a round; pairs
-    are never formed."""
+    """Greedy on all rows by refinement: the next attribute leaves the fewest pairs together; ties go to the order of ``attrs``. Rows carry the id of
+    their class; a round scores the attributes that are left on the rows that still share a class, then splits the classes and drops what is alone.
+    Pairs are never formed, and after the first rounds few rows are left."""
     forced, rest = _candidates(attrs, exclude, must_include)
     key = Key([])
-    n = df.count()
-    gamma = bounds.pairs_of(n)
+    live = df.select(F.lit(0).cast("long").alias(_CLASS), *dict.fromkeys([*forced, *rest]))
+    gamma = bounds.pairs_of(df.count())
     while gamma:
         names = forced[:1] or rest
         if not names:
             break
-        scores = {r.attr: int(r.gamma) for r in score_round(df, key.attrs, names).collect()}  # one row for each attribute
+        scores = {r.attr: int(r.gamma) for r in score_round(live, names).collect()}  # one row for each attribute
         pick = min(names, key=lambda a: scores[a])
         if scores[pick] == gamma and not forced:
             break
@@ -92,6 +113,8 @@ def greedy_full(df: DataFrame, attrs: list[str], exclude: list[str] | None = Non
         gamma = scores[pick]
         key.attrs.append(pick)
         key.steps.append((pick, gamma))
+        if gamma and (forced or rest):
+            live = split_classes(live, pick)
     key.attrs += forced
     key.residual = gamma
     return key

@@ -35,6 +35,12 @@ class PairSketch:
             flags = stores.durable(flags, "sketch")
         return cls(flags, attrs, {"n": n, "m": len(attrs), "k": k, "alpha": float(alpha), "eps": float(eps), "big_k": float(big_k), "s": s})
 
+    @classmethod
+    def of_pairs(cls, pairs: DataFrame, s: int, n: int, k: int, alpha: float, eps: float, attrs: list[str], big_k: float = 1.0) -> PairSketch:
+        """The sketch over given uniform pairs (slot, l, r), such as those kept from a stream."""
+        flags = stores.durable(sampling.equal_flags(pairs, attrs), "sketch")
+        return cls(flags, attrs, {"n": n, "m": len(attrs), "k": k, "alpha": float(alpha), "eps": float(eps), "big_k": float(big_k), "s": s})
+
     def _check(self, sets: Sets) -> None:
         for name, attrs in sets:
             if len(set(attrs)) > self.about["k"]:
@@ -69,6 +75,10 @@ class PairSketch:
         """Bits of the stored pairs at ``per_value`` a value. The flags alone take one bit a value."""
         return 2 * self.about["s"] * self.about["m"] * per_value
 
+    def stored_bits(self) -> int:
+        """Bits that the flags of the kept pairs take as they are: one for each pair and attribute."""
+        return self.flags.count() * self.about["m"]
+
     def save(self, path: str) -> None:
         stores.save(self.flags, path, self.about)
 

@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from sepkey.functions import portable
@@ -31,8 +31,9 @@ def _rank(seed: int, identity: list[Column], kind: str) -> Column:
 def tuples(df: DataFrame, r: int, seed: int, identity: list[Column], rank: str = "md5", n: int | None = None) -> DataFrame:
     """Exactly ``min(r, rows)`` tuples without replacement: the least ranks, ties by identity.
 
-    The plan keeps r rows a task and gathers tasks * r of them. Where ``n``, the number of rows, is known, only rows with a rank under a threshold
-    are looked at, about r of them in all; should they be fewer than r, the threshold is doubled."""
+    Without ``n`` the plan keeps r rows a task and gathers tasks * r of them. Where ``n``, the number of rows, is known, one scan writes the rows
+    with a rank under a threshold, about r of them in all, and counts them on the way; only should they be fewer than r, which the threshold makes
+    rare, a second scan follows."""
     columns = df.columns
     ids = [f"__id{i}" for i in range(len(identity))]
     ranked = df.select("*", *[c.alias(i) for c, i in zip(identity, ids, strict=True)]).withColumn("__rank", _rank(seed, [F.col(i) for i in ids], rank))
@@ -48,8 +49,9 @@ def tuples(df: DataFrame, r: int, seed: int, identity: list[Column], rank: str =
             under = portable.number(portable.rank_text(seed, [F.col(i) for i in ids])) < int(share * portable.SPAN)
         else:
             under = F.col("__rank") < int(-(2**63) + share * 2**64)
-        some = ranked.where(under)
-        if some.count() >= r:
+        seen = Observation()
+        some = durable(ranked.where(under).observe(seen, F.count(F.lit(1)).alias("rows")), "under")
+        if seen.get["rows"] >= r:
             return least(some)
         share *= 2
     return least(ranked)

@@ -1,17 +1,20 @@
 from __future__ import annotations
 
+import datetime
+import decimal
 import math
+import random
 from itertools import combinations
 
 import numpy as np
 import pytest
-from tests.paths import SMALL
 from pyspark.sql import functions as F
 
 from sepkey.functions import bounds
 from sepkey.operators import exact, filters, hardness, mincover, nonsep, relational, sampling, setcover
 from sepkey.plans import catalog
 from sepkey.sources.stores import table
+from tests.paths import SMALL
 
 ROWS = [(1, "a", None, 1.0), (2, "a", None, -0.0), (3, "b", None, 0.0), (4, "b", "x", float("nan")), (5, "b", "x", float("nan")), (6, None, "y", 2.0)]
 KIND = "id long, p string, q string, r double"
@@ -178,7 +181,7 @@ def test_covers(spark):
     greedy = mincover.greedy_full(part, names)
     least = mincover.minimum_key(part, names, 4)
     assert len(least) <= len(greedy.attrs) and exact.is_key(part, least)
-    codes = filters._codes(part, names)
+    codes = filters.codes_of(part.select(*names).toArrow())
     assert mincover.refine_greedy(codes, names).steps == greedy.steps
     for method in ("tuple_greedy", "tuple_exact", "pair_greedy", "pair_exact"):
         key = mincover.find_key(part, 0.01, 3, catalog.identity("part"), names, method=method)
@@ -269,5 +272,57 @@ def test_methods_from_sql(spark, lineitem):
     attrs = ["l_suppkey", "l_quantity", "l_linenumber", "l_discount"]
     sql_surface.sample_view(lineitem, "lines", 348, 42, catalog.identity("lineitem"), attrs)
     steps = spark.sql("SELECT * FROM greedy_trace(TABLE(sample_lines) WITH SINGLE PARTITION) ORDER BY step").collect()
-    want = mincover.refine_greedy(filters._codes(spark.table("sample_lines"), attrs), attrs).steps
+    want = mincover.refine_greedy(filters.codes_of(spark.table("sample_lines").select(*attrs).toArrow()), attrs).steps
     assert [(r.attr, r.gamma_after) for r in steps] == want
+
+
+NAN = float("nan")
+HARD_VALUES = {
+    "bigint": [2**53, 2**53 + 1, None],
+    "double": [NAN, None, 1.0],
+    "float": [0.1, None, NAN],
+    "int": [1, None, 2],
+    "string": ["", "NaN", None],
+    "decimal(38,0)": [decimal.Decimal(2**80), decimal.Decimal(2**80 + 1), None],
+    "array<double>": [[NAN], [None], [1.0], [], None],
+    "array<array<int>>": [[[1], [2]], [[1, 2]], [[]], [None], []],
+    "array<bigint>": [[2**53], [2**53 + 1], None],
+    "struct<a: double, b: string>": [(None, "a"), (None, None), None, (NAN, "a")],
+    "map<string,bigint>": [{"a": 1, "b": 2}, {"a": 1}, {"a": None}, {}],
+    "binary": [b"a", b"b", None],
+    "timestamp": [datetime.datetime(2020, 1, 1), None, datetime.datetime(2020, 1, 2)],
+    "date": [datetime.date(2020, 1, 1), None, datetime.date(2020, 1, 2)],
+    "boolean": [True, False, None],
+}
+#: Pairs of values that group together.
+EQUAL_VALUES = {"double": [0.0, -0.0], "float": [NAN, NAN], "array<double>": [[0.0, NAN], [-0.0, NAN]], "struct<a: double, b: string>": [(0.0, None), (-0.0, None)], "map<string,double>": [{"a": 0.0, "b": NAN}, {"b": NAN, "a": -0.0}], "string": [None, None]}
+
+
+@pytest.mark.parametrize("kind", [*HARD_VALUES, *(f"{k} equal" for k in EQUAL_VALUES)])
+def test_answers_agree_on_every_type_with_nulls(spark, kind):
+    """Driver-side codes, both answers inside Spark, and the exact verdict of all rows."""
+    equal = kind.endswith(" equal")
+    kind = kind.removesuffix(" equal")
+    values = EQUAL_VALUES[kind] if equal else HARD_VALUES[kind]
+    df = spark.createDataFrame(list(enumerate(values)), f"id long, x {kind}")
+    kept = filters.TupleFilter.build(df, 0.1, 1, [F.col("id")], ["x"], r=10)
+    sets = [("x", ["x"])]
+    answers = [kept.accepts(["x"]), exact.is_key(df, ["x"]), kept.query_df(sets).first().accept, int(exact.unseparated_many(df, sets).first().gamma) == 0]
+    if not kind.startswith("map"):
+        answers.append(kept.query_df(sets, "sort").first().accept)
+    assert set(answers) == {not equal}
+
+
+def test_greedy_by_refinement_equals_counting_anew(spark):
+    rng = random.Random(6)
+    rows = [(rng.choice([None, 1, 2]), rng.choice([0.0, -0.0, NAN, None, 1.5]), rng.choice("abc"), rng.randrange(6)) for _ in range(400)]
+    df = spark.createDataFrame(rows + rows[:3], "a int, b double, c string, d int")
+    key = mincover.greedy_full(df, ["a", "b", "c", "d"])
+    chosen, rest, gamma = [], ["a", "b", "c", "d"], None
+    for attr, after in key.steps:
+        scores = {a: int(exact.unseparated(df, [*chosen, a]).first().gamma) for a in rest}
+        assert attr == min(rest, key=lambda a: scores[a]) and after == scores[attr]
+        chosen.append(attr)
+        rest.remove(attr)
+        gamma = after
+    assert key.residual == gamma > 0
