@@ -140,8 +140,16 @@ def log_two_valued(r: int, share_a: float, ka: int, share_b: float, kb: float =
 
 
 def _log_fall(n, k):
-    k = np.asarray(k, float)
-    return np.vectorize(lambda x: math.lgamma(n + 1) - math.lgamma(n - x + 1) if x <= n else -math.inf)(k)
+    """ln of n (n - 1) ... (n - k + 1), for whole k."""
+    k = np.asarray(k).astype(np.int64)
+    with np.errstate(divide="ignore", invalid="ignore"):
+        steps = np.log(np.maximum(float(n) - np.arange(int(k.max(initial=0))), 0.0))
+    return np.concatenate([[0.0], np.cumsum(steps)])[k]
+
+
+#: A wider family than the planner scans: more groups of the one size, beside finitely many of the other.
+WIDE_GROUPS = (*range(1, 17), 24, 32, 48, 64, 128, 256, 512, 1024)
+WIDE_REST = (math.inf, *(2.0**k for k in range(1, 31)))
 
 
 def worst_profile(r: int, eps: float, relaxed: bool = False, groups: Iterable[int] = (1, 2, 3, 4, 6, 8, 12, 16, 32, 64), rest: Iterable[float] = (math.inf,)) -> dict:
@@ -202,10 +210,15 @@ def log_grid_no_collision(q: int, r: int) -> float:
     return float(np.sum(np.log1p(-np.arange(r) / q))) if r <= q else -math.inf
 
 
-def grid_detection(q: int, m: int, r: int) -> dict:
-    """On the grid with q values: the chance that all m single attributes are detected, and the chain of bounds up to 1/e."""
+def grid_detection(q: int, m: int, r: int, replacement: bool = True) -> dict:
+    """On the grid with q values: the chance that all m single attributes are detected, and the chain of bounds up to 1/e. Without replacement, draws
+    are those with replacement given that no row comes twice, so that every bound grows by one over the chance of that: at most twofold
+    while it is at least a half."""
     none = math.exp(log_grid_no_collision(q, r))
-    return {"exact": (1 - none) ** m, "bound": (1 - math.exp(-(r**2) / q)) ** m, "ceiling": (1 - 1 / m) ** m if m > 1 else 0.0, "one_over_e": math.exp(-1), "in_regime": m <= 2.0**q}
+    apart = 1.0 if replacement else math.exp(log_grid_no_collision(q**m, r)) if r <= q**m else 0.0
+    grow = lambda x: min(1.0, x / apart) if apart else 1.0
+    chain = {"exact": (1 - none) ** m, "bound": (1 - math.exp(-(r**2) / q)) ** m, "ceiling": (1 - 1 / m) ** m if m > 1 else 0.0, "one_over_e": math.exp(-1)}
+    return {k: grow(v) for k, v in chain.items()} | {"rows_apart": apart, "in_regime": m <= 2.0**q}
 
 
 def constant_failure_tuples(m: int, eps: float) -> float:

@@ -24,6 +24,9 @@ IDENTITY = {
     "labels": ["doc_id"],
     "embeddings": ["vec_id"],
     "conversations": ["conv_id", "turn"],
+    "signs": ["vec_id"],
+    "flags": ["doc_id"],
+    "nullable": ["o_orderkey"],
     "w1": ["o_orderkey"],
     "w2": ["l_orderkey", "CAST(round(l_extendedprice * 100) AS BIGINT)"],
 }
@@ -158,12 +161,41 @@ def w3_grades(codes: DataFrame) -> DataFrame:
 W3_ATTRIBUTES = [n for n, _ in coarse_columns(W3_COLUMNS, W3_MODULI, "spark")]
 
 
+#: orders with nulls, NaN and integers beyond 2^53: ``wide`` is a key, and so is ``wide_null``, one of whose values is null.
+_NULLABLE = {
+    "o_orderkey": "o_orderkey",
+    "cust": "CASE WHEN o_orderkey % 10 = 0 THEN NULL ELSE o_custkey END",
+    "price": "CASE WHEN o_orderkey % 3 = 0 THEN NULL ELSE o_totalprice END",
+    "nan_price": "CASE WHEN o_orderkey % 5 = 0 THEN CAST('NaN' AS DOUBLE) WHEN o_orderkey % 5 = 1 THEN NULL ELSE o_totalprice END",
+    "status": "CASE WHEN o_orderkey % 2 = 0 THEN NULL ELSE o_orderstatus END",
+    "wide": "o_orderkey + 9007199254740992",
+    "wide_null": "CASE WHEN o_orderkey = 1 THEN NULL ELSE o_orderkey + 9007199254740992 END",
+}
+ATTRIBUTES["nullable"] = list(_NULLABLE)[1:]
+ATTRIBUTES["signs"] = [f"d{i}" for i in range(64)]
+FLAG_WORDS = ("the", "and", "der", "die", "que", "les", "una")
+ATTRIBUTES["flags"] = ["lang", "source", "size_bucket", *[f"has_{w}" for w in FLAG_WORDS], "quality", "toxic"]
+
+NULLABLE_SQL = "SELECT " + ", ".join(f"{e} AS {n}" for n, e in _NULLABLE.items()) + " FROM orders"
+SIGNS_SQL = "SELECT vec_id, label, " + ", ".join(f"CAST(embedding[{i + 1}] > 0 AS INTEGER) AS d{i}" for i in range(64)) + " FROM embeddings"
+FLAGS_SQL = (
+    "SELECT d.doc_id, lang, source, floor(log2(n_chars + 1)) AS size_bucket, "
+    + ", ".join(f"contains(concat(' ', lower(coalesce(text, '')), ' '), ' {w} ') AS has_{w}" for w in FLAG_WORDS)
+    + ", quality, toxic FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id"
+)
+
+
+def nullable(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return table(spark, sf_dir, "orders").select(*[F.expr(e).alias(n) for n, e in _NULLABLE.items()])
+
+
 def source(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return {"w1": w1, "w2": w2}[name](spark, sf_dir) if name in ("w1", "w2") else table(spark, sf_dir, name)
+    made = {"w1": w1, "w2": w2, "nullable": nullable, "signs": embedding_signs, "flags": document_flags}
+    return made[name](spark, sf_dir) if name in made else table(spark, sf_dir, name)
 
 
 def source_sql(name: str) -> str:
-    return {"w1": W1_SQL, "w2": W2_SQL}.get(name, f"SELECT * FROM {name}")
+    return {"w1": W1_SQL, "w2": W2_SQL, "nullable": NULLABLE_SQL, "signs": SIGNS_SQL, "flags": FLAGS_SQL}.get(name, f"SELECT * FROM {name}")
 
 
 def attributes(name: str) -> list[str]:
@@ -176,7 +208,7 @@ def embedding_signs(spark: SparkSession, sf_dir: str, dims: int = 64) -> DataFra
     return e.select("vec_id", "label", *[(F.element_at("embedding", i + 1) > 0).cast("int").alias(f"d{i}") for i in range(dims)])
 
 
-def document_flags(spark: SparkSession, sf_dir: str, words: tuple[str, ...] = ("the", "and", "der", "die", "que", "les", "una")) -> DataFrame:
+def document_flags(spark: SparkSession, sf_dir: str, words: tuple[str, ...] = FLAG_WORDS) -> DataFrame:
     """doc_id, language, source, a length bucket, word-presence flags, and the labels where there are any."""
     d, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     padded = F.concat(F.lit(" "), F.lower(F.coalesce("text", F.lit(""))), F.lit(" "))

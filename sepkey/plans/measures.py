@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import time
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -70,7 +71,8 @@ def size_ratios(spark: SparkSession, tables: list[tuple], eps: float, seed: int)
         full = mincover.greedy_full(df, attrs)
         least = mincover.minimum_key(df, attrs, len(full.attrs)) or []
         left = exact.unseparated(df, tuple_key.attrs).first()
-        out.append((name, len(tuple_key.attrs), len(pair_key.attrs), len(full.attrs), len(least), int((1 - left.ratio) * 1e9)))
+        together = math.floor(float(left.gamma) / float(bounds.pairs_of(left.n)) * 1e9) if left.n > 1 else 0
+        out.append((name, len(tuple_key.attrs), len(pair_key.attrs), len(full.attrs), len(least), together))
     return spark.createDataFrame(out, "name string, tuple_greedy long, pair_greedy long, full_greedy long, minimum long, together_ppb long")
 
 

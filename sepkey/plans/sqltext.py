@@ -63,22 +63,50 @@ def hits(name: str, attrs: list[str], sets: Sets, s: int, seed: int = catalog.SE
     return f"WITH {pair_flags(name, attrs, s, seed)} {body}"
 
 
-def both_filters(name: str, attrs: list[str], sets: Sets, r: int, s: int) -> str:
-    t = f"SELECT * FROM ({tuple_accepts(name, sets, r)})"
-    p = f"SELECT * FROM ({pair_accepts(name, attrs, sets, s)})"
+def both_filters(name: str, attrs: list[str], sets: Sets, r: int, s: int, seed: int = catalog.SEED) -> str:
+    t = f"SELECT * FROM ({tuple_accepts(name, sets, r, seed)})"
+    p = f"SELECT * FROM ({pair_accepts(name, attrs, sets, s, seed)})"
     return f"SELECT a.set_name, a.accept AS tuple_accept, b.accept AS pair_accept FROM ({t}) a JOIN ({p}) b USING (set_name)"
 
 
-def greedy_trace(src: str, attrs: list[str], steps: int = 6) -> str:
-    """step, attr, gamma_after: greedy refinement, a CTE for each step."""
+def trace_ctes(src: str, attrs: list[str], steps: int = 6, first: tuple[str, ...] = ()) -> str:
+    """CTEs p1, p2, ... (attr, gamma) of greedy refinement, a few for each step; ``first``: attributes taken before any choice."""
     cells = " UNION ALL ".join(f"SELECT rid, '{a}' AS attr, {i} AS ord, coalesce(CAST({a} AS VARCHAR), '~null') AS v FROM b" for i, a in enumerate(attrs))
-    out = [f"b AS MATERIALIZED (SELECT row_number() OVER () AS rid, * FROM {src})", f"cells AS MATERIALIZED ({cells})", "st0 AS (SELECT rid, '' AS cls FROM b)", "p0 AS (SELECT '' AS attr, CAST(count(*) * (count(*) - 1) // 2 AS BIGINT) AS gamma FROM b)"]
+    out = [
+        f"b AS MATERIALIZED (SELECT row_number() OVER () AS rid, * FROM {src})",
+        f"cells AS MATERIALIZED ({cells})",
+        "st0 AS (SELECT rid, '' AS cls FROM b)",
+        "p0 AS (SELECT '' AS attr, CAST(count(*) * (count(*) - 1) // 2 AS BIGINT) AS gamma FROM b)",
+    ]
     for k in range(1, steps + 1):
         used = " UNION ALL ".join(f"SELECT attr FROM p{j}" for j in range(k))
-        out.append(f"g{k} AS MATERIALIZED (SELECT attr, ord, CAST(sum(c * (c - 1) // 2) AS BIGINT) AS gamma FROM (SELECT cls, attr, ord, v, count(*) AS c FROM st{k - 1} JOIN cells USING (rid) GROUP BY ALL) GROUP BY ALL)")
-        out.append(f"p{k} AS MATERIALIZED (SELECT attr, gamma FROM (SELECT * FROM g{k} WHERE attr NOT IN ({used}) ORDER BY gamma, ord LIMIT 1) WHERE gamma < (SELECT gamma FROM p{k - 1}))")
+        counted = f"SELECT cls, attr, ord, v, count(*) AS c FROM st{k - 1} JOIN cells USING (rid) GROUP BY ALL"
+        out.append(f"g{k} AS MATERIALIZED (SELECT attr, ord, CAST(sum(c * (c - 1) // 2) AS BIGINT) AS gamma FROM ({counted}) GROUP BY ALL)")
+        if k <= len(first):
+            out.append(f"p{k} AS MATERIALIZED (SELECT attr, gamma FROM g{k} WHERE attr = '{first[k - 1]}' AND (SELECT gamma FROM p{k - 1}) > 0)")
+        else:
+            best = f"SELECT * FROM g{k} WHERE attr NOT IN ({used}) ORDER BY gamma, ord LIMIT 1"
+            out.append(f"p{k} AS MATERIALIZED (SELECT attr, gamma FROM ({best}) WHERE gamma < (SELECT gamma FROM p{k - 1}))")
         out.append(f"st{k} AS MATERIALIZED (SELECT rid, concat(cls, '|', v) AS cls FROM st{k - 1} JOIN cells USING (rid) WHERE attr = (SELECT attr FROM p{k}))")
-    return "WITH " + ", ".join(out) + " " + " UNION ALL ".join(f"SELECT CAST({k} AS BIGINT) AS step, attr, gamma AS gamma_after FROM p{k}" for k in range(1, steps + 1))
+    return ", ".join(out)
+
+
+def greedy_trace(src: str, attrs: list[str], steps: int = 6, first: tuple[str, ...] = ()) -> str:
+    """step, attr, gamma_after."""
+    body = " UNION ALL ".join(f"SELECT CAST({k} AS BIGINT) AS step, attr, gamma AS gamma_after FROM p{k}" for k in range(1, steps + 1))
+    return f"WITH {trace_ctes(src, attrs, steps, first)} {body}"
+
+
+def found_gamma(src: str, sample: str, attrs: list[str], steps: int = 6) -> str:
+    """attrs, size, n, gamma: what the greedy key of a sample leaves together among all rows."""
+    picks = " UNION ALL ".join(f"SELECT {k} AS step, attr FROM p{k}" for k in range(1, steps + 1))
+    cells = ", ".join(f"CASE WHEN list_contains((SELECT names FROM picked), '{a}') THEN coalesce(CAST({a} AS VARCHAR), '~null') END AS c{i}" for i, a in enumerate(attrs))
+    return (
+        f"WITH {trace_ctes(sample, attrs, steps)}, picked AS MATERIALIZED (SELECT list(attr ORDER BY step) AS names FROM ({picks})),"
+        f" cells_of AS (SELECT {cells} FROM {src}), counted AS (SELECT count(*) AS k FROM cells_of GROUP BY {', '.join(f'c{i}' for i in range(len(attrs)))})"
+        f" SELECT array_to_string((SELECT names FROM picked), ',') AS attrs, CAST((SELECT len(names) FROM picked) AS BIGINT) AS size,"
+        f" CAST(sum(k) AS BIGINT) AS n, CAST(sum(k * (k - 1) // 2) AS BIGINT) AS gamma FROM counted"
+    )
 
 
 def pair_trace(ctes: str, attrs: list[str], steps: int = 6) -> str:
