@@ -4,7 +4,7 @@ A line is normalised to its lower-case words (digits, ASCII letters and all char
 normalised form are one node (by a 64-bit hash). Two nodes are linked if the edit similarity of the normalised lines, 1 - edits / longer length, is
 at least the threshold; nothing else decides. Of each connected group the occurrence with the smallest (doc_id, line number) stays.
 
-Candidates come from SimHash. The votes are sparse: each word votes on the bits of one block only, the one its hash deals it to. A line that
+Candidates come from SimHash. The votes are sparse: each distinct word votes on the bits of one block only, the one its hash deals it to. A line that
 differs from another in a few words therefore agrees with it on every block that none of these words is dealt to, however many bits differ
 elsewhere, and a join on blocks (on pairs of blocks where lines are short) finds it. Longer lines have more blocks, of which ``KEPT`` are used, so
 that a block always holds the votes of some two to five words; blocks of fewer than ``LEAST`` make no key. Pairs that meet are dropped if more than
@@ -146,6 +146,11 @@ class Lines:
         count = len(n)
         way = np.concatenate([line[every], line[some] + count])
         h = np.concatenate([h[every], h[some]])
+        both = common.mix(h ^ common.mix(way.astype(np.uint64)))  # a word that comes twice votes once
+        order = np.argsort(both)
+        once = np.ones(len(both), bool)
+        once[order[1:][both[order[1:]] == both[order[:-1]]]] = False
+        way, h = way[once], h[once]
         m = np.bincount(way, minlength=2 * count)
         low, high = _level(m / MARGIN), _level(m * MARGIN)
         low[m < 2] = high[m < 2] = -1

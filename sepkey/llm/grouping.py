@@ -44,7 +44,7 @@ def _forest(batches):
             a, b = root(a), root(b)
             if a != b:
                 parent[max(a, b)] = min(a, b)
-        if len(parent) > 500_000:  # hand on what is known and forget it: memory stays bounded
+        if len(parent) > 1_000_000:  # hand on what is known and forget it: memory stays bounded
             yield _rows(parent, root)
             parent.clear()
     yield _rows(parent, root)
@@ -55,14 +55,23 @@ def _rows(parent, root):
     return pa.RecordBatch.from_arrays([pa.array([p[i] for p in pairs], pa.int64()) for i in (0, 1)], ["a", "b"])
 
 
+#: Edges that a task contracts by itself.
+FOREST_EDGES = 400_000
+
+
+def _state(pairs: DataFrame) -> tuple:
+    return tuple(pairs.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
+
+
 def components(edges: DataFrame, native: bool = False) -> DataFrame:
     """(node, root) for every node of ``edges`` (a, b: longs). Each partition first contracts its own edges by union-find (left out where
     ``native``); then large-star and small-star contractions run until nothing moves."""
     pairs = edges.select("a", "b").where("a <> b")
     if not native:
-        pairs = common.map_arrow(pairs, _forest, "a long, b long")
+        # parts of like size, so that few edges are contracted in few parts
+        pairs = common.map_arrow(pairs.coalesce(1 + pairs.count() // FOREST_EDGES), _forest, "a long, b long")
     pairs = common.durable(pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
-    seen = None
+    seen = _state(pairs)
     while True:
         both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
@@ -72,7 +81,7 @@ def components(edges: DataFrame, native: bool = False) -> DataFrame:
         least = pairs.groupBy("a").agg(F.min("b").alias("m"))
         moved = pairs.join(least, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
         pairs = common.durable(least.select("a", F.col("m").alias("b")).unionByName(moved).distinct(), "edges")
-        state = tuple(pairs.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
+        state = _state(pairs)
         if state == seen:
             break
         seen = state
@@ -111,7 +120,7 @@ def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callab
     many = live.where(F.col("size") > SMALL)
     found = Links(test)
     spots = many.withColumn("root", F.col("node"))
-    for k in range(STARS):
+    for k in range(1 if across else STARS):
         # in each bucket another node, the same for buckets of the same nodes
         lead = spots.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("node", F.lit(k)), F.struct("node", "root", *payload).alias("n"))).alias("x")).select("bucket", "x.n.*")
         stars = spots.join(_other(lead, ["bucket"]), "bucket").where((F.col("root") != F.col("other_root")) & may(left, right))
@@ -121,16 +130,19 @@ def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callab
         spots = found.across(many)
         if spots.isEmpty():
             return found.roots, found.links
-    # what is left: first one pair of each two groups, then all pairs of groups that still are two
-    rest = common.durable((across(spots) if across else _blocks(spots, may)).distinct(), "rest")
+    # what is left: all pairs across groups; where nothing but ``may`` has chosen them, first one pair of each two groups
+    if across:
+        found.add(across(spots))
+        return found.roots, found.links
+    rest = common.durable(_blocks(spots, may).distinct(), "rest")
     rooted = found.rooted(rest)
     found.add(rooted.groupBy("root_a", "root_b").agg(F.min(F.struct(F.xxhash64("a", "b"), "a", "b")).alias("x")).select("x.a", "x.b"))
     found.add(found.rooted(rest).select("a", "b"))
     return found.roots, found.links
 
 
-#: Rounds in which each open bucket's nodes are tested against one of them.
-STARS = 4
+#: Rounds in which each open bucket's nodes are tested against one of them (one round where ``across`` finds the rest).
+STARS = 2
 
 
 class Links:
