@@ -11,9 +11,9 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sepkey.sources.stores import durable, map_arrow, shared_folder, ship, table
+from sepkey.sources.stores import durable, map_arrow, scratch, shared_folder, ship, table
 
-__all__ = ["LOWER", "STEP_BYTES", "STEP_ROWS", "Texts", "Words", "byte_class", "durable", "map_arrow", "mix", "per_process", "run_hashes", "shared_folder", "ship", "small", "steps", "table", "texts_of"]
+__all__ = ["LOWER", "STEP_BYTES", "STEP_ROWS", "Texts", "Words", "byte_class", "durable", "map_arrow", "mix", "per_process", "run_hashes", "scratch", "shared_folder", "ship", "small", "steps", "table", "texts_of"]
 
 #: Bytes of text that one vectorised step holds at a time; a longer document is a step of its own.
 STEP_BYTES = 2 << 20

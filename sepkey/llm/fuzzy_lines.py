@@ -312,7 +312,9 @@ def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
 
 def with_removed(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """(row, gone): the rows of ``docs`` as structs, and the numbers of the lines to remove (null: none)."""
-    found = common.durable(decide(docs, percent), "gone").withColumnRenamed("doc_id", "of_doc").withColumnRenamed("variant", "of_variant")
+    with common.scratch():
+        found = common.durable(decide(docs, percent), "gone", keep=True)
+    found = found.withColumnRenamed("doc_id", "of_doc").withColumnRenamed("variant", "of_variant")
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").cast("long").alias("doc_id"), _variant().alias("variant"))
     found = common.small(found, 32 + 4 * F.size("gone"))
     return rows.join(found, (F.col("doc_id") == F.col("of_doc")) & (F.col("variant") == F.col("of_variant")), "left").select("row", "gone")

@@ -261,8 +261,9 @@ def near_duplicates(docs: DataFrame, percent: int = 85, k: int = K) -> DataFrame
 def keep_one(docs: DataFrame, percent: int = 80, k: int = K) -> DataFrame:
     """``docs`` with one row of each linked group, that of the smallest doc_id; of rows under one doc_id any one stays. Rows without doc_id, and
     texts without words, stay. Texts move only where the ids to drop are too many to broadcast."""
-    found = near_duplicates(docs, percent, k).groupBy("doc_id").agg(F.count("*").alias("rows"), F.min("kept").alias("kept"))
-    found = common.durable(found.where("doc_id is not null and (rows > 1 or not kept)"), "drops")
+    with common.scratch():
+        found = near_duplicates(docs, percent, k).groupBy("doc_id").agg(F.count("*").alias("rows"), F.min("kept").alias("kept"))
+        found = common.durable(found.where("doc_id is not null and (rows > 1 or not kept)"), "drops", keep=True)
     # whole rows travel as one struct, so that no name of theirs can clash
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").cast("long").alias("doc_id"))
     out = rows.join(common.small(found.select("doc_id"), F.lit(24)), "doc_id", "left_anti").select("row.*")
