@@ -49,12 +49,13 @@ STAGES = [
     ("packing", pack_sequences),
 ]
 
-#: A stage that learns, links by hashes or tokenises has no SQL. No test compares run() with a brute-force version; tests/llm tests the operators one by one.
+#: Stages that learn, link by edit distances or tokenise have no SQL; tests/llm/test_pipeline_whole.py compares run() with plain Python.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.table(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        docs = common.durable(stage(spark, docs, sf_dir), name)
+        with common.scratch():  # what a stage wrote on its way goes once its result is written
+            docs = common.durable(stage(spark, docs, sf_dir), name, keep=True)
     return docs

@@ -63,14 +63,34 @@ def is_key(df: DataFrame, attrs: list[str]) -> bool:
     return df.groupBy(*attrs).agg(F.count("*").alias("k")).where("k > 1").limit(1).isEmpty() if attrs else df.limit(2).count() < 2
 
 
-def unseparated_many(df: DataFrame, sets: Sets, strategy: str = "fingerprint") -> DataFrame:
-    """set_name, n, gamma, groups, max_group, ratio for each set, from one pass over the table.
+#: Most sets that are counted by a group-by each.
+PER_SET = 24
 
-    grouping_sets: rows are expanded before the partial aggregate; for a few sets. fingerprint: the expanded rows carry 128 bits of hash and
+
+def _is_scan(df: DataFrame) -> bool:
+    """Whether the rows come straight from files, so that reading them once for each set costs no more than the columns read."""
+    plan = df._jdf.queryExecution().optimizedPlan().toString()
+    return "Relation" in plan and not any(x in plan for x in ("Join", "Aggregate", "Window", "Generate", "Sort", "MapInArrow", "Union", "Limit"))
+
+
+def unseparated_many(df: DataFrame, sets: Sets, strategy: str = "auto") -> DataFrame:
+    """set_name, n, gamma, groups, max_group, ratio for each set.
+
+    per_set: a group-by for each set, which reads its own columns only and groups by the values themselves; for a few sets of a table whose columns
+    are stored apart. grouping_sets: rows are expanded before the partial aggregate; for a few sets. fingerprint: the expanded rows carry 128 bits of hash and
     no columns; for many sets (equal hashes of unequal values are expected only beyond 1e18 rows). lattice: the table is counted once by all attributes
-    that occur, and every set from those counts; best where they compress the table."""
+    that occur, and every set from those counts; best where they compress the table. auto: per_set for up to PER_SET sets of a plain scan, else
+    fingerprint."""
     sets = [(n, a) for n, a in dict((n, tuple(a)) for n, a in sets).items()]
     used = list(dict.fromkeys(a for _, attrs in sets for a in attrs))
+    if strategy == "auto":
+        strategy = "per_set" if len(sets) <= PER_SET and _is_scan(df) else "fingerprint"
+    if strategy == "per_set":
+        out = None
+        for name, attrs in sets:
+            one = _groups(df, list(attrs)).agg(*_summary()).select(F.lit(name).alias("set_name"), "n", "gamma", F.coalesce("groups", F.lit(0).cast("long")).alias("groups"), "max_group")
+            out = one if out is None else out.unionByName(one)
+        return _with_ratio(out.where("n > 0"))
     if strategy == "grouping_sets":
         distinct = list(dict.fromkeys(tuple(sorted(a, key=used.index)) for _, a in sets))
         ids = {}
@@ -89,10 +109,11 @@ def unseparated_many(df: DataFrame, sets: Sets, strategy: str = "fingerprint") -
         return _with_ratio(out)
     if strategy != "fingerprint":
         raise ValueError(strategy)
-    marks = F.explode(F.array(*[F.struct(F.lit(i).alias("set_id"), fingerprint(list(a), df.schema).alias("f")) for i, (_, a) in enumerate(sets)])).alias("f")
-    counted = df.select(marks).groupBy("f").agg(F.count("*").alias("k"))
+    marks = F.explode(F.array(*[F.struct(F.lit(i).alias("set_id"), fingerprint(list(a), df.schema).alias("f")) for i, (_, a) in enumerate(sets)])).alias("x")
+    flat = df.select(marks).select("x.set_id", F.col("x.f.a").alias("a"), F.col("x.f.b").alias("b"))
+    counted = flat.groupBy("set_id", "a", "b").agg(F.count("*").alias("k"))
     names = F.array(*[F.lit(n) for n, _ in sets])
-    per = counted.groupBy(F.col("f.set_id").alias("set_id")).agg(*_summary())
+    per = counted.groupBy("set_id").agg(*_summary())
     return _with_ratio(per.select(F.element_at(names, F.col("set_id") + 1).alias("set_name"), "n", "gamma", "groups", "max_group"))
 
 

@@ -17,6 +17,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from sepkey.functions import bounds
 from sepkey.operators import exact, sampling
@@ -102,14 +103,19 @@ class TupleFilter(_Monotone):
             n = None
         else:
             n = df.count() if keep else None
+            if n is not None and r < n and r * len(attrs) <= LOCAL_CELLS and _plain_types(df, attrs):
+                # one scan straight to the driver, which holds the sample's codes in any case
+                drawn = derive(sampling.tuples(df, r, seed, identity, rank, n, write=False)).select(*attrs)
+                rows = drawn.toArrow()
+                if rows.num_rows == r:
+                    kept = cls(df.sparkSession.createDataFrame(rows, drawn.schema), attrs, _about(eps, attrs, r, n, seed))
+                    kept._code = codes_of(rows)
+                    return kept
             sample = sampling.tuples(df, r, seed, identity, rank, n)
             sample = derive(sample).select(*attrs)
         if keep and (n is None or r >= n):  # below a threshold the rows are written already
             sample = stores.durable(sample.coalesce(1), "sample")
-        about = {"kind": "tuples", "eps": float(eps), "m": len(attrs), "r": r, "n": n if n is not None else -1, "seed": seed}
-        if n is not None:
-            about |= {"guaranteed": bool(bounds.check_regime(n, len(attrs), r, eps)["guaranteed"])}
-        return cls(sample, attrs, about)
+        return cls(sample, attrs, _about(eps, attrs, r, n, seed))
 
     def codes(self) -> dict[str, np.ndarray]:
         if self._code is None:
@@ -170,6 +176,20 @@ class TupleFilter(_Monotone):
         return cls(rows, rows.columns, about)
 
 
+#: Most values of a sample that is collected as it is drawn; larger ones are written first.
+LOCAL_CELLS = 500_000
+
+
+def _plain_types(df: DataFrame, attrs: list[str]) -> bool:
+    kinds = {f.name: f.dataType for f in df.schema}
+    return all(a in kinds and isinstance(kinds[a], (T.NumericType, T.StringType, T.BooleanType, T.DateType, T.TimestampType, T.TimestampNTZType)) for a in attrs)
+
+
+def _about(eps: float, attrs: list[str], r: int, n: int | None, seed: int) -> dict:
+    about = {"kind": "tuples", "eps": float(eps), "m": len(attrs), "r": r, "n": n if n is not None else -1, "seed": seed}
+    return about if n is None else about | {"guaranteed": bool(bounds.check_regime(n, len(attrs), r, eps)["guaranteed"])}
+
+
 class PairFilter(_Monotone):
     """``flags``: slot and for each attribute whether the pair agrees on it."""
 
@@ -179,21 +199,21 @@ class PairFilter(_Monotone):
         self._packed: np.ndarray | None = None
 
     @classmethod
-    def build(cls, df: DataFrame, eps: float, seed: int, identity: list[Column], attrs: list[str] | None = None, mode: str = "practical", s: int | None = None, pair_mode: str = "independent", keep: bool = True, rows: DataFrame | None = None, **planner) -> PairFilter:
+    def build(cls, df: DataFrame, eps: float, seed: int, identity: list[Column], attrs: list[str] | None = None, mode: str = "practical", s: int | None = None, pair_mode: str = "independent", keep: bool = True, rows: DataFrame | None = None, n: int | None = None, **planner) -> PairFilter:
         attrs = attrs or df.columns
         s = s if s is not None else bounds.pair_sample_size(len(attrs), eps, mode, **planner)
-        flags = sampling.equal_flags(sampling.pairs(df, s, seed, identity, pair_mode, rows), attrs)
+        flags = sampling.equal_flags(sampling.pairs(df, s, seed, identity, pair_mode, rows, n), attrs)
         if keep:
             flags = stores.durable(flags, "pairs")
         return cls(flags, attrs, {"kind": "pairs", "eps": float(eps), "m": len(attrs), "s": s, "seed": seed})
 
     @classmethod
-    def build_graded(cls, df: DataFrame, eps: float, seed: int, identity: list[Column], codes: list[str], moduli: tuple, attrs: list[str], s: int | None = None, rows: DataFrame | None = None) -> PairFilter:
+    def build_graded(cls, df: DataFrame, eps: float, seed: int, identity: list[Column], codes: list[str], moduli: tuple, attrs: list[str], s: int | None = None, rows: DataFrame | None = None, n: int | None = None) -> PairFilter:
         """For very many attributes that are remainders of few integer codes: pairs carry the codes, and each pair becomes one string of bits (attribute differs),
         made in batches of Arrow."""
         s = s if s is not None else bounds.pair_sample_size(len(attrs), eps)
         whole = df.select("*", F.array(*codes).alias("__v")) if rows is None else rows
-        met = sampling.pairs(whole.select("__v"), s, seed, identity, rows=whole) if rows is not None else sampling.pairs(whole, s, seed, identity)
+        met = sampling.pairs(whole.select("__v"), s, seed, identity, rows=whole, n=n) if rows is not None else sampling.pairs(whole, s, seed, identity)
         flags = stores.map_arrow(met.select("slot", F.col("l.__v").alias("l"), F.col("r.__v").alias("r")), _graded_bits(moduli), "slot long, differs binary")
         return cls(stores.durable(flags, "pairs"), attrs, {"kind": "pairs", "eps": float(eps), "m": len(attrs), "s": s, "seed": seed})
 

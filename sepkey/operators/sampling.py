@@ -28,12 +28,12 @@ def _rank(seed: int, identity: list[Column], kind: str) -> Column:
     raise ValueError(kind)
 
 
-def tuples(df: DataFrame, r: int, seed: int, identity: list[Column], rank: str = "md5", n: int | None = None) -> DataFrame:
+def tuples(df: DataFrame, r: int, seed: int, identity: list[Column], rank: str = "md5", n: int | None = None, write: bool = True) -> DataFrame:
     """Exactly ``min(r, rows)`` tuples without replacement: the least ranks, ties by identity.
 
     Without ``n`` the plan keeps r rows a task and gathers tasks * r of them. Where ``n``, the number of rows, is known, one scan writes the rows
     with a rank under a threshold, about r of them in all, and counts them on the way; only should they be fewer than r, which the threshold makes
-    rare, a second scan follows."""
+    rare, a second scan follows. ``write=False`` leaves writing and that test to the caller."""
     columns = df.columns
     ids = [f"__id{i}" for i in range(len(identity))]
     ranked = df.select("*", *[c.alias(i) for c, i in zip(identity, ids, strict=True)]).withColumn("__rank", _rank(seed, [F.col(i) for i in ids], rank))
@@ -49,6 +49,8 @@ def tuples(df: DataFrame, r: int, seed: int, identity: list[Column], rank: str =
             under = portable.number(portable.rank_text(seed, [F.col(i) for i in ids])) < int(share * portable.SPAN)
         else:
             under = F.col("__rank") < int(-(2**63) + share * 2**64)
+        if not write:
+            return least(ranked.where(under))
         seen = Observation()
         some = durable(ranked.where(under).observe(seen, F.count(F.lit(1)).alias("rows")), "under")
         if seen.get["rows"] >= r:

@@ -53,7 +53,7 @@ for _t in ("lineitem", "orders", "part", "customer", "events", "labels", "conver
     add(f"x1_gamma_{_t}", _gamma(_t, _s), sqltext.with_ppb(sqltext.gamma(_t, _s)))
 
 _FEW = catalog.named(catalog.SETS["lineitem"])
-for _strategy in ("grouping_sets", "fingerprint", "lattice"):
+for _strategy in ("per_set", "grouping_sets", "fingerprint", "lattice"):
     add(f"x4_{_strategy}_lineitem", _gamma("lineitem", _FEW, _strategy), sqltext.with_ppb(sqltext.gamma("lineitem", _FEW)))
 
 

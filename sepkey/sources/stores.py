@@ -8,6 +8,7 @@ import gc
 import tempfile
 import uuid
 import zipfile
+from contextlib import contextmanager
 from pathlib import Path
 
 import pyarrow as pa
@@ -78,13 +79,31 @@ def shared_folder(spark: SparkSession) -> str:
     return found.get()
 
 
-def durable(df: DataFrame, name: str = "step") -> DataFrame:
-    """``df`` written as Parquet in the shared folder and read back: cut lineage that outlives a lost executor. The files go
-    when the driver ends."""
+_scopes: list[list[tuple[SparkSession, str]]] = []
+
+
+@contextmanager
+def scratch():
+    """Files that ``durable`` writes inside go at the end, but for those written with ``keep``: they stay as long as those around."""
+    _scopes.append([])
+    try:
+        yield
+    finally:
+        for spark, path in _scopes.pop():
+            _remove(spark, path)
+
+
+def durable(df: DataFrame, name: str = "step", keep: bool = False) -> DataFrame:
+    """``df`` written as Parquet in the shared folder and read back: cut lineage that outlives a lost executor. The files go when the
+    ``scratch`` around ends (with ``keep``: the one around that), else with the driver."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    atexit.register(_remove, spark, path)
+    around = _scopes[:-1] if keep else _scopes
+    if around:
+        around[-1].append((spark, path))
+    else:
+        atexit.register(_remove, spark, path)
     return spark.read.schema(df.schema).parquet(path)
 
 

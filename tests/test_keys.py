@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from sepkey.functions import bounds
 from sepkey.operators import exact, filters, hardness, mincover, nonsep, relational, sampling, setcover
 from sepkey.plans import catalog
+from sepkey.sources import stores
 from sepkey.sources.stores import table
 from tests.paths import SMALL
 
@@ -326,3 +327,32 @@ def test_greedy_by_refinement_equals_counting_anew(spark):
         rest.remove(attr)
         gamma = after
     assert key.residual == gamma > 0
+
+
+def test_scratch_files_go_with_their_scope(spark):
+    rows = spark.range(5)
+    with stores.scratch():
+        stays = stores.durable(rows, "stays", keep=True)
+        with stores.scratch():
+            inner = stores.durable(rows, "inner", keep=True)
+            gone = stores.durable(rows, "gone")
+        assert inner.count() == 5
+        with pytest.raises(Exception):  # noqa: B017  Spark's own, by the reader's version
+            gone.count()
+    assert stays.count() == 5
+
+
+def test_strategies_agree(spark):
+    rng = random.Random(2)
+    df = spark.createDataFrame([(rng.choice([None, 1, 2]), rng.choice([0.0, -0.0, NAN, None]), rng.choice("ab")) for _ in range(60)], "a int, b double, c string")
+    sets = [(",".join(s), list(s)) for k in (1, 2, 3) for s in combinations("abc", k)]
+    found = [sorted(map(tuple, exact.unseparated_many(df, sets, s).collect())) for s in ("per_set", "fingerprint", "grouping_sets", "lattice")]
+    assert all(f == found[0] for f in found) and len(found[0]) == 7
+    assert all(exact.unseparated_many(df.where("false"), sets, s).isEmpty() for s in ("per_set", "fingerprint"))
+
+
+def test_sampling_without_replacement_doubles_the_ceiling_at_most(spark):
+    for q, m, r in ((9, 4, 6), (99, 6, 9)):
+        with_, without = bounds.grid_detection(q, m, r), bounds.grid_detection(q, m, r, False)
+        assert without["rows_apart"] >= 0.5
+        assert with_["exact"] <= without["exact"] <= 2 * with_["exact"] and without["ceiling"] <= 2 * with_["ceiling"]
