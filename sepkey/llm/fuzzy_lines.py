@@ -37,7 +37,7 @@ LONG, ENOUGH, MANY = 4, 5, 8
 #: Most voting words of lines whose every word is a block of its own as well: a key leaves out one of them, or none.
 FEW = 8
 KEPT = 10
-FAR = 18
+FAR = 16
 #: Fewest words whose votes make a key.
 LEAST = 3
 #: Fewest words of the levels above the first. At level 0 a key is a pair of 5 blocks, at level 1 one of 6 blocks; level 2 + i begins at 28 * 2^i
@@ -186,7 +186,8 @@ class Lines:
         for size, width in ((6, 10), (KEPT, 6)):
             of = np.flatnonzero((level > 0) & (kept == size))
             for b in range(size):
-                self.sig[of] = (self.sig[of] << np.uint64(width)) | (v[of, b] & np.uint64((1 << width) - 1))
+                for lane in range(width // _BITS):  # a counter's bits, without the empty ones between
+                    self.sig[of] = (self.sig[of] << np.uint64(_BITS)) | ((v[of, b] >> np.uint64(4 * lane)) & np.uint64(3))
         at, b = np.nonzero((n >= LEAST) & (level > 0)[:, None])
         keys, owners = [_key(level[at], b, n[at, b], v[at, b])], [at]
         short = np.flatnonzero(level == 0)

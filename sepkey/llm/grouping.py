@@ -142,7 +142,7 @@ def link(members: DataFrame, test: Callable[[DataFrame], DataFrame], may: Callab
 
 
 #: Rounds in which each open bucket's nodes are tested against one of them (one round where ``across`` finds the rest).
-STARS = 2
+STARS = 1
 
 
 class Links:
