@@ -143,8 +143,15 @@ def clique_histogram(df: DataFrame, attrs: list[str]) -> DataFrame:
     return _groups(df, attrs).groupBy(F.col("k").alias("size")).agg(F.count("*").alias("groups"))
 
 
+#: Most pairs that are ever listed; more are refused, never cut.
+LISTED_PAIRS = 200_000_000
+
+
 def unseparated_edges(df: DataFrame, attrs: list[str], row_id: str) -> DataFrame:
-    """The unseparated pairs themselves (a < b). As many rows as there are such pairs: for small tables only."""
+    """The unseparated pairs themselves (a < b). They are counted first, and refused beyond ``LISTED_PAIRS``."""
+    found = int(unseparated(df, attrs).first().gamma)
+    if found > LISTED_PAIRS:
+        raise ValueError(f"{found} unseparated pairs are too many to list; count them with unseparated()")
     left = df.select(F.col(row_id).alias("a"), F.struct(*attrs).alias("v"))
     right = df.select(F.col(row_id).alias("b"), F.struct(*attrs).alias("w"))
     same = F.col("v").eqNullSafe(F.col("w"))

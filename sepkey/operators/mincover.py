@@ -38,7 +38,9 @@ def _candidates(attrs: list[str], exclude: list[str] | None, must: list[str] | N
 
 
 def instance(df: DataFrame, row_id: str, attrs: list[str]) -> DataFrame:
-    """All pairs of rows (a < b) with one flag for each attribute on which they differ. As many rows as there are pairs: for small tables."""
+    """All pairs of rows (a < b) with one flag for each attribute on which they differ; refused beyond ``exact.LISTED_PAIRS``."""
+    if bounds.pairs_of(df.count()) > exact.LISTED_PAIRS:
+        raise ValueError("too many pairs to list; greedy_full needs none")
     left = df.select(F.col(row_id).alias("a"), F.struct(*attrs).alias("l"))
     right = df.select(F.col(row_id).alias("b"), F.struct(*attrs).alias("r"))
     return left.join(right, F.col("a") < F.col("b")).select("a", "b", *[(~F.col(f"l.{x}").eqNullSafe(F.col(f"r.{x}"))).alias(x) for x in attrs])

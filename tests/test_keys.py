@@ -356,3 +356,12 @@ def test_sampling_without_replacement_doubles_the_ceiling_at_most(spark):
         with_, without = bounds.grid_detection(q, m, r), bounds.grid_detection(q, m, r, False)
         assert without["rows_apart"] >= 0.5
         assert with_["exact"] <= without["exact"] <= 2 * with_["exact"] and without["ceiling"] <= 2 * with_["ceiling"]
+
+
+def test_too_many_pairs_are_refused(spark, monkeypatch):
+    monkeypatch.setattr(exact, "LISTED_PAIRS", 3)
+    df = spark.range(4).select("id", F.lit(1).alias("x"))
+    with pytest.raises(ValueError):
+        exact.unseparated_edges(df, ["x"], "id")
+    with pytest.raises(ValueError):
+        mincover.instance(df, "id", ["x"])
