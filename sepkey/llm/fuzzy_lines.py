@@ -46,13 +46,8 @@ LEVEL_1, LEVEL_2 = 14, 28
 MARGIN = 1.1
 
 
-#: A run of what is no word character, other than one blank alone; line ends stay.
-_GAP = r"[\x00-\x09\x0b-\x1f\x21-\x2f\x3a-\x60\x7b-\x7f][\x00-\x09\x0b-\x2f\x3a-\x60\x7b-\x7f]*| [\x00-\x09\x0b-\x2f\x3a-\x60\x7b-\x7f]+"
-
-
-def _norms(text: Column) -> Column:
-    """The lines of a text in normal form but for a blank at either end."""
-    return F.split(F.regexp_replace(F.lower(text), _GAP, " "), "\n")
+def _norm(line: Column) -> Column:
+    return F.trim(F.regexp_replace(F.lower(line), r"[\x00-\x2f\x3a-\x60\x7b-\x7f]+", " "))
 
 
 #: A place is a number made of the doc_id, 20 bits of the text's hash (for texts that share a doc_id) and the line number.
@@ -276,8 +271,8 @@ def _texts(docs: DataFrame, marks: DataFrame, ends: DataFrame) -> DataFrame:
     at = marks.select("node", "place", "doc_id", "variant", "line_no").join(common.small(first, F.lit(32)), ["node", "place"])
     at = common.durable(at.groupBy("doc_id", "variant").agg(F.collect_set(F.struct("line_no", "node")).alias("wanted")), "at")
     some = _identified(docs).join(common.small(at, 32 + 12 * F.size("wanted")), ["doc_id", "variant"])
-    lines = some.select("wanted", _norms(F.col("text")).alias("lines")).select(F.explode(F.transform("wanted", lambda w: F.struct(w["node"].alias("node"), F.get("lines", w["line_no"]).alias("line")))).alias("x"))
-    return lines.select("x.node", F.trim("x.line").alias("norm")).dropDuplicates(["node"])
+    lines = some.select("wanted", F.split("text", "\n").alias("lines")).select(F.explode(F.transform("wanted", lambda w: F.struct(w["node"].alias("node"), F.get("lines", w["line_no"]).alias("line")))).alias("x"))
+    return lines.select("x.node", _norm(F.col("x.line")).alias("norm")).dropDuplicates(["node"])
 
 
 def decide(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
