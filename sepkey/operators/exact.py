@@ -26,10 +26,12 @@ def pairs(size: Column) -> Column:
 
 def _groups(df: DataFrame, attrs: list[str], null_mode: str = "value") -> DataFrame:
     """One row (k) for each group."""
+    size = F.count("*").alias("__size")  # an attribute may be called k
     if null_mode == "distinct" and attrs:
-        some = F.coalesce(*[F.col(a).isNull() for a in attrs]) if len(attrs) == 1 else F.array_contains(F.array(*[F.col(a).isNull() for a in attrs]), True)
-        return df.where(~some).groupBy(*attrs).agg(F.count("*").alias("k")).select("k").unionByName(df.where(some).select(F.lit(1).cast("long").alias("k")))
-    return df.groupBy(*attrs).agg(F.count("*").alias("k")).select("k") if attrs else df.agg(F.count("*").alias("k"))
+        some = F.array_contains(F.array(*[F.col(a).isNull() for a in attrs]), True)
+        alone = df.where(some).select(F.lit(1).cast("long").alias("k"))
+        return df.where(~some).groupBy(*attrs).agg(size).select(F.col("__size").alias("k")).unionByName(alone)
+    return (df.groupBy(*attrs) if attrs else df.groupBy()).agg(size).select(F.col("__size").alias("k"))
 
 
 def _summary() -> list[Column]:

@@ -351,6 +351,12 @@ def test_strategies_agree(spark):
     assert all(exact.unseparated_many(df.where("false"), sets, s).isEmpty() for s in ("per_set", "fingerprint"))
 
 
+def test_attributes_may_have_any_name(spark):
+    df = spark.createDataFrame([(1, 1, 1), (1, 1, 2), (2, 1, 2)], "k int, n int, gamma int")
+    got = {r.set_name: int(r.gamma) for r in exact.unseparated_many(stores.durable(df), [("k", ["k"]), ("n", ["n"]), ("k,gamma", ["k", "gamma"])]).collect()}
+    assert got == {"k": 1, "n": 3, "k,gamma": 0}
+
+
 def test_sampling_without_replacement_doubles_the_ceiling_at_most(spark):
     for q, m, r in ((9, 4, 6), (99, 6, 9)):
         with_, without = bounds.grid_detection(q, m, r), bounds.grid_detection(q, m, r, False)
